@@ -24,8 +24,10 @@ from itertools import chain
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
-#: Entries of the table of encoded pre-tokens of a worker; emptied when full (speed only).
-CACHE = 300_000
+#: Fixed value: the pattern under which a lone space always belongs to what follows it.
+SPACE_FIRST = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
+#: Entries of each table (pre-tokens, chunks) of a worker; what comes later is merged anew (speed only).
+CACHE = 250_000
 #: Longer pre-tokens (characters) aren't kept.
 CACHE_CHARS = 64
 
@@ -78,10 +80,14 @@ class ByteBPE:
         import regex
 
         self.ranks = ranks
-        self.table = {i: b for b, i in ranks.items()}
+        self.table = [b""] * (max(ranks.values()) + 1)
+        for b, i in ranks.items():
+            self.table[i] = b
         self.split = regex.compile(pattern).findall
         self.queue = RankQueue(max(ranks.values()) + 1)
         self.known: dict[str, tuple[int, ...]] = {}
+        self.chunks = _Chunks(self)
+        self.by_space = pattern == SPACE_FIRST
 
     @classmethod
     def from_file(cls, path: str, pattern: str) -> ByteBPE:
@@ -137,29 +143,58 @@ class ByteBPE:
             i = after[i]
         return tuple(out)
 
-    def encode(self, text: str) -> list[int]:
-        pieces = self.split(text)
-        known = self.known
-        try:
-            return list(chain.from_iterable(map(known.__getitem__, pieces)))
-        except KeyError:
-            pass
-        if len(known) > CACHE:
-            known.clear()
-        out: list[int] = []
-        for x in pieces:
+    def pretokens(self, text: str) -> list[int]:
+        """Ids by splitting the whole text with the pattern."""
+        known, out = self.known, []
+        for x in self.split(text):
             ids = known.get(x)
             if ids is None:
                 ids = self.merge(x.encode())
-                if len(x) <= CACHE_CHARS:
+                if len(x) <= CACHE_CHARS and len(known) < CACHE:
                     known[x] = ids
             out.extend(ids)
         return out
 
+    def encode(self, text: str) -> list[int]:
+        """Ids of a text.
+
+        With ``by_space`` a single space between characters that aren't white space always opens a pre-token,
+        so such a text is cut there without the pattern, and each chunk looked up.
+        """
+        if not self.by_space:
+            return self.pretokens(text)
+        first, *rest = text.split(" ")
+        if first and (first[0].isspace() or first[-1].isspace()):
+            return self.pretokens(text)
+        try:
+            return self.pretokens(first) + list(chain.from_iterable(map(self.chunks.__getitem__, rest)))
+        except _NotAlone:
+            return self.pretokens(text)
+
     def decode(self, ids: list[int]) -> bytes:
         return b"".join(map(self.table.__getitem__, ids))
 
 
+class _NotAlone(Exception):
+    """A chunk that borders on other white space."""
+
+
+class _Chunks(dict):
+    """Ids of a space and the chunk behind it."""
+
+    def __init__(self, bpe: ByteBPE):
+        super().__init__()
+        self.bpe = bpe
+
+    def __missing__(self, chunk: str) -> tuple[int, ...]:
+        if not chunk or chunk[0].isspace() or chunk[-1].isspace():
+            raise _NotAlone
+        ids = tuple(self.bpe.pretokens(" " + chunk))
+        if len(chunk) <= CACHE_CHARS and len(self) < CACHE:
+            self[chunk] = ids
+        return ids
+
+
 _LOADED: dict[tuple[str, str], ByteBPE] = {}
 
 
@@ -217,7 +252,7 @@ def digests(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", te
         import pyarrow as pa
 
         bpe = tokenizer(path, pattern)
-        shown = [str(i) for i in range(max(bpe.table) + 1)]
+        shown = [str(i) for i in range(len(bpe.table))]
         for batch in batches:
             n, a, b = [], [], []
             for v in batch.column(1):

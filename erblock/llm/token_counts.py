@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
 MARK = "▁"
-#: Entries of the table of merged pre-tokens of a worker; emptied when full (speed only).
+#: Entries of the table of merged pre-tokens of a worker; later ones are merged anew (speed only).
 CACHE = 400_000
 CACHE_CHARS = 64
 
@@ -88,10 +88,7 @@ class PieceCounter(dict):
 
     def __missing__(self, key: str) -> int:
         n = self.merge(MARK + key)
-        if len(key) <= CACHE_CHARS:
-            if len(self) > CACHE + len(self.whole):
-                self.clear()
-                self.update(self.whole)
+        if len(key) <= CACHE_CHARS and len(self) < CACHE + len(self.whole):
             self[key] = n
         return n
 
