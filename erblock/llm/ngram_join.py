@@ -247,7 +247,11 @@ def near_duplicates(docs: DataFrame, threshold: float = 0.8, id_col: str = "doc_
     nodes = checkpoint(nodes)
     in_band = rows.where("node is not null").select("node", F.explode("bands").alias("band"))
     buckets = in_band.groupBy("band").agg(F.min("node").alias("least"), F.max("node").alias("most")).where("least < most")
-    stars = in_band.join(buckets, "band").where("node <> least").select(F.col("node").alias("src"), F.col("least").alias("dst")).distinct()
+    # A node meets up to 24 least nodes: it is linked to the least of them, and that one to the others. The
+    # latter links are the same for most nodes of a group, so the graph has about one link per node.
+    met = in_band.join(buckets, "band").where("node <> least").groupBy("node").agg(F.collect_set("least").alias("all"))
+    met = met.select("node", F.array_min("all").alias("first"), "all")
+    stars = met.select(F.col("first").alias("dst"), F.explode(F.array_append("all", F.col("node"))).alias("src")).where("src <> dst").distinct()
     near = connected(stars)
 
     members = near.join(nodes, "node")
