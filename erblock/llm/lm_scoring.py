@@ -41,7 +41,7 @@ END_CLASS = CLASSES - 1
 #: Frequent words whose counts are broadcast at most.
 HEAD = 65_536
 #: Words in a window of truncated back-propagation; documents side by side; documents by bytes in one sweep.
-WINDOW, LANES, SWEEP_BYTES = 24, 192, 12 << 20
+WINDOW, LANES, SWEEP_BYTES = 24, 384, 12 << 20
 #: Shares of the training documents in each round of training.
 ROUNDS = (1 / 8, 7 / 8)
 RATE = 0.02
@@ -127,6 +127,11 @@ def _step(p: dict, inputs: np.ndarray, h: np.ndarray) -> tuple:
     return n + z * (h - n), (z, r, n, gh[:, 2 * HIDDEN :])
 
 
+def _bounded(p: dict) -> bool:
+    """True if no logit can overflow when exponentiated: states lie within -1 and 1."""
+    return float((np.abs(p["w"]).sum(axis=0) + np.abs(p["b"])).max()) < 80
+
+
 def log_likelihood(flat: np.ndarray, docs: list[np.ndarray]) -> np.ndarray:
     """Natural log probability of each class sequence; state runs from its first to its last word."""
     p = unpack(flat)
@@ -137,15 +142,16 @@ def log_likelihood(flat: np.ndarray, docs: list[np.ndarray]) -> np.ndarray:
     total = np.zeros(len(docs))
     h = np.zeros((len(docs), HIDDEN), dtype=np.float32)
     before = np.full(len(docs), CLASSES, dtype=np.int16)
-    live = len(docs)
+    small = _bounded(p)
     ascending = lengths[::-1]
     for t in range(int(lengths[0]) if len(docs) else 0):
         live = len(docs) - int(np.searchsorted(ascending, t, side="right"))
         h = _step(p, before[:live], h[:live])[0]
         target = flatdocs[starts[:live] + t]
-        logits = h @ p["w"] + p["b"]
-        top = logits.max(axis=1)
-        np.subtract(logits, top[:, None], out=logits)
+        logits = h @ p["w"]
+        logits += p["b"]
+        if not small:
+            logits -= logits.max(axis=1, keepdims=True)
         hit = logits[np.arange(live), target]
         np.exp(logits, out=logits)
         total[:live] += hit - np.log(logits.sum(axis=1))
@@ -199,8 +205,10 @@ class Trainer:
             states.append(new)
             h = new
         out = np.stack(states).reshape(-1, HIDDEN)
-        logits = out @ p["w"] + p["b"]
-        logits -= logits.max(axis=1, keepdims=True)
+        logits = out @ p["w"]
+        logits += p["b"]
+        if not _bounded(p):
+            logits -= logits.max(axis=1, keepdims=True)
         np.exp(logits, out=logits)
         logits /= logits.sum(axis=1, keepdims=True)
         flat_target = target.reshape(-1)
@@ -395,9 +403,9 @@ def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
                 ws = tokens(text)
                 seqs.append(classes.ids(ws))
                 found = list(map(logs.get, ws))
-                known = [x for x in found if x is not None]
-                rare.append(Counter(w for w, x in zip(ws, found, strict=True) if x is None) if len(known) < len(ws) else {})
-                heads.append((len(ws) + 1, len(known) + end_known, math.fsum(known) + end))
+                unknown = found.count(None)
+                rare.append(Counter([w for w, x in zip(ws, found, strict=True) if x is None]) if unknown else {})
+                heads.append((len(ws) + 1, len(ws) - unknown + end_known, sum(filter(None, found)) + end))
                 size += len(text) + 64
                 if size > SWEEP_BYTES:
                     yield from flush(batch.column(0).slice(at, len(heads)), batch.column(1).slice(at, len(heads)), heads, rare, seqs)
