@@ -290,6 +290,22 @@ def _anchor_rows(keyed: DataFrame, text_col: str, length: int) -> DataFrame:
     return keyed.select("_k", "_n", text_col).mapInArrow(run, schema)
 
 
+def _squeezed(df: DataFrame, text_col: str) -> DataFrame:
+    """The text, last column of ``df``, as compressed bytes: it is moved and kept a few times."""
+    schema = T.StructType([*df.schema.fields[:-1], T.StructField(text_col, T.BinaryType())])
+
+    def run(batches: Iterator) -> Iterator:
+        import pyarrow as pa
+        import zstandard
+
+        press = zstandard.ZstdCompressor(level=3).compress
+        for batch in batches:
+            data = [press(v.as_py() or b"") for v in batch.column(batch.num_columns - 1).cast(pa.binary())]
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(data, pa.binary())], names=schema.names)
+
+    return df.mapInArrow(run, schema)
+
+
 def _occurrences(candidates: DataFrame, text_col: str, length: int, with_bytes: bool) -> DataFrame:
     """A row per anchored context of each candidate text: group h, c, place o, id of the bytes; and
     either the bytes with their number (merged inside the task), or the text and start."""
@@ -300,8 +316,10 @@ def _occurrences(candidates: DataFrame, text_col: str, length: int, with_bytes:
     def run(batches: Iterator) -> Iterator:
         import pyarrow as pa
         import xxhash
+        import zstandard
         from pyspark.sql.pandas.types import to_arrow_schema
 
+        expand = zstandard.ZstdDecompressor().decompress
         arrow = to_arrow_schema(schema)
         merged: dict[tuple[int, int, int, bytes], int] = {}
         size = 0
@@ -312,8 +330,8 @@ def _occurrences(candidates: DataFrame, text_col: str, length: int, with_bytes:
 
         for batch in batches:
             rows = []
-            for k, n, v, spots in zip(*(batch.column(i) for i in range(2)), batch.column(2).cast(pa.binary()), batch.column(3), strict=True):
-                text, k, n = v.as_py(), k.as_py(), n.as_py()
+            for k, n, v, spots in zip(*(batch.column(i) for i in range(4)), strict=True):
+                text, k, n = expand(v.as_py()), k.as_py(), n.as_py()
                 for s in spots.as_py():
                     h, at, o, w = s["h"], s["at"], s["ow"] >> 8, s["ow"] & 255
                     cuts = [(-1, o - w, o)] if not s["hot"] else [(c, max(o - w, c * SPLIT), min(o, c * SPLIT + SPLIT - 1)) for c in range((o - w) // SPLIT, o // SPLIT + 1)]
@@ -399,13 +417,15 @@ def _cut(joined: DataFrame, text_col: str, keep: list[str], with_text: bool) ->
 
     def run(batches: Iterator) -> Iterator:
         import pyarrow as pa
+        import zstandard
         from pyspark.sql.pandas.types import to_arrow_schema
 
+        expand = zstandard.ZstdDecompressor().decompress
         arrow = to_arrow_schema(schema)
         for batch in batches:
             n, gone, runs, sha, kept = [], [], [], [], []
-            for v, spans in zip(batch.column(len(keep)).cast(pa.binary()), batch.column(len(keep) + 1), strict=True):
-                text = v.as_py() or b""
+            for v, spans in zip(batch.column(len(keep)), batch.column(len(keep) + 1), strict=True):
+                text = expand(v.as_py())
                 cut = _merged([(s["a"], s["b"]) for s in spans.as_py() or []])
                 rest = b"".join(text[a:b] for a, b in zip([0, *(b for _, b in cut)], [*(a for a, _ in cut), len(text)], strict=True))
                 n.append(len(text))
@@ -428,7 +448,8 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, id_col: str = "doc_id"
         raise ValueError("length must lie above 16 and be at most 271")
     keep = [c for c in docs.columns if c != text_col] if with_text else [id_col]
     keyed = _keyed(docs, text_col)
-    rows = _anchor_rows(keyed, text_col, length)
+    # One exchange by anchor serves the count and the join, so anchors are found and moved once.
+    rows = _anchor_rows(keyed, text_col, length).repartition("h")
     frequent = rows.groupBy("h").agg(F.count(F.lit(1)).alias("times")).where("times > 1").select("h", (F.col("times") > HOT).alias("hot"))
     spots = rows.join(frequent, "h").groupBy("k", "n").agg(F.collect_set(F.struct("h", "at", "ow", "hot")).alias("spots"))
     spots = checkpoint(spots)
@@ -436,7 +457,8 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, id_col: str = "doc_id"
     few = spots.count() <= BROADCAST_ROWS
     is_candidate = (F.col("_k") == F.col("k")) & (F.col("_n") == F.col("n"))
     near = keyed.join(F.broadcast(names), is_candidate, "left_semi") if few else keyed
-    candidates = checkpoint(near.join(spots.hint("merge"), is_candidate).select("_k", "_n", *[c for c in [*keep, text_col]], "spots"))
+    near = _squeezed(near.select("_k", "_n", *keep, text_col), text_col)
+    candidates = checkpoint(near.join(spots.hint("merge"), is_candidate).select("_k", "_n", *keep, text_col, "spots"))
 
     shards = _sort_shards(_occurrences(candidates, text_col, length, True), length)
     places = _occurrences(candidates, text_col, length, False).join(shards.hint("merge"), ["h", "c", "o", "cid"])
