@@ -33,8 +33,9 @@ from pyspark.sql import types as T
 QUANT = 4
 #: Vectors a shard holds and queries a block holds, about.
 SHARD_ROWS, BLOCK_ROWS = 16_384, 512
-#: Possible members at which exact scoring takes over, as a share of the shard's entries.
-FEW = 0.02
+#: Possible members at which exact scoring takes over, as a share of the shard's entries: scoring one costs
+#: about as much as one entry of a few dozen segments.
+FEW = 0.25
 
 
 def quantised(col: Column, scale: int = 256) -> Column:
@@ -89,7 +90,7 @@ class Shard:
         work.sort(key=lambda w: (-w[0], w[1], w[2]))
         error = int(weight.sum()) * ((1 << QUANT) - 1)
         acc = np.zeros(n, dtype=np.int64)
-        probe = max(1, len(work) // 8)
+        probe = max(1, len(work) // 16)
         for done, (gain, d, i, entries) in enumerate(work, 1):
             acc[entries] += gain
             rest -= gain - nxt[d][i]
@@ -121,7 +122,6 @@ def top_k(vectors: DataFrame, is_query: Column, k: int = 5, scale: int = 256, id
     rows = rows.where(F.col("v").isNotNull() & F.col("vec_id").isNotNull())
     n, n_q = rows.agg(F.count(F.lit(1)), F.count_if("q")).first()
     shards, blocks = -(-max(n, 1) // SHARD_ROWS), -(-max(n_q, 1) // BLOCK_ROWS)
-    shards = max(shards, min(vectors.sparkSession.sparkContext.defaultParallelism, -(-max(n, 1) // 1024)))
     index = _packed(rows.withColumn("shard", F.pmod(F.xxhash64("vec_id"), F.lit(shards)).cast("int")), ["shard"])
     asked = _packed(rows.where("q").withColumn("block", F.pmod(F.xxhash64("vec_id", F.lit(1)), F.lit(blocks)).cast("int")), ["block"])
     asked = asked.select(F.explode(F.sequence(F.lit(0), F.lit(shards - 1))).alias("shard"), F.col("rows").alias("queries"))
