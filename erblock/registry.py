@@ -93,7 +93,8 @@ def _pairs(task: str) -> str:
     return f"pr AS (SELECT DISTINCT a.entity_id AS left_id, b.entity_id AS right_id FROM p a JOIN p b ON a.block_key = b.block_key AND {cond})"
 
 
-HITS = """hk AS (SELECT DISTINCT t.left_id, t.right_id FROM t JOIN p a ON a.entity_id = t.left_id JOIN p b ON b.entity_id = t.right_id AND b.block_key = a.block_key),
+HITS = """ka AS MATERIALIZED (SELECT t.left_id, t.right_id, a.block_key FROM t JOIN p a ON a.entity_id = t.left_id),
+hk AS MATERIALIZED (SELECT DISTINCT ka.left_id, ka.right_id FROM ka JOIN p b ON b.entity_id = ka.right_id AND b.block_key = ka.block_key),
 h AS (SELECT t.left_id, t.right_id, t.link_type, hk.left_id IS NOT NULL AS hit FROM t LEFT JOIN hk ON t.left_id = hk.left_id AND t.right_id = hk.right_id)"""
 
 
