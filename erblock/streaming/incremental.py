@@ -16,7 +16,9 @@ from erblock.functions.text import tokens
 def event_stream(spark: SparkSession, path: str) -> DataFrame:
     """The events table replayed as a file stream."""
     schema = spark.read.parquet(path).schema
-    return spark.readStream.schema(schema).parquet(path)
+    # The last character as a class makes a glob, so a single file will do as well as a folder.  Watermarks
+    # need instants; results give the table's zone-less times back.
+    return spark.readStream.schema(schema).parquet(f"{path[:-1]}[{path[-1]}]").withColumn("ts", F.col("ts").cast("timestamp"))
 
 
 def event_tokens(events: DataFrame, watermark: str = "10 minutes") -> DataFrame:
@@ -35,13 +37,13 @@ def incremental_postings(events: DataFrame, watermark: str = "10 minutes") -> Da
 def block_growth(events: DataFrame, window: str = "1 hour", slide: str | None = None) -> DataFrame:
     """start, block_key, n: postings per window and key."""
     w = F.window("ts", window, slide) if slide else F.window("ts", window)
-    return event_tokens(events).groupBy(w.alias("w"), "block_key").agg(F.count(F.lit(1)).alias("n")).select(F.col("w.start").alias("start"), "block_key", "n")
+    return event_tokens(events).groupBy(w.alias("w"), "block_key").agg(F.count(F.lit(1)).alias("n")).select(F.col("w.start").cast("timestamp_ntz").alias("start"), "block_key", "n")
 
 
 def sessions(events: DataFrame, gap: str = "30 minutes") -> DataFrame:
     """user_id, start, n: events of a user without a gap."""
     s = events.withWatermark("ts", "10 minutes").groupBy(F.session_window("ts", gap).alias("s"), "user_id").agg(F.count(F.lit(1)).alias("n"))
-    return s.select("user_id", F.col("s.start").alias("start"), "n")
+    return s.select("user_id", F.col("s.start").cast("timestamp_ntz").alias("start"), "n")
 
 
 def new_candidates(events: DataFrame, postings: DataFrame) -> DataFrame:
