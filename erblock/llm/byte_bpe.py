@@ -1,8 +1,8 @@
 """Byte-level BPE encoding and decoding with a hierarchical-bitmap rank queue.
 
 A pre-token's bytes form a linked list.  Every adjacent pair that is a vocabulary entry lies in the
-bucket of its rank; three levels of 64-bit words say which buckets are filled, so the next rank is
-three find-first-set steps away however long the pre-token is.  Entries are never searched for and
+bucket of its rank; two levels of wide words say which buckets are filled, so the next rank is
+two find-first-set steps away however long the pre-token is.  Entries are never searched for and
 removed: a popped position whose pair has changed since is skipped.  Within a rank the leftmost
 position goes first.  Encoding n bytes takes O(n log n) at worst (the heap inside one bucket), so a
 pre-token of a megabyte is no problem.
@@ -27,50 +27,12 @@ from pyspark.sql import types as T
 #: Fixed value: the pattern under which a lone space always belongs to what follows it.
 SPACE_FIRST = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 #: Entries of each table (pre-tokens, chunks) of a worker; what comes later is merged anew (speed only).
-CACHE = 250_000
+CACHE = 500_000
 #: Longer pre-tokens (characters) aren't kept.
 CACHE_CHARS = 64
-
-
-class RankQueue:
-    """Buckets of positions by rank, with a three-level bitmap over the filled ones."""
-
-    def __init__(self, n_ranks: int):
-        self.low = [0] * ((n_ranks >> 6) + 1)
-        self.mid = [0] * ((n_ranks >> 12) + 1)
-        self.top = 0
-        self.buckets: dict[int, list[int]] = {}
-
-    def push(self, rank: int, position: int) -> None:
-        bucket = self.buckets.get(rank)
-        if bucket is None:
-            self.buckets[rank] = [position]
-            self.low[rank >> 6] |= 1 << (rank & 63)
-            self.mid[rank >> 12] |= 1 << ((rank >> 6) & 63)
-            self.top |= 1 << (rank >> 12)
-        else:
-            heappush(bucket, position)
-
-    def pop(self) -> tuple[int, int]:
-        """Smallest rank and its leftmost position; rank -1 if there is none."""
-        top = self.top
-        if not top:
-            return -1, -1
-        a = (top & -top).bit_length() - 1
-        word = self.mid[a]
-        b = (a << 6) | ((word & -word).bit_length() - 1)
-        word = self.low[b]
-        rank = (b << 6) | ((word & -word).bit_length() - 1)
-        bucket = self.buckets[rank]
-        position = heappop(bucket)
-        if not bucket:
-            del self.buckets[rank]
-            self.low[b] &= ~(1 << (rank & 63))
-            if not self.low[b]:
-                self.mid[a] &= ~(1 << (b & 63))
-                if not self.mid[a]:
-                    self.top &= ~(1 << a)
-        return rank, position
+#: Binary logarithm of the bits in a word of the bitmap, and the mask of a bit's number.
+WORD = 8
+LOW_BITS = (1 << WORD) - 1
 
 
 class ByteBPE:
@@ -84,7 +46,8 @@ class ByteBPE:
         for b, i in ranks.items():
             self.table[i] = b
         self.split = regex.compile(pattern).findall
-        self.queue = RankQueue(max(ranks.values()) + 1)
+        self.low = [0] * ((len(self.table) >> WORD) + 1)
+        self.bits = [1 << b for b in range(max(LOW_BITS + 1, len(self.low)))]
         self.known: dict[str, tuple[int, ...]] = {}
         self.chunks = _Chunks(self)
         self.by_space = pattern == SPACE_FIRST
@@ -95,52 +58,78 @@ class ByteBPE:
             return cls({base64.b64decode(a): int(b) for a, b in (line.split() for line in f if line.strip())}, pattern)
 
     def merge(self, piece: bytes) -> tuple[int, ...]:
-        """Ids of one pre-token."""
+        """Ids of one pre-token.
+
+        The queue is inlined: ``buckets`` holds a heap of positions for each rank, bit b of ``low[a]`` says that rank
+        ``a << WORD | b`` has one, and bit a of ``top`` that ``low[a]`` isn't zero.  ``low`` is all zero between calls.
+        """
         ranks = self.ranks
         whole = ranks.get(piece)
         if whole is not None:
             return (whole,)
-        n = len(piece)
+        rank_of, bits, low = ranks.get, self.bits, self.low
+        n, top = len(piece), 0
         after = list(range(1, n + 1))  # start of the next symbol
         before = list(range(-1, n - 1))
-        pair = [-1] * n  # rank of the pair that starts here, -1: none
-        queue = self.queue
-        for i in range(n - 1):
-            r = ranks.get(piece[i : i + 2])
-            if r is not None:
-                pair[i] = r
-                queue.push(r, i)
-        while True:
-            r, i = queue.pop()
+        pair = [rank_of(piece[i : i + 2], -1) for i in range(n - 1)]  # rank of the pair that starts here, -1: none
+        pair.append(-1)
+        buckets: dict[int, list[int]] = {}
+        for i, r in enumerate(pair):
             if r < 0:
-                break
+                continue
+            if r in buckets:
+                buckets[r].append(i)  # positions come in order, which is a heap
+            else:
+                buckets[r] = [i]
+                low[r >> WORD] |= bits[r & LOW_BITS]
+                top |= bits[r >> WORD]
+        while top:
+            a = (top & -top).bit_length() - 1
+            word = low[a]
+            r = a << WORD | ((word & -word).bit_length() - 1)
+            bucket = buckets[r]
+            if len(bucket) > 1:
+                i = heappop(bucket)
+            else:
+                i = bucket[0]
+                del buckets[r]
+                word &= word - 1
+                low[a] = word
+                if not word:
+                    top &= top - 1
             if pair[i] != r:
                 continue  # stale
             j = after[i]
-            k = after[j]
-            after[i] = k
+            k = after[i] = after[j]
             pair[j] = -1
             if k < n:
                 before[k] = i
-                new = ranks.get(piece[i : after[k]])
+                new = pair[i] = rank_of(piece[i : after[k]], -1)
+                if new in buckets:
+                    heappush(buckets[new], i)
+                elif new >= 0:
+                    buckets[new] = [i]
+                    low[new >> WORD] |= bits[new & LOW_BITS]
+                    top |= bits[new >> WORD]
             else:
-                new = None
-            pair[i] = -1 if new is None else new
-            if new is not None:
-                queue.push(new, i)
+                pair[i] = -1
             p = before[i]
             if p >= 0:
-                new = ranks.get(piece[p:k])
-                if new is None:
-                    pair[p] = -1
-                elif pair[p] != new:
+                new = rank_of(piece[p:k], -1)
+                if new != pair[p]:
                     pair[p] = new
-                    queue.push(new, p)
+                    if new in buckets:
+                        heappush(buckets[new], p)
+                    elif new >= 0:
+                        buckets[new] = [p]
+                        low[new >> WORD] |= bits[new & LOW_BITS]
+                        top |= bits[new >> WORD]
         out = []
         i = 0
         while i < n:
-            out.append(ranks[piece[i : after[i]]])
-            i = after[i]
+            k = after[i]
+            out.append(ranks[piece[i:k]])
+            i = k
         return tuple(out)
 
     def pretokens(self, text: str) -> list[int]:
