@@ -30,6 +30,7 @@ long are handled in linear time; extra columns are ignored (``with_text`` keeps
 
 from __future__ import annotations
 
+import gc
 import hashlib
 import heapq
 import os
@@ -38,7 +39,7 @@ import tempfile
 from collections.abc import Iterator
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -439,6 +440,12 @@ def _cut(joined: DataFrame, text_col: str, keep: list[str], with_text: bool) ->
     return joined.select(*keep, text_col, "spans").mapInArrow(run, schema)
 
 
+def _release(spark: SparkSession) -> None:
+    """Have Spark delete the exchanges that nothing refers to any more; it does so when the driver collects garbage."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def remove_repeats(docs: DataFrame, length: int = LENGTH, id_col: str = "doc_id", text_col: str = "text", with_text: bool = False) -> DataFrame:
     """Per row doc_id, n_bytes, n_removed, n_spans (maximal removed runs), kept_sha256.
 
@@ -453,12 +460,16 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, id_col: str = "doc_id"
     frequent = rows.groupBy("h").agg(F.count(F.lit(1)).alias("times")).where("times > 1").select("h", (F.col("times") > HOT).alias("hot"))
     spots = rows.join(frequent, "h").groupBy("k", "n").agg(F.collect_set(F.struct("h", "at", "ow", "hot")).alias("spots"))
     spots = checkpoint(spots)
+    del rows, frequent
+    _release(docs.sparkSession)
     names = spots.select("k", "n")
     few = spots.count() <= BROADCAST_ROWS
     is_candidate = (F.col("_k") == F.col("k")) & (F.col("_n") == F.col("n"))
     near = keyed.join(F.broadcast(names), is_candidate, "left_semi") if few else keyed
     near = _squeezed(near.select("_k", "_n", *keep, text_col), text_col)
     candidates = checkpoint(near.join(spots.hint("merge"), is_candidate).select("_k", "_n", *keep, text_col, "spots"))
+    del near
+    _release(docs.sparkSession)
 
     shards = _sort_shards(_occurrences(candidates, text_col, length, True), length)
     places = _occurrences(candidates, text_col, length, False).join(shards.hint("merge"), ["h", "c", "o", "cid"])
