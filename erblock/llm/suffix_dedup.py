@@ -326,7 +326,8 @@ def _occurrences(candidates: DataFrame, text_col: str, length: int, with_bytes:
         size = 0
 
         def flush() -> pa.RecordBatch:
-            rows = [(h, c, o, xxhash.xxh64(x).intdigest() - (1 << 63), x, t) for (h, c, o, x), t in merged.items()]
+            # in order, so that contexts of an anchor lie together and the exchange compresses them
+            rows = [(h, c, o, xxhash.xxh64(x).intdigest() - (1 << 63), x, t) for (h, c, o, x), t in sorted(merged.items())]
             return pa.RecordBatch.from_arrays([pa.array(x, type=f.type) for x, f in zip(zip(*rows, strict=True), arrow, strict=True)], schema=arrow)
 
         for batch in batches:
