@@ -299,7 +299,7 @@ def _squeezed(df: DataFrame, text_col: str) -> DataFrame:
         import pyarrow as pa
         import zstandard
 
-        press = zstandard.ZstdCompressor(level=3).compress
+        press = zstandard.ZstdCompressor(level=6).compress
         for batch in batches:
             data = [press(v.as_py() or b"") for v in batch.column(batch.num_columns - 1).cast(pa.binary())]
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(data, pa.binary())], names=schema.names)
