@@ -475,7 +475,10 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, id_col: str = "doc_id"
     shards = _sort_shards(_occurrences(candidates, text_col, length, True), length)
     places = _occurrences(candidates, text_col, length, False).join(shards.hint("merge"), ["h", "c", "o", "cid"])
     spans = places.select("k", "n", F.explode(F.transform("spans", lambda s: F.struct((F.col("start") + s["a"]).alias("a"), (F.col("start") + s["b"]).alias("b")))).alias("s"))
-    spans = spans.groupBy("k", "n").agg(F.collect_set("s").alias("spans"))
+    # The spans are small; once they are kept, the exchanges of contexts go before the texts are moved again.
+    spans = checkpoint(spans.groupBy("k", "n").agg(F.collect_set("s").alias("spans")))
+    del shards, places
+    _release(docs.sparkSession)
     cut = _cut(candidates.drop("spots").join(spans.hint("merge"), is_candidate, "left"), text_col, keep, with_text)
     whole = keyed.join(F.broadcast(names) if few else names, is_candidate, "left_anti")
     t = F.coalesce(F.col(text_col), F.lit(""))
