@@ -109,43 +109,50 @@ def gained(run: Run, candidates: DataFrame) -> DataFrame:
 
 def resolve(block_list: Iterable[tuple[str, list[str]]], token_sets: dict[str, set[str]], same: Callable[[set[str], set[str], frozenset, frozenset], bool], max_passes: int | None = None) -> tuple[dict[str, str], int, int]:
     """(entity -> representative, comparisons, passes) for blocks in the order given."""
-    rep: dict[str, str] = {}
-    members: dict[str, set[str]] = {}
-    tokens = {k: set(v) for k, v in token_sets.items()}
-    block_list = [(k, sorted(v)) for k, v in block_list]
-    for _, ids in block_list:
-        for e in ids:
-            rep[e] = e
-            members[e] = {e}
-    done: set[tuple[str, str]] = set()
+    # Entities are numbered in the order of their ids, and what a representative was compared with is an integer
+    # of bits, so pairs that are done cost no step each and all pairs of a component fit in memory as bits.
+    ids = sorted({e for _, members in block_list for e in members})
+    number = {e: i for i, e in enumerate(ids)}
+    rep = list(range(len(ids)))
+    members = [frozenset((e,)) for e in ids]
+    tokens = [set(token_sets.get(e, ())) for e in ids]
+    numbered = [sorted(number[e] for e in v) for _, v in block_list]
+    done = [0] * len(ids)
     compared = passes = 0
     changed = True
     while changed and (max_passes is None or passes < max_passes):
         changed, passes = False, passes + 1
-        for _, ids in block_list:
+        for block in numbered:
             again = True
             while again:
                 again = False
-                now = sorted({rep[e] for e in ids})
-                for x in range(len(now)):
-                    for y in range(x + 1, len(now)):
-                        a, b = now[x], now[y]
-                        if (a, b) in done:
-                            continue
-                        done.add((a, b))
+                now = sorted({rep[i] for i in block})
+                behind = 0
+                for a in now:
+                    behind |= 1 << a
+                for a in now:
+                    behind ^= 1 << a
+                    todo = behind & ~done[a]
+                    while todo:
+                        bit = todo & -todo
+                        todo ^= bit
+                        done[a] |= bit
+                        b = bit.bit_length() - 1
                         compared += 1
-                        if same(tokens.get(a, set()), tokens.get(b, set()), frozenset(members[a]), frozenset(members[b])):
+                        if same(tokens[a], tokens[b], members[a], members[b]):
                             # The union is a new description: what it was compared with before doesn't count.
-                            tokens[a] = tokens.get(a, set()) | tokens.pop(b, set())
-                            members[a] |= members.pop(b)
+                            tokens[a], tokens[b] = tokens[a] | tokens[b], set()
+                            members[a], members[b] = members[a] | members[b], frozenset()
                             for e in members[a]:
-                                rep[e] = a
-                            done = {p for p in done if a not in p}
+                                rep[number[e]] = a
+                            done[a], gone = 0, ~(1 << a)
+                            for x in range(a):
+                                done[x] &= gone
                             changed = again = True
                             break
                     if again:
                         break
-    return rep, compared, passes
+    return {e: ids[rep[i]] for i, e in enumerate(ids)}, compared, passes
 
 
 def run_sequential(postings: DataFrame, tokens: DataFrame, theta: float | None = None, truth: DataFrame | None = None, max_passes: int | None = None) -> DataFrame:
@@ -157,26 +164,30 @@ def run_sequential(postings: DataFrame, tokens: DataFrame, theta: float | None =
     least = useful.groupBy("block_key").agg(F.min("entity_id").alias("m"))
     comp = connected(useful.join(least, "block_key"), "entity_id", "m")
     keyed = useful.join(comp, useful["entity_id"] == comp["node"]).select("component", "block_key", "entity_id")
-    toks = tokens.groupBy("entity_id").agg(F.collect_set("token").alias("tokens"))
-    linked = None
-    if truth is not None:
+    # A row per posting, and one per entity with its tokens and links, so that these don't travel with every posting.
+    facts = keyed.select("component", F.lit(None).cast("string").alias("block_key"), "entity_id").distinct()
+    if truth is None:
+        toks = tokens.groupBy("entity_id").agg(F.collect_set("token").alias("tokens"))
+        facts = facts.join(toks, "entity_id", "left").withColumn("links", F.array().cast("array<string>"))
+    else:
         both = truth.select(F.col("left_id").alias("entity_id"), F.col("right_id").alias("o")).unionByName(truth.select(F.col("right_id").alias("entity_id"), F.col("left_id").alias("o")))
         linked = both.groupBy("entity_id").agg(F.collect_set("o").alias("links"))
-    rich = keyed.join(toks, "entity_id", "left")
-    rich = rich.join(linked, "entity_id", "left") if linked is not None else rich.withColumn("links", F.array().cast("array<string>"))
+        facts = facts.join(linked, "entity_id", "left").withColumn("tokens", F.array().cast("array<string>"))
+    rich = keyed.unionByName(facts, allowMissingColumns=True)
 
     def one(pdf):  # noqa: ANN001, ANN202
         import pandas as pd
 
-        links = {e: set(() if x is None else x) for e, x in zip(pdf["entity_id"], pdf["links"], strict=True)}
+        known = pdf[pdf["block_key"].isna()]
+        links = {e: set(() if x is None else x) for e, x in zip(known["entity_id"], known["links"], strict=True)}
 
         def same(ta: set, tb: set, ma: frozenset, mb: frozenset) -> bool:
             if theta is None:
-                return any(links.get(e, set()) & mb for e in ma)
+                return any(not links[e].isdisjoint(mb) for e in ma)
             return len(ta & tb) >= theta * max(1, len(ta | tb))
 
-        sets = {e: set(() if x is None else x) for e, x in zip(pdf["entity_id"], pdf["tokens"], strict=True)}
-        grouped = sorted((k, sorted(set(g["entity_id"]))) for k, g in pdf.groupby("block_key"))
+        sets = {e: set(() if x is None else x) for e, x in zip(known["entity_id"], known["tokens"], strict=True)}
+        grouped = sorted((k, sorted(set(g))) for k, g in pdf[pdf["block_key"].notna()].groupby("block_key")["entity_id"])
         rep, n, passes = resolve(grouped, sets, same, max_passes)
         return pd.DataFrame({"entity_id": list(rep), "rep_id": list(rep.values()), "comparisons": n, "passes": passes, "component": pdf["component"].iloc[0]})
 

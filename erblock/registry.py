@@ -227,7 +227,7 @@ _add("it_rounds_oracle", _on("d5", "dirty", _it_oracle))
 _add("it_rounds_oracle_d6", _on("d6", "dirty", _it_oracle), _with("d6", "dirty", f"{TOKEN_POSTINGS}, {_CLOSURE}", "SELECT n AS entity_id, min(c) AS rep_id FROM reach GROUP BY n"))
 _add("it_rounds_jaccard", _on("d5", "dirty", _it_jaccard))
 _add("it_comparisons", _on("d5", "dirty", _it_comparisons))
-_add("it_sequential", _on("d5", "dirty", lambda d, t: iterative.run_sequential(token_blocking.build(d.where("attribute <> 'text'")), _tokens_of(d), truth=t)))
+_add("it_sequential", _on("d5", "dirty", lambda d, t: iterative.run_sequential(token_blocking.build(d), _tokens_of(d), truth=t)))
 _add("it_first_pass", _on("d5", "dirty", lambda d, t: iterative.run_rounds(token_blocking.build(d), iterative.oracle(t), max_rounds=1).entity_map))
 
 

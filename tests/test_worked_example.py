@@ -3,8 +3,9 @@
 import pytest
 from pyspark.sql import functions as F
 
+from erblock import registry
 from erblock.operators import attr_clustering, blocks, iterative, measures, pairs, token_blocking, uri_infix
-from erblock.sources import ingest
+from erblock.sources import ingest, views
 
 #: The example's descriptions.
 EXAMPLE = {
@@ -117,3 +118,14 @@ def test_large_block_counts():
 def test_count_paths_expand_no_pairs(seven):
     plan = blocks.summary(token_blocking.build(seven), "dirty")._jdf.queryExecution().toString()
     assert "Join" not in plan and "Cartesian" not in plan
+
+
+SMALL = "/root/testdata/sf0.001"
+
+
+def test_sequential_blocks_hold_the_text(spark):
+    """Every true pair with a common token in any attribute ends in one class."""
+    d, t = views.load(spark, SMALL, "d5", "dirty")
+    want = {tuple(r) for r in blocks.same_block(token_blocking.build(d), t).collect()}
+    rep = {r.entity_id: r.rep_id for r in registry.QUERIES["it_sequential"](spark, SMALL).collect()}
+    assert want and all(a in rep and rep[a] == rep.get(b) for a, b in want)
