@@ -39,12 +39,14 @@ def recall_by(found: DataFrame, dims: list[str], mode: str = "group") -> DataFra
 def quality(postings: DataFrame, desc: DataFrame, truth: DataFrame, task: str, distinct_pairs: str = "exact") -> DataFrame:
     """One row: blocks, comparisons, distinct_pairs, tp, fn, fp, tn, recall, precision, precision_raw, f, rr, h3r.
 
-    distinct_pairs: 'exact', 'min_key', 'sketch' or 'none' (fp, tn, precision and f are null then).  Without truth recall is null, without candidates
+    distinct_pairs: 'exact', 'min_key', 'largest' (exact, too, without the pairs inside the largest block), 'sketch' or 'none' (fp, tn, precision and f are null then).  Without truth recall is null, without candidates
     precision; a reduction ratio below 0 has no harmonic mean with recall.
     """
     s = blocks.summary(postings, task).agg(F.count(F.lit(1)).alias("blocks"), F.coalesce(F.sum("comparisons"), F.lit(0)).cast(BIG).alias("comparisons"))
     if distinct_pairs == "sketch":
         p = pairs.estimate(postings, task)
+    elif distinct_pairs == "largest":
+        p = pairs.count(postings, task)
     elif distinct_pairs == "none":
         p = s.select(F.lit(None).cast("long").alias("distinct_pairs"))
     else:

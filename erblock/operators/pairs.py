@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from erblock.operators.blocks import useful
+from erblock.operators.blocks import comparisons, summary, useful
 
 
 def _sides(postings: DataFrame, task: str) -> tuple[DataFrame, DataFrame, F.Column]:
@@ -44,6 +44,29 @@ def distinct(postings: DataFrame, task: str, method: str = "exact") -> DataFrame
     return a.join(b, "block_key").where(order & (F.array_min(F.array_intersect("lk", "rk")) == F.col("block_key"))).select("left_id", "right_id")
 
 
+def count(postings: DataFrame, task: str) -> DataFrame:
+    """distinct_pairs, exactly: all pairs inside the largest block are candidates and are counted from its size;
+    only pairs with an end outside it are expanded, so a token that most descriptions share costs no square."""
+    side = F.col("collection") if task == "clean" else F.lit("L").alias("collection")
+    p = postings.select("block_key", side, "entity_id").distinct()
+    largest = summary(p, task).orderBy(F.desc("comparisons"), "block_key").limit(1).select("block_key")
+    inside = p.join(F.broadcast(largest), "block_key", "left_semi").select("collection", "entity_id")
+    p = p.join(inside.withColumn("inside", F.lit(True)), ["collection", "entity_id"], "left").withColumn("inside", F.coalesce("inside", F.lit(False)))
+    if task == "clean":
+        out, within = p.where("not inside"), p.where("inside")
+        left, right = F.col("collection") == "L", F.col("collection") == "R"
+        others = raw(out.where(left).unionByName(p.where(right)), task).unionByName(raw(within.where(left).unionByName(out.where(right)), task))
+    else:
+        out = p.where("not inside").select("block_key", F.col("entity_id").alias("x"))
+        within = p.where("inside").select("block_key", F.col("entity_id").alias("y"))
+        across = out.join(within, "block_key").select(F.least("x", "y").alias("left_id"), F.greatest("x", "y").alias("right_id"))
+        others = raw(p.where("not inside"), task).unionByName(across)
+    right = F.col("collection") == "R" if task == "clean" else F.lit(False)
+    size = inside.agg(F.count_if(~right).alias("n_left"), F.count_if(right).alias("n_right"))
+    n = others.distinct().agg(F.count(F.lit(1)).alias("others"))
+    return size.crossJoin(n).select((comparisons(task) + F.col("others")).cast("long").alias("distinct_pairs"))
+
+
 def tiled(postings: DataFrame, task: str, cap: int = 1000) -> DataFrame:
     """As ``raw``; blocks above ``cap`` are cut into tiles, so a frequent token is many tasks."""
     sizes = postings.groupBy("block_key").agg(F.count(F.lit(1)).alias("n"))

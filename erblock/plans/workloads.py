@@ -12,9 +12,9 @@ from erblock.operators import attr_clustering, measures, token_blocking, uri_inf
 from erblock.sources import views
 
 
-#: Collections whose candidate pairs aren't expanded: a token that all share makes them the square of the
-#: collection (``fp``, ``tn``, ``precision`` and ``f`` are null there; ``precision_raw`` isn't).
-COUNT_ONLY = {"d3"}
+#: Collections and tasks where a token that all of a side share makes pairs the square of the collection: those
+#: inside the largest block are counted from its size and not expanded.
+SHARED_TOKEN = {("d3", "dirty")}
 
 
 def postings(desc: DataFrame, method: str) -> DataFrame:
@@ -46,7 +46,7 @@ def quality(spark: SparkSession, sf_dir: str, collection: str, method: str, task
         if applies(method, collection, task):
             desc, truth = views.load(spark, sf_dir, collection, task)
             built = checkpoint(postings(desc, method))  # made once, all measures derive from it
-            rows.append(measures.quality(built, desc, truth, task, "none" if collection in COUNT_ONLY else "exact").select(F.lit(method).alias("method"), F.lit(collection).alias("collection"), F.lit(task).alias("task"), "*"))
+            rows.append(measures.quality(built, desc, truth, task, "largest" if (collection, task) in SHARED_TOKEN else "exact").select(F.lit(method).alias("method"), F.lit(collection).alias("collection"), F.lit(task).alias("task"), "*"))
     return reduce(DataFrame.unionByName, rows)
 
 

@@ -5,6 +5,7 @@ from pyspark.sql import functions as F
 
 from erblock import registry
 from erblock.operators import attr_clustering, blocks, iterative, measures, pairs, token_blocking, uri_infix
+from erblock.plans import workloads
 from erblock.sources import ingest, views
 
 #: The example's descriptions.
@@ -129,3 +130,15 @@ def test_sequential_blocks_hold_the_text(spark):
     want = {tuple(r) for r in blocks.same_block(token_blocking.build(d), t).collect()}
     rep = {r.entity_id: r.rep_id for r in registry.QUERIES["it_sequential"](spark, SMALL).collect()}
     assert want and all(a in rep and rep[a] == rep.get(b) for a, b in want)
+
+
+def test_pairs_are_counted_without_the_largest_block(seven):
+    for p in (token_blocking.build(seven), token_blocking.build(seven).limit(0)):
+        for task in ("dirty", "clean"):
+            assert pairs.count(p, task).first()[0] == pairs.distinct(p, task).count()
+
+
+@pytest.mark.parametrize("method", ["token", "attribute", "uri"])
+def test_d3_has_all_measures(spark, method):
+    rows = workloads.quality(spark, SMALL, "d3", method).collect()
+    assert len(rows) == (1 if method == "attribute" else 2) and all(None not in (r.distinct_pairs, r.fp, r.tn, r.precision) for r in rows)
