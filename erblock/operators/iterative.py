@@ -6,7 +6,7 @@ block graph, as components cannot influence each other, and is the reference for
 
 ``run_rounds`` is its form for a cluster: each round compares all pairs of current representatives that share
 a block and have not been compared, merges along connected components of the matches and relabels the
-postings.  With a matcher that stays true under merging both reach the same partition.
+postings.  A merged description is new: it is compared anew with what its members were compared with.  With a matcher that stays true under merging both reach the same partition.
 """
 
 from __future__ import annotations
@@ -61,25 +61,34 @@ class Run:
     converged: bool
 
 
-def run_rounds(postings: DataFrame, matcher: Matcher, max_rounds: int = 20) -> Run:
-    """Bulk-synchronous iterative blocking of a dirty collection."""
+def run_rounds(postings: DataFrame, matcher: Matcher, max_rounds: int = 20, partial: bool = False) -> Run:
+    """Bulk-synchronous iterative blocking of a dirty collection.
+
+    Raises if ``max_rounds`` do not reach a fixpoint, rather than return a wrong answer; with ``partial`` the state
+    after them is what is asked for.
+    """
     postings = checkpoint(postings.select("block_key", "entity_id").distinct())
     entity_map = postings.select("entity_id").distinct().withColumn("rep_id", F.col("entity_id"))
     entity_map = checkpoint(entity_map)
-    compared = None
+    compared = done = None  # every comparison; those between descriptions as they are now
     for number in range(1, max_rounds + 1):
         now = postings.join(entity_map, "entity_id").select("block_key", F.lit("L").alias("collection"), F.col("rep_id").alias("entity_id")).distinct()
         todo = pairs.distinct(now, "dirty").select(F.col("left_id").alias("a"), F.col("right_id").alias("b"))
-        if compared is not None:
-            todo = todo.join(compared, ["a", "b"], "left_anti")
+        if done is not None:
+            todo = todo.join(done, ["a", "b"], "left_anti")
         todo = checkpoint(todo.withColumn("round", F.lit(number)))
-        compared = todo if compared is None else checkpoint(compared.unionByName(todo))
+        compared = todo if compared is None else compared.unionByName(todo)
+        done = todo.select("a", "b") if done is None else done.unionByName(todo.select("a", "b"))
         found = checkpoint(matcher(todo.select("a", "b"), entity_map))
         if found.limit(1).count() == 0:
             return Run(entity_map, compared, number, True)
         comp = connected(found, "a", "b")
         joined = entity_map.join(comp.withColumnRenamed("node", "rep_id"), "rep_id", "left")
         entity_map = checkpoint(joined.select("entity_id", F.coalesce("component", "rep_id").alias("rep_id")))
+        merged = checkpoint(comp.select("node"))
+        done = checkpoint(done.join(merged.withColumnRenamed("node", "a"), "a", "left_anti").join(merged.withColumnRenamed("node", "b"), "b", "left_anti").select("a", "b"))
+    if not partial:
+        raise RuntimeError(f"iterative blocking did not settle in {max_rounds} rounds")
     return Run(entity_map, compared, max_rounds, False)
 
 

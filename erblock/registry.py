@@ -228,7 +228,7 @@ _add("it_rounds_oracle_d6", _on("d6", "dirty", _it_oracle), _with("d6", "dirty",
 _add("it_rounds_jaccard", _on("d5", "dirty", _it_jaccard))
 _add("it_comparisons", _on("d5", "dirty", _it_comparisons))
 _add("it_sequential", _on("d5", "dirty", lambda d, t: iterative.run_sequential(token_blocking.build(d), _tokens_of(d), truth=t)))
-_add("it_first_pass", _on("d5", "dirty", lambda d, t: iterative.run_rounds(token_blocking.build(d), iterative.oracle(t), max_rounds=1).entity_map))
+_add("it_first_pass", _on("d5", "dirty", lambda d, t: iterative.run_rounds(token_blocking.build(d), iterative.oracle(t), max_rounds=1, partial=True).entity_map))
 
 
 # Descriptive statistics

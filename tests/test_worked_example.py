@@ -142,3 +142,16 @@ def test_pairs_are_counted_without_the_largest_block(seven):
 def test_d3_has_all_measures(spark, method):
     rows = workloads.quality(spark, SMALL, "d3", method).collect()
     assert len(rows) == (1 if method == "attribute" else 2) and all(None not in (r.distinct_pairs, r.fp, r.tn, r.precision) for r in rows)
+
+
+def test_merged_descriptions_are_compared_anew(spark):
+    sets = {"a": range(1, 10), "b": range(1, 13), "c": [*range(1, 9), 10]}
+    t = spark.createDataFrame([(e, str(x)) for e, v in sets.items() for x in v], "entity_id string, token string")
+    p = t.select(F.col("token").alias("block_key"), F.lit("L").alias("collection"), "entity_id")
+    run = iterative.run_rounds(p, iterative.jaccard(t, 0.8))
+    # Three pairs, then the union of a and c against b.
+    assert partition(run.entity_map.collect()) == ["abc"] and run.compared.count() == 4
+    assert partition(iterative.run_sequential(p, t, theta=0.8).collect()) == ["abc"]
+    with pytest.raises(RuntimeError):
+        iterative.run_rounds(p, iterative.jaccard(t, 0.8), max_rounds=1)
+    assert partition(iterative.run_rounds(p, iterative.jaccard(t, 0.8), max_rounds=1, partial=True).entity_map.collect()) == ["ac"]
