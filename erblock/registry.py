@@ -315,9 +315,8 @@ _add("cmp_methods", lambda spark, sf: workloads.matrix(spark, sf), _matrix_sql(A
 _DELTA = """SELECT m.collection, m.task, m.method, round((m.recall - b.recall) * 100, 8) AS recall_points, m.fn - b.fn AS extra_misses,
 round(m.precision / nullif(b.precision, 0), 8) AS precision_ratio, round(m.comparisons::DOUBLE / nullif(b.comparisons::DOUBLE, 0), 8) AS comparison_ratio
 FROM m JOIN m b ON b.method = 'token' AND m.method <> 'token' AND b.collection = m.collection AND b.task = m.task"""
-_few = ("d1", "d2", "d4", "d5", "d7")
-_add("cmp_delta", lambda spark, sf: measures.delta(workloads.matrix(spark, sf, _few)), f"WITH m AS ({_matrix_sql(_few)}) {_DELTA}")
-_add("cmp_cube", lambda spark, sf: workloads.matrix(spark, sf, _few).rollup("role", "method").agg(F.count(F.lit(1)).alias("cells"), F.round(F.avg("recall"), 8).alias("recall"), F.round(F.avg("rr"), 8).alias("rr")), f"WITH m AS ({_matrix_sql(_few)}) SELECT role, method, count(*) AS cells, round(avg(recall), 8) AS recall, round(avg(rr), 8) AS rr FROM m GROUP BY ROLLUP (role, method)")
+_add("cmp_delta", lambda spark, sf: measures.delta(workloads.matrix(spark, sf, ALL)), f"WITH m AS ({_matrix_sql(ALL)}) {_DELTA}")
+_add("cmp_cube", lambda spark, sf: workloads.matrix(spark, sf, ALL).rollup("role", "collection", "method").agg(F.count(F.lit(1)).alias("cells"), F.round(F.avg("recall"), 8).alias("recall"), F.round(F.avg("rr"), 8).alias("rr")), f"WITH m AS ({_matrix_sql(ALL)}) SELECT role, collection, method, count(*) AS cells, round(avg(recall), 8) AS recall, round(avg(rr), 8) AS rr FROM m GROUP BY ROLLUP (role, collection, method)")
 
 
 # Streams

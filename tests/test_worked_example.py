@@ -155,3 +155,16 @@ def test_merged_descriptions_are_compared_anew(spark):
     with pytest.raises(RuntimeError):
         iterative.run_rounds(p, iterative.jaccard(t, 0.8), max_rounds=1)
     assert partition(iterative.run_rounds(p, iterative.jaccard(t, 0.8), max_rounds=1, partial=True).entity_map.collect()) == ["ac"]
+
+
+def test_comparisons_of_methods_are_over_all_collections(spark, monkeypatch):
+    def matrix(spark, sf, collections=registry.ALL):
+        cells = [(m, c, views.COLLECTIONS[c].role, "clean", 1, "2", 1, 0, 1.0, 0.5, 0.5, 0.6) for c in collections for m in ("token", "attribute")]
+        return spark.createDataFrame(cells, "method string, collection string, role string, task string, blocks long, comparisons string, tp long, fn long, recall double, precision double, rr double, h3r double")
+
+    monkeypatch.setattr(workloads, "matrix", matrix)
+    assert {r.collection for r in registry.QUERIES["cmp_delta"](spark, "").collect()} == set(views.COLLECTIONS)
+    cube = registry.QUERIES["cmp_cube"](spark, "").collect()
+    assert {(r.role, r.collection) for r in cube if r.collection and r.method} == {(c.role, n) for n, c in views.COLLECTIONS.items()}
+    for name in ("cmp_delta", "cmp_cube"):
+        assert all(f"'{c}' AS collection" in registry.ORACLE[name] for c in views.COLLECTIONS)
