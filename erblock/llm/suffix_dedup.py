@@ -21,6 +21,10 @@ neighbours that start with the same byte is one more than the least common prefi
 Suffix tuples and common prefixes lie in arrays that are mapped to disk beyond a memory bound.  A window
 repeats if a neighbour shares ``length`` bytes or its context occurs more than once.
 
+Contexts reach a shard's task in order, so equal ones are neighbours and none is looked up.  A group whose contexts
+exceed a bound is not held: its windows (a digest of 128 bits each, with their offset) pass through the same
+queue, where equal ones are neighbours, and marks lie in an array that is mapped to disk beyond a memory bound.
+
 Results are joined back to the texts that hold the contexts, and cut out.
 
 Edge cases: null text is empty; texts shorter than ``length`` keep all bytes; ids may be null or repeat, rows are
@@ -52,6 +56,8 @@ HOT, SPLIT = 2000, 24
 MEMORY_BYTES, RUN_BYTES = 128 << 20, 64 << 20
 #: Contexts that are sorted together (whole anchors; a larger anchor is a chunk of its own).
 CHUNK = 40_000
+#: Bytes of the contexts of one group (with their overhead) above which it goes through the disk-backed queue window by window.
+GROUP_BYTES = 64 << 20
 #: Distinct texts up to which their keys (two numbers each) are broadcast.
 BROADCAST_ROWS = 1_000_000
 
@@ -231,12 +237,110 @@ def repeated_windows(contexts: list[tuple[int, int, bytes, int]], length: int =
         order, common = member[by], new_common
     out = []
     for i in range(n):
-        m = np.flatnonzero(np.diff(np.concatenate([[False], marked[i, : last[i] + 1], [False]]).astype(np.int8)))
-        out.append([(int(a), int(b) - 1) for a, b in zip(m[0::2], m[1::2], strict=True)])
+        out.append(_runs(marked[i, : last[i] + 1]))
     scratch.close()
     return out
 
 
+class LargeGroup:
+    """A group that memory does not hold: its contexts' numbers are kept on disk, its windows in the queue."""
+
+    def __init__(self, length: int = LENGTH, run_bytes: int = RUN_BYTES, memory_bytes: int = MEMORY_BYTES):
+        self.length, self.queue, self.scratch = length, DiskQueue(run_bytes), Scratch(memory_bytes)
+        self.dir = tempfile.TemporaryDirectory(prefix="suffix-group-")
+        self.file = open(os.path.join(self.dir.name, "contexts"), "wb+")
+        self.n = self.width = 0
+
+    def add(self, o: int, cid: int, x: bytes, times: int) -> None:
+        import xxhash
+
+        windows = len(x) - self.length + 1
+        self.width = max(self.width, windows)
+        self.file.write(np.array([o, cid, windows, times], dtype=np.int64).tobytes())
+        for j in range(windows):
+            self.queue.push(o - j, xxhash.xxh3_128_digest(x[j : j + self.length]), self.n << 8 | j)
+        self.n += 1
+
+    def solve(self) -> Iterator[tuple[int, int, list[tuple[int, int]]]]:
+        """(place, id, runs of repeated windows) of the contexts that have some."""
+        marked = self.scratch.array((self.n, self.width), np.bool_)
+        before: tuple = (None, None, -1)
+        for entry in self.queue.drain():
+            if entry[:2] == before[:2]:
+                for number in (before[2], entry[2]):
+                    marked[number >> 8, number & 255] = True
+            before = entry
+        self.file.seek(0)
+        for i in range(self.n):
+            o, cid, windows, times = np.frombuffer(self.file.read(32), dtype=np.int64).tolist()
+            runs = [(0, windows - 1)] if times > 1 else _runs(marked[i, :windows])
+            if runs:
+                yield o, cid, runs
+        self.file.close()
+        self.dir.cleanup()
+        self.scratch.close()
+
+
+def _runs(marks: np.ndarray) -> list[tuple[int, int]]:
+    """Maximal runs [first, last] of marks."""
+    m = np.flatnonzero(np.diff(np.concatenate([[False], marks, [False]]).astype(np.int8)))
+    return [(int(a), int(b) - 1) for a, b in zip(m[0::2], m[1::2], strict=True)]
+
+
+def shard_runs(rows: Iterator[tuple], length: int = LENGTH, group_bytes: int = GROUP_BYTES, run_bytes: int = RUN_BYTES, memory_bytes: int = MEMORY_BYTES) -> Iterator[tuple]:
+    """(h, c, o, cid, runs of repeated windows) of contexts (h, c, o, cid, bytes, times) that come in order.
+
+    Holds whole groups of up to CHUNK contexts together, and one group of up to ``group_bytes`` besides.
+    """
+    held: list[tuple] = []  # whole groups
+    group: list[tuple] = []  # the group that is being read
+    size, large, last = 0, None, None
+
+    def solve(items: list[tuple]) -> Iterator[tuple]:
+        if items:
+            found = repeated_windows([((h, c), o, x, t) for h, c, o, _, x, t in items], length, run_bytes, memory_bytes)
+            yield from ((*item[:4], runs) for item, runs in zip(items, found, strict=True) if runs)
+
+    def merged() -> Iterator[tuple]:
+        """Equal neighbours as one row; None at the end."""
+        now = None
+        for row in rows:
+            if now is not None and now[:5] == row[:5]:
+                now = (*now[:5], now[5] + row[5])
+            else:
+                if now is not None:
+                    yield now
+                now = row
+        if now is not None:
+            yield now
+        yield None
+
+    for row in merged():
+        if row is None or row[:2] != last:
+            if large is not None:
+                yield from ((*last, *x) for x in large.solve())
+                large = None
+            held += group
+            group, size = [], 0
+            if row is None or len(held) > CHUNK:
+                yield from solve(held)
+                held = []
+            if row is None:
+                return
+            last = row[:2]
+        if large is None:
+            group.append(row)
+            size += len(row[4]) + 200
+            if size <= group_bytes:
+                continue
+            large = LargeGroup(length, run_bytes, memory_bytes)
+            for _, _, o, cid, x, t in group:
+                large.add(o, cid, x, t)
+            group, size = [], 0
+        else:
+            large.add(*row[2:])
+
+
 def _common(a: bytes, b: bytes) -> int:
     """Length of the common prefix."""
     n = min(len(a), len(b))
@@ -374,31 +478,20 @@ def _sort_shards(contexts: DataFrame, length: int) -> DataFrame:
 
         arrow = to_arrow_schema(schema)
 
-        def solve(held: dict) -> Iterator:
-            items = list(held.items())
-            if items:
-                found = repeated_windows([((h, c), o, x, t[1]) for (h, c, o, x), t in items], length)
-                rows = [{"h": h, "c": c, "o": o, "cid": t[0], "spans": [{"a": a, "b": b + length} for a, b in runs]} for ((h, c, o, x), t), runs in zip(items, found, strict=True) if runs]
-                if rows:
-                    yield pa.RecordBatch.from_pylist(rows, schema=arrow)
+        def rows() -> Iterator[tuple]:
+            for batch in batches:
+                yield from zip(*(col.to_pylist() for col in batch.columns), strict=True)
 
-        held: dict[tuple[int, int, int, bytes], list[int]] = {}
-        before = None
-        for batch in batches:
-            for h, c, o, cid, x, t in zip(*(col.to_pylist() for col in batch.columns), strict=True):
-                if (h, c) != before:
-                    if len(held) > CHUNK:
-                        yield from solve(held)
-                        held = {}
-                    before = (h, c)
-                entry = held.get((h, c, o, x))
-                if entry is None:
-                    held[h, c, o, x] = [cid, t]
-                else:
-                    entry[1] += t
-        yield from solve(held)
-
-    return contexts.repartition(F.col("h"), F.col("c")).sortWithinPartitions("h", "c").select("h", "c", "o", "cid", "bytes", "times").mapInArrow(run, schema)
+        found = []
+        for h, c, o, cid, runs in shard_runs(rows(), length):
+            found.append({"h": h, "c": c, "o": o, "cid": cid, "spans": [{"a": a, "b": b + length} for a, b in runs]})
+            if len(found) >= 10_000:
+                yield pa.RecordBatch.from_pylist(found, schema=arrow)
+                found = []
+        if found:
+            yield pa.RecordBatch.from_pylist(found, schema=arrow)
+
+    return contexts.repartition(F.col("h"), F.col("c")).sortWithinPartitions("h", "c", "o", "cid", "bytes").select("h", "c", "o", "cid", "bytes", "times").mapInArrow(run, schema)
 
 
 def _merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
