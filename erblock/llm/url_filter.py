@@ -6,8 +6,8 @@ one column expression.
 
 *Method.*  Lexical features of a url (lengths, depth, digit and symbol ratios, entropy of its characters,
 parameter counts, and how often urls with its host suffix are blocked among the labelled) go to boosted
-trees.  Labelled urls are those that a rule decides, or the caller's own; the trees are fitted on at most
-``max_labelled`` of them, taken by a hash of the url.  Training and scoring run in the JVM.
+trees.  Labelled urls are those that a rule decides, or the caller's own.  Suffixes are counted over all labelled
+rows; the trees are fitted on at most ``max_labelled`` distinct urls of both kinds, taken by a hash of the url.  Training and scoring run in the JVM.
 
 The fitted trees are turned into one SQL expression, so scoring is a projection inside code generation.
 
@@ -28,8 +28,8 @@ from erblock.llm.common import checkpoint, let
 
 #: Labelled urls that the trees are fitted on at most.
 MAX_LABELLED = 20_000
-#: Host suffixes kept in the statistics at most (the most frequent).
-MAX_SUFFIXES = 1_000
+#: Host suffixes up to which their statistics are broadcast.
+BROADCAST_ROWS = 100_000
 
 
 @dataclass(frozen=True)
@@ -106,6 +106,9 @@ def _entropy(text: Column) -> Column:
     return let(F.filter(F.split(text, ""), lambda c: c != ""), over)
 
 
+#: The last two labels of the host.
+SUFFIX = r"([^.]+\.[^.]+|[^.]*)$"
+
 FEATURES = ("url_length", "host_length", "path_length", "host_labels", "depth", "digit_ratio", "symbol_ratio", "entropy", "n_params", "n_hyphens", "has_fragment", "secure", "lang_segment", "suffix_rate", "suffix_count")
 
 
@@ -130,7 +133,7 @@ def features(df: DataFrame, url_col: str = "url") -> DataFrame:
         "secure": u.startswith("https").cast("int"),
         "lang_segment": F.crc32(F.regexp_extract("path", r"^/([a-z]{2})(?:/|$)", 1)) % 97,
     }
-    return df.withColumns({k: v.cast("double") for k, v in out.items()}).withColumn("suffix", F.regexp_extract("host", r"([^.]+\.[^.]+|[^.]*)$", 1))
+    return df.withColumns({k: v.cast("double") for k, v in out.items()}).withColumn("suffix", F.regexp_extract("host", SUFFIX, 1))
 
 
 def _sql_of(trees: list, weights: list[float], names: Sequence[str]) -> str:
@@ -147,39 +150,49 @@ def _sql_of(trees: list, weights: list[float], names: Sequence[str]) -> str:
 
 @dataclass(frozen=True)
 class Model:
-    """Fitted filter: suffix statistics (MAX_SUFFIXES rows at most) and the margin as SQL (above 0: block)."""
+    """Fitted filter: suffix statistics (of all labelled rows) and the margin as SQL (above 0: block)."""
 
     suffixes: DataFrame
+    few: bool
     prior: float
     margin: str
 
 
-def _with_suffix(df: DataFrame, suffixes: DataFrame, prior: float) -> DataFrame:
-    joined = df.join(F.broadcast(suffixes), "suffix", "left")
+def _with_suffix(df: DataFrame, suffixes: DataFrame, few: bool, prior: float) -> DataFrame:
+    joined = df.join(F.broadcast(suffixes) if few else suffixes, "suffix", "left")
     return joined.withColumns({"suffix_rate": F.coalesce("suffix_rate", F.lit(prior)), "suffix_count": F.coalesce("suffix_count", F.lit(0.0))})
 
 
 def fit(labelled: DataFrame, url_col: str = "url", max_labelled: int = MAX_LABELLED, rounds: int = 8, depth: int = 4) -> Model | None:
     """Fit on rows with a url and ``block`` (0 or 1); None if one kind is missing.
 
-    Of more than ``max_labelled`` rows those with the smallest url hashes are taken.
+    Suffix statistics are of all rows.  Of more than ``max_labelled`` distinct urls those with the smallest
+    hashes are taken of each kind, a tenth at least of a rare one, and weighted back to the shares of the kinds.
     """
     from pyspark.ml.classification import GBTClassifier
     from pyspark.ml.feature import VectorAssembler
 
-    sample = labelled.select(url_col, F.col("block").cast("double").alias("block")).where(f"{url_col} is not null and block is not null")
-    sample = sample.withColumn("_h", F.xxhash64(url_col)).orderBy("_h", url_col, "block").limit(max_labelled)
-    sample = checkpoint(features(parts(sample, url_col), url_col).drop("_h"))
-    total, positive = sample.agg(F.count(F.lit(1)), F.sum("block")).first()
+    known = labelled.select(url_col, F.col("block").cast("double").alias("block")).where(f"{url_col} is not null and block is not null")
+    counts = parts(known, url_col).select(F.regexp_extract("host", SUFFIX, 1).alias("suffix"), "block")
+    counts = checkpoint(counts.groupBy("suffix").agg(F.sum("block").alias("p"), F.count(F.lit(1)).alias("n")))
+    total, positive, n_suffixes = counts.agg(F.sum("n"), F.sum("p"), F.count(F.lit(1))).first()
     if not total or not 0 < positive < total:
         return None
-    prior = positive / total
-    rate = (F.sum("block") + F.lit(2 * prior)) / (F.count(F.lit(1)) + 2)
-    suffixes = sample.groupBy("suffix").agg(rate.alias("suffix_rate"), F.count(F.lit(1)).cast("double").alias("suffix_count"))
-    suffixes = checkpoint(suffixes.orderBy(F.desc("suffix_count"), "suffix").limit(MAX_SUFFIXES))
-    ready = VectorAssembler(inputCols=list(FEATURES), outputCol="x").transform(_with_suffix(sample, suffixes, prior)).select("x", "block")
-    model = GBTClassifier(featuresCol="x", labelCol="block", maxIter=rounds, maxDepth=depth, seed=7, checkpointInterval=-1).fit(ready)
-    return Model(suffixes, prior, _sql_of(model.trees, list(model.treeWeights), FEATURES))
+    prior, few = positive / total, n_suffixes <= BROADCAST_ROWS
+    suffixes = counts.select("suffix", ((F.col("p") + F.lit(2 * prior)) / (F.col("n") + 2)).alias("suffix_rate"), F.col("n").cast("double").alias("suffix_count"))
+    urls = known.distinct()
+    kinds = {r["block"]: r["n"] for r in urls.groupBy("block").agg(F.count(F.lit(1)).alias("n")).collect()}
+    sample, every = None, sum(kinds.values())
+    rare = min(min(kinds.values()), max(max_labelled * min(kinds.values()) // every, max_labelled // 10, 1))
+    for block, n in sorted(kinds.items()):
+        most = n if every <= max_labelled else rare if block == min(kinds, key=lambda k: (kinds[k], k)) else min(n, max(max_labelled - rare, 1))
+        some = urls.where(F.col("block") == block).withColumn("_h", F.xxhash64(url_col)).orderBy("_h", url_col).limit(most)
+        some = some.withColumn("weight", F.lit(n / most))
+        sample = some if sample is None else sample.unionByName(some)
+    sample = checkpoint(features(parts(sample, url_col), url_col).drop("_h"))
+    ready = VectorAssembler(inputCols=list(FEATURES), outputCol="x").transform(_with_suffix(sample, suffixes, few, prior)).select("x", "block", "weight")
+    model = GBTClassifier(featuresCol="x", labelCol="block", weightCol="weight", maxIter=rounds, maxDepth=depth, seed=7, checkpointInterval=-1).fit(ready)
+    return Model(suffixes, few, prior, _sql_of(model.trees, list(model.treeWeights), FEATURES))
 
 
 def judge(pages: DataFrame, rules: Sequence[Rule] = RULES, labelled: DataFrame | None = None, id_col: str = "page_id", url_col: str = "url") -> DataFrame:
@@ -193,7 +206,7 @@ def judge(pages: DataFrame, rules: Sequence[Rule] = RULES, labelled: DataFrame |
     if model is None:
         out = slim.withColumn("margin", F.lit(0.0))
     else:
-        scored = _with_suffix(features(slim), model.suffixes, model.prior)
+        scored = _with_suffix(features(slim), model.suffixes, model.few, model.prior)
         out = scored.withColumn("margin", F.expr(model.margin))
     verdict = F.coalesce(F.col("said"), F.when(F.col("margin") > 0, F.lit("block")).otherwise(F.lit("allow")))
     return out.select("page_id", "host", "path", "rule", verdict.alias("verdict"), F.when(F.col("said").isNull(), F.col("margin")).alias("margin"))
