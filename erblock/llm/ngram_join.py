@@ -234,9 +234,9 @@ def _tile(blocks: list[bytes], need: dict[int, int], threshold: Fraction) -> tup
 
 
 def near_duplicates(docs: DataFrame, threshold: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, tkey, node, class_id, n_links of every row.
+    """doc_id, tkey, node, class_id, n_links, class_node of every row.
 
-    class_id: least id of the class (texts connected by links of at least ``threshold``);
+    class_node names the class, also where no row has an id (null for a text without words); class_id: least id of the class (texts connected by links of at least ``threshold``);
     n_links: number of other rows that are linked to it directly.
     """
     need, exact = needed(threshold), Fraction(threshold).limit_denominator(1000)
@@ -305,23 +305,33 @@ def near_duplicates(docs: DataFrame, threshold: float = 0.8, id_col: str = "doc_
     classes = connected(linked.select("node", "least"), "node", "least")
     per = linked.groupBy("node").agg(F.sum("links").alias("links"))
     of_class = classes.join(nodes.select("node", "first_id"), "node").groupBy("component").agg(F.min("first_id").alias("class_first"))
-    classes = classes.join(of_class, "component").select("node", "class_first")
+    classes = classes.join(of_class, "component").select("node", "class_first", "component")
     per_node = nodes.select("node", "first_id", "copies").join(per, "node", "left").join(classes, "node", "left")
-    per_node = per_node.select("node", F.coalesce("class_first", "first_id").alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
+    per_node = per_node.select("node", F.coalesce("class_first", "first_id").alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"), F.coalesce("component", "node").alias("class_node"))
     out = rows.join(per_node, "node", "left")
-    return out.select("doc_id", "tkey", "node", F.when(F.col("node").isNull(), F.col("doc_id")).otherwise(F.col("class_id")).alias("class_id"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
+    return out.select("doc_id", "tkey", "node", F.when(F.col("node").isNull(), F.col("doc_id")).otherwise(F.col("class_id")).alias("class_id"), F.coalesce("n_links", F.lit(0)).alias("n_links"), "class_node")
 
 
 def keep_one(docs: DataFrame, threshold: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of ``docs`` but those that are not the first of their class.
+    """One row of each class of ``docs``, and all texts without words.
 
-    The row with the class's own id stays (rows that repeat it with the same text, too); texts without
-    words all stay, as do classes none of whose rows has an id.
+    The row with the class's own id stays, of several texts with it the one of the least key, of repeated rows
+    the least by its columns (which have to be orderable); rows without id only where their class has none.
     """
     marks = near_duplicates(docs, threshold, id_col, text_col)
-    drop = checkpoint(marks.where("node is not null and not (doc_id <=> class_id)").select(F.col("doc_id").alias("_d"), F.col("tkey").alias("_k")).distinct())
-    if drop.count() <= BROADCAST_ROWS:
-        drop = F.broadcast(drop)
+    keys = marks.where("node is not null and n_links > 0").groupBy("doc_id", "tkey", "class_node").agg(F.count(F.lit(1)).alias("n"))
+    keys = checkpoint(keys.select(F.col("doc_id").alias("_d"), F.col("tkey").alias("_k"), "class_node", "n"))
+    first = keys.groupBy("class_node").agg(F.min(F.struct(F.col("_d").isNull().alias("none"), "_d", "_k", "n")).alias("first"))
+    first = checkpoint(first.select("first._d", "first._k", "first.n"))
+
+    def of(left: DataFrame, d: str, k: str, right: DataFrame, how: str) -> DataFrame:
+        right = right.select(F.col("_d").alias("_rd"), F.col("_k").alias("_rk"))
+        right = F.broadcast(right) if right.count() <= BROADCAST_ROWS else right
+        return left.join(right, left[d].eqNullSafe(F.col("_rd")) & (left[k] == F.col("_rk")), how)
+
+    drop = checkpoint(of(keys, "_d", "_k", first, "left_anti"))
+    repeated = first.where("n > 1")
     keyed = docs.withColumn("_t", F.xxhash64(text_col))
-    kept = keyed.join(drop, keyed[id_col].eqNullSafe(drop["_d"]) & (keyed["_t"] == drop["_k"]), "left_anti")
-    return kept.drop("_t")
+    kept = of(of(keyed, id_col, "_t", drop, "left_anti"), id_col, "_t", repeated, "left_anti")
+    once = of(keyed, id_col, "_t", repeated, "left_semi").groupBy(F.col(id_col).alias("_d"), "_t").agg(F.min(F.struct(*docs.columns)).alias("row"))
+    return kept.drop("_t").unionByName(once.select("row.*"))
