@@ -117,10 +117,11 @@ FROM d JOIN r ON d.source IS NOT DISTINCT FROM r.source
 OP7_SQL = """
 WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: floor(256 * x::DOUBLE)::BIGINT) AS e FROM embeddings
            WHERE embedding IS NOT NULL AND len(embedding) > 0 AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0),
-p AS (SELECT q.vec_id AS query_id, c.vec_id, list_sum(list_transform(list_zip(q.e, c.e), lambda z: z[1] * z[2]))::BIGINT AS score
-      FROM v q JOIN v c ON q.vec_id % 50 = 0 AND q.vec_id <> c.vec_id)
+q AS (SELECT DISTINCT vec_id, e FROM v WHERE vec_id % 50 = 0),
+p AS (SELECT q.vec_id AS query_id, q.e, c.vec_id, list_sum(list_transform(list_zip(q.e, c.e), lambda z: z[1] * z[2]))::BIGINT AS score
+      FROM q JOIN v c ON q.vec_id <> c.vec_id)
 SELECT query_id, rank, vec_id, score FROM
-  (SELECT *, (row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id))::INT AS rank FROM p) WHERE rank <= 5
+  (SELECT *, (row_number() OVER (PARTITION BY query_id, e ORDER BY score DESC, vec_id))::INT AS rank FROM p) WHERE rank <= 5
 """
 
 OP2_SQL = f"""
