@@ -1,20 +1,23 @@
 """Log-likelihood of whole documents under a gated recurrent class language model.
 
-*Factoring.*  A word's probability is P(class | all words before) * P(word | class).  The class comes from
-the word alone: the most frequent words have a class of their own, any other word falls into a class
-by its form (its last letters), so unseen words have one, too.  The class softmax is computed from the
-recurrent state.  The word softmax has a bias per word and no state; its optimum is the word's smoothed
-share of its class, counted over the whole corpus - so the vocabulary is unbounded, lives in a table of
-the cluster and is never collected.  Both factors sum to 1.
+*Factoring.*  A word's probability is P(class | all words before) * P(word | class, all words before).  The most
+frequent words are dealt by rank to classes of ``WIDTH`` words; any other word falls into a class by its form (its
+last letters), so unseen words have one, too; the end of a text is a class.  The class softmax and the word
+softmax inside the classes of frequent words are computed from the recurrent state.  In a class by form the word
+softmax has a bias per word and no state; its optimum is the word's smoothed share of its class, counted over
+the whole corpus - so the vocabulary is unbounded, lives in a table of the cluster and is never collected.
+Every factor sums to 1.
 
 *Network.*  A gated recurrent unit in numpy, trained by truncated back-propagation through time: documents
 run side by side, windows of ``WINDOW`` words, state carried from window to window (gradients stop there).
 Every partition trains from the common weights on all its documents; the weights are averaged by words
-seen, parameter by parameter, in an aggregation.  Rounds deal all training documents out by hash, so
-that each is learnt from once.  Only the averaged weights (a few thousand numbers) reach the driver.
+seen, in two levels of sums of bounded groups.  Rounds deal all training documents out by hash, so
+that each is learnt from once.  Only sums of weights (one per 4,096 partitions) reach the driver.
 
-*Scoring.*  State is carried over all windows of a document: nothing is cut.  Words of the frequent
-head are looked up in a broadcast of ``HEAD`` entries at most; the rest meets its counts in a join.
+*Scoring.*  State is carried over all windows of a document: nothing is cut.  The states of many documents are
+gathered, as they do not depend on the outputs, and the two softmaxes are computed in blocks, one matrix per class.
+Words of the frequent head are looked up in a broadcast of ``HEAD`` entries at most (the cut is found from a
+histogram of counts, so no more than the head is collected); the rest meets its counts in a join.
 
 Edge cases: null text is empty (only the end token); ids may be null (they count as the word ``null`` in the
 split) or repeat, each row is scored on its own; without training documents all tokens are equally
@@ -26,6 +29,8 @@ from __future__ import annotations
 import math
 from collections import Counter
 from collections.abc import Iterator
+from dataclasses import dataclass
+from itertools import repeat
 
 import numpy as np
 from pyspark.sql import Column, DataFrame
@@ -34,14 +39,20 @@ from pyspark.sql import types as T
 
 from erblock.llm.common import checkpoint
 
-#: Frequent words with a class of their own, classes by word form, hidden units.
-OWN, FORMS, HIDDEN = 40, 40, 16
-CLASSES = OWN + FORMS + 1  # and the end token
-END_CLASS = CLASSES - 1
+#: Classes of frequent words and words in each, classes by word form, hidden units.
+BLOCKS, WIDTH, FORMS, HIDDEN = 32, 32, 32, 16
+#: Slots: a frequent word's own, one per form, the end; a text's first input is one more.
+OWN = BLOCKS * WIDTH
+END = OWN + FORMS
+START = END + 1
+CLASSES = BLOCKS + FORMS + 1
+CLASS_OF = np.concatenate([np.repeat(np.arange(BLOCKS), WIDTH), np.arange(BLOCKS, CLASSES)]).astype(np.int16)
 #: Frequent words whose counts are broadcast at most.
-HEAD = 65_536
-#: Words in a window of truncated back-propagation; documents side by side; documents by bytes in one sweep.
-WINDOW, LANES, SWEEP_BYTES = 24, 384, 12 << 20
+HEAD = 262_144
+#: Words in a window of truncated back-propagation; documents side by side; bytes of the texts in one sweep.
+WINDOW, LANES, SWEEP_BYTES = 20, 512, 32 << 20
+#: States whose softmaxes are computed together.
+ROWS = 8192
 #: Shares of the training documents in each round of training.
 ROUNDS = (1 / 8, 7 / 8)
 RATE = 0.02
@@ -63,35 +74,50 @@ def _crc(id_col: str) -> Column:
     return F.crc32(F.coalesce(F.col(id_col).cast("string"), F.lit("null")).cast("binary"))
 
 
-class Classes(dict):
-    """Word to class; unknown words by form."""
-
-    def __init__(self, own: list[bytes]):
-        super().__init__({w: i for i, w in enumerate(own[:OWN])})
-        self.own = dict(self)
-
-    def __missing__(self, word: bytes) -> int:
-        h = 7
-        for c in word.rstrip(b".,;:!?")[-2:]:
-            h = (h * 131 + c) % 1_000_003
-        n = OWN + h % FORMS
-        if len(self) > 200_000:
-            self.clear()
-            self.update(self.own)
-        self[word] = n
-        return n
-
-    def ids(self, words: list[bytes]) -> np.ndarray:
-        """Classes of the words and the end token."""
-        out = np.empty(len(words) + 1, dtype=np.int16)
-        out[:-1] = np.fromiter(map(self.__getitem__, words), dtype=np.int16, count=len(words))
-        out[-1] = END_CLASS
-        return out
+def form(word: bytes) -> int:
+    """Slot of a word that has none of its own: by its last two letters."""
+    h = 7
+    for c in word.rstrip(b".,;:!?")[-2:]:
+        h = (h * 131 + c) % 1_000_003
+    return OWN + h % FORMS
+
+
+@dataclass
+class Head:
+    """Frequent words: number of each, and by number log10(count + 0.5), slot, and what the model adds for it:
+    log10 of its share of its class by form (0 for a word with a slot of its own, which the network covers)."""
+
+    number: dict[bytes, int]
+    logs: np.ndarray
+    slots: np.ndarray
+    share: np.ndarray
+
+    def read(self, words: list[bytes], forms: dict[bytes, int]) -> tuple[np.ndarray, np.ndarray, list[bytes]]:
+        """(numbers, slots with the end, the words without a number)."""
+        numbers = np.fromiter(map(self.number.get, words, repeat(-1)), dtype=np.int32, count=len(words))
+        slots = np.empty(len(words) + 1, dtype=np.int16)
+        slots[-1] = END
+        rare: list[bytes] = []
+        if len(self.slots):
+            slots[:-1] = self.slots[numbers]
+        spots = np.flatnonzero(numbers < 0)
+        if len(spots):
+            rare = [words[i] for i in spots.tolist()]
+            if len(forms) > 200_000:
+                forms.clear()
+            found = []
+            for w in rare:
+                f = forms.get(w)
+                if f is None:
+                    f = forms[w] = form(w)
+                found.append(f)
+            slots[spots] = found
+        return numbers, slots, rare
 
 
 # ---------------------------------------------------------------- the network
 
-SHAPES = {"x": (CLASSES + 1, 3 * HIDDEN), "u": (HIDDEN, 3 * HIDDEN), "w": (HIDDEN, CLASSES), "b": (CLASSES,)}
+SHAPES = {"x": (START + 1, 3 * HIDDEN), "u": (HIDDEN, 3 * HIDDEN), "w": (HIDDEN, CLASSES), "b": (CLASSES,), "v": (BLOCKS, HIDDEN, WIDTH), "c": (BLOCKS, WIDTH)}
 SIZE = sum(math.prod(s) for s in SHAPES.values())
 
 
@@ -104,59 +130,118 @@ def unpack(flat: np.ndarray) -> dict[str, np.ndarray]:
     return out
 
 
-def initial(class_counts: np.ndarray) -> np.ndarray:
-    """Small fixed weights; the output bias starts at the classes' log shares."""
+def initial(own_counts: np.ndarray, class_counts: np.ndarray) -> np.ndarray:
+    """Small fixed weights; the output biases start at the log shares of the classes, and of the words in theirs.
+
+    own_counts: occurrences of the frequent words in the order of their slots; a slot without a word gets none.
+    """
     rng = np.random.default_rng(11)
     flat = (rng.standard_normal(SIZE) * 0.15).astype(np.float32)
-    p = (class_counts + 0.5) / (class_counts + 0.5).sum()
-    unpack(flat)["b"][:] = np.log(p)
+    p = unpack(flat)
+    p["b"][:] = np.log((class_counts + 0.5) / (class_counts + 0.5).sum())
+    inside = np.zeros(OWN)
+    inside[: len(own_counts)] = own_counts
+    inside = inside.reshape(BLOCKS, WIDTH)
+    total = inside.sum(axis=1, keepdims=True)
+    p["c"][:] = np.where(inside > 0, np.log(np.maximum(inside, 1) / np.maximum(total, 1)), -30)
     return flat
 
 
-def _sigmoid(x: np.ndarray) -> np.ndarray:
-    return 1 / (1 + np.exp(-x))
-
-
-def _step(p: dict, inputs: np.ndarray, h: np.ndarray) -> tuple:
-    """One word for all lanes; inputs: class before (CLASSES: start)."""
-    gx = p["x"][inputs]
+def _step(p: dict, gx: np.ndarray, h: np.ndarray) -> tuple:
+    """One word for all lanes, from its rows of the input weights (overwritten): new state, and z, r, n, u_n h."""
     gh = h @ p["u"]
-    zr = _sigmoid(gx[:, : 2 * HIDDEN] + gh[:, : 2 * HIDDEN])
-    z, r = zr[:, :HIDDEN], zr[:, HIDDEN:]
-    n = np.tanh(gx[:, 2 * HIDDEN :] + r * gh[:, 2 * HIDDEN :])
-    return n + z * (h - n), (z, r, n, gh[:, 2 * HIDDEN :])
-
-
-def _bounded(p: dict) -> bool:
-    """True if no logit can overflow when exponentiated: states lie within -1 and 1."""
-    return float((np.abs(p["w"]).sum(axis=0) + np.abs(p["b"])).max()) < 80
+    zr = gx[:, : 2 * HIDDEN]
+    zr += gh[:, : 2 * HIDDEN]
+    zr *= 0.5  # the logistic function by way of tanh
+    np.tanh(zr, out=zr)
+    zr *= 0.5
+    zr += 0.5
+    z, r, ghn = zr[:, :HIDDEN], zr[:, HIDDEN:], gh[:, 2 * HIDDEN :]
+    n = r * ghn
+    n += gx[:, 2 * HIDDEN :]
+    np.tanh(n, out=n)
+    new = h - n
+    new *= z
+    new += n
+    return new, (z, r, n, ghn)
+
+
+def _exp(logits: np.ndarray) -> np.ndarray:
+    """exp in place, from the greatest down where one could overflow."""
+    if logits.size and float(logits.max()) > 60:
+        logits -= logits.max(axis=1, keepdims=True)
+    return np.exp(logits, out=logits)
+
+
+def _by_class(slots: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+    """(class, rows) of the rows whose word is in a class of frequent words."""
+    classes = CLASS_OF[slots]
+    order = np.argsort(classes, kind="stable")
+    edges = np.searchsorted(classes[order], np.arange(BLOCKS + 1))
+    for k in range(BLOCKS):
+        if edges[k + 1] > edges[k]:
+            yield k, order[edges[k] : edges[k + 1]]
+
+
+def _log_softmax_at(logits: np.ndarray, at: np.ndarray) -> np.ndarray:
+    if logits.size and float(logits.max()) > 60:
+        logits -= logits.max(axis=1, keepdims=True)
+    hit = logits[np.arange(len(at)), at]
+    np.exp(logits, out=logits)
+    return hit - np.log(logits.sum(axis=1))
+
+
+def log_outputs(p: dict, h: np.ndarray, slots: np.ndarray) -> np.ndarray:
+    """Natural log of P(class) * P(word | class) for states and the slots that follow (forms: only their class)."""
+    out = np.empty(len(slots))
+    for lo in range(0, len(slots), 2048):  # logits that stay in the cache
+        part = slice(lo, lo + 2048)
+        logits = h[part] @ p["w"]
+        logits += p["b"]
+        out[part] = _log_softmax_at(logits, CLASS_OF[slots[part]])
+    for k, rows in _by_class(slots):
+        logits = h[rows] @ p["v"][k]
+        logits += p["c"][k]
+        out[rows] += _log_softmax_at(logits, slots[rows] - k * WIDTH)
+    return out
 
 
 def log_likelihood(flat: np.ndarray, docs: list[np.ndarray]) -> np.ndarray:
-    """Natural log probability of each class sequence; state runs from its first to its last word."""
+    """Natural log probability of each sequence of slots; state runs from its first to its last word."""
     p = unpack(flat)
+    out = np.zeros(len(docs))
+    if not docs:
+        return out
     order = sorted(range(len(docs)), key=lambda i: -len(docs[i]))
     lengths = np.array([len(docs[i]) for i in order])
-    flatdocs = np.concatenate([docs[i] for i in order]) if docs else np.empty(0, np.int16)
-    starts = np.concatenate([[0], np.cumsum(lengths)[:-1]]) if docs else np.empty(0, np.int64)
+    stream = np.concatenate([docs[i] for i in order])
+    starts = np.concatenate([[0], np.cumsum(lengths)[:-1]])
     total = np.zeros(len(docs))
+    live_at = len(docs) - np.searchsorted(lengths[::-1], np.arange(int(lengths[0])), side="right")
     h = np.zeros((len(docs), HIDDEN), dtype=np.float32)
-    before = np.full(len(docs), CLASSES, dtype=np.int16)
-    small = _bounded(p)
-    ascending = lengths[::-1]
-    for t in range(int(lengths[0]) if len(docs) else 0):
-        live = len(docs) - int(np.searchsorted(ascending, t, side="right"))
-        h = _step(p, before[:live], h[:live])[0]
-        target = flatdocs[starts[:live] + t]
-        logits = h @ p["w"]
-        logits += p["b"]
-        if not small:
-            logits -= logits.max(axis=1, keepdims=True)
-        hit = logits[np.arange(live), target]
-        np.exp(logits, out=logits)
-        total[:live] += hit - np.log(logits.sum(axis=1))
-        before = target
-    out = np.empty(len(docs))
+    before = np.full(len(docs), START, dtype=np.int16)
+    states: list[np.ndarray] = []
+    targets: list[np.ndarray] = []
+    held = 0
+
+    def flush() -> None:
+        logs = log_outputs(p, np.concatenate(states), np.concatenate(targets))
+        at = 0
+        for t in targets:
+            total[: len(t)] += logs[at : at + len(t)]
+            at += len(t)
+
+    for t, live in enumerate(live_at.tolist()):
+        h = _step(p, p["x"][before[:live]], h[:live])[0]
+        before = stream[starts[:live] + t]
+        states.append(h)
+        targets.append(before)
+        held += live
+        if held >= ROWS:
+            flush()
+            states, targets, held = [], [], 0
+    if held:
+        flush()
     out[order] = total
     return out
 
@@ -179,7 +264,7 @@ class Trainer:
         first[np.cumsum([0] + [len(d) for d in docs[:-1]])] = True
         before = np.empty_like(stream)
         before[1:] = stream[:-1]
-        before[first] = CLASSES
+        before[first] = START
         lanes = max(1, min(LANES, len(stream) // (4 * WINDOW)))
         steps = -(-len(stream) // lanes)
         pad = steps * lanes - len(stream)
@@ -187,58 +272,85 @@ class Trainer:
         def lay(x: np.ndarray, fill: int) -> np.ndarray:
             return np.concatenate([x, np.full(pad, fill, dtype=x.dtype)]).reshape(lanes, steps).T.copy()
 
-        target, source, fresh, real = lay(stream, 0), lay(before, CLASSES), lay(first, True), lay(np.ones(len(stream), bool), False)
+        target, source, fresh = lay(stream, END), lay(before, START), lay(first, True)
+        real = lay(np.ones(len(stream), bool), False)
         h = np.zeros((lanes, HIDDEN), dtype=np.float32)
         for a in range(0, steps, WINDOW):
             h = self._window(target[a : a + WINDOW], source[a : a + WINDOW], fresh[a : a + WINDOW], real[a : a + WINDOW], h)
         self.seen += len(stream)
 
-    def _window(self, target: np.ndarray, source: np.ndarray, fresh: np.ndarray, real: np.ndarray, h: np.ndarray) -> np.ndarray:
+    def gradient(self, target: np.ndarray, source: np.ndarray, fresh: np.ndarray, real: np.ndarray, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(gradient of the mean negative log-likelihood of a window, state after it)."""
         p, g = unpack(self.flat), np.zeros(SIZE, dtype=np.float32)
         d = unpack(g)
         steps, lanes = target.shape
-        kept, states = [], []
+        gx = p["x"][source]
+        starting = fresh.any(axis=1)
+        kept, out = [], np.empty((steps, lanes, HIDDEN), dtype=np.float32)
         for t in range(steps):
-            h = np.where(fresh[t][:, None], np.float32(0), h)
-            new, parts = _step(p, source[t], h)
+            if starting[t]:
+                h = h.copy()
+                h[fresh[t]] = 0
+            new, parts = _step(p, gx[t], h)
             kept.append((h, parts))
-            states.append(new)
-            h = new
-        out = np.stack(states).reshape(-1, HIDDEN)
-        logits = out @ p["w"]
-        logits += p["b"]
-        if not _bounded(p):
-            logits -= logits.max(axis=1, keepdims=True)
-        np.exp(logits, out=logits)
-        logits /= logits.sum(axis=1, keepdims=True)
-        flat_target = target.reshape(-1)
-        logits[np.arange(len(flat_target)), flat_target] -= 1
-        logits *= real.reshape(-1, 1)
-        n = max(1, int(real.sum()))
-        logits /= n
-        d["w"][:] = out.T @ logits
-        d["b"][:] = logits.sum(axis=0)
-        dout = (logits @ p["w"].T).reshape(steps, lanes, HIDDEN)
+            out[t] = h = new
+        flat_out, slots = out.reshape(-1, HIDDEN), target.reshape(-1)
+        scale = np.float32(1 / max(1, int(real.sum())))
+        weight = np.where(real.reshape(-1, 1), scale, np.float32(0))
+        dout = np.empty_like(flat_out)
+        for lo in range(0, len(slots), 2048):
+            part = slice(lo, lo + 2048)
+            logits = flat_out[part] @ p["w"]
+            logits += p["b"]
+            _exp(logits)
+            logits *= weight[part] / logits.sum(axis=1, keepdims=True)
+            logits[np.arange(len(logits)), CLASS_OF[slots[part]]] -= weight[part, 0]
+            d["w"] += flat_out[part].T @ logits
+            d["b"] += logits.sum(axis=0)
+            dout[part] = logits @ p["w"].T
+        for k, rows in _by_class(slots):
+            states = flat_out[rows]
+            logits = states @ p["v"][k]
+            logits += p["c"][k]
+            _exp(logits)
+            logits *= weight[rows] / logits.sum(axis=1, keepdims=True)
+            logits[np.arange(len(rows)), slots[rows] - k * WIDTH] -= weight[rows, 0]
+            d["v"][k] = states.T @ logits
+            d["c"][k] = logits.sum(axis=0)
+            dout[rows] += logits @ p["v"][k].T
+        dout = dout.reshape(steps, lanes, HIDDEN)
         carry = np.zeros((lanes, HIDDEN), dtype=np.float32)
-        gates = np.empty((steps, lanes, 3 * HIDDEN), dtype=np.float32)
+        gates, backs = gx, np.empty((steps, lanes, 3 * HIDDEN), dtype=np.float32)  # gx has served
         ut = p["u"].T.copy()
         for t in range(steps - 1, -1, -1):
-            prev, (z, r, c, ghn) = kept[t]
-            dh = dout[t] + carry
-            dn = dh * (1 - z) * (1 - c * c)
-            gates[t, :, :HIDDEN] = dh * (prev - c) * z * (1 - z)
-            gates[t, :, HIDDEN : 2 * HIDDEN] = dn * ghn * r * (1 - r)
-            gates[t, :, 2 * HIDDEN :] = dn
-            back = gates[t].copy()
-            back[:, 2 * HIDDEN :] *= r
-            d["u"] += prev.T @ back
-            carry = back @ ut + dh * z
-            carry[fresh[t]] = 0
-        onehot_rows = source.reshape(-1)
-        order = np.argsort(onehot_rows, kind="stable")
-        ids, at = np.unique(onehot_rows[order], return_index=True)
+            prev, (z, r, n, ghn) = kept[t]
+            dh = dout[t]
+            dh += carry
+            carry = dh * z
+            dz = prev - n
+            dz *= carry
+            dz *= 1 - z
+            dn = dh - carry
+            dn *= 1 - n * n
+            dr = dn * ghn
+            dr *= r
+            dr *= 1 - r
+            back = backs[t]
+            back[:, :HIDDEN], back[:, HIDDEN : 2 * HIDDEN] = dz, dr
+            np.multiply(dn, r, out=back[:, 2 * HIDDEN :])
+            gates[t, :, : 2 * HIDDEN], gates[t, :, 2 * HIDDEN :] = back[:, : 2 * HIDDEN], dn
+            carry += back @ ut
+            if starting[t]:
+                carry[fresh[t]] = 0
+        d["u"][:] = np.concatenate([k[0] for k in kept]).T @ backs.reshape(-1, 3 * HIDDEN)
+        order = np.argsort(source.reshape(-1), kind="stable")
+        ids, at = np.unique(source.reshape(-1)[order], return_index=True)
         d["x"][ids] = np.add.reduceat(gates.reshape(-1, 3 * HIDDEN)[order], at, axis=0)
-        norm = float(np.sqrt((g * g).sum()))
+        return g, h
+
+    def _window(self, target: np.ndarray, source: np.ndarray, fresh: np.ndarray, real: np.ndarray, h: np.ndarray) -> np.ndarray:
+        g, h = self.gradient(target, source, fresh, real, h)
+        norm = float(np.sqrt(g @ g))
         if norm > 1:
             g /= norm
         self.t += 1
@@ -279,14 +391,33 @@ def word_counts(docs: DataFrame, text_col: str = "text") -> DataFrame:
     return docs.select(text_col).mapInArrow(run, schema).groupBy("word").agg(F.sum("n").alias("c"))
 
 
-def _sequences(batch: object, column: int, classes: Classes) -> Iterator[list[np.ndarray]]:
-    """Class sequences of a batch's texts, a sweep of bounded size at a time."""
+def head_words(counts: DataFrame, most: int = HEAD) -> list[tuple[bytes, int]]:
+    """(word, count) of at most ``most`` frequent words, by falling count; the end token is not among them.
+
+    The least count is read off a histogram by powers of 2 ** (1/8), so only the head itself is collected.
+    """
+    level = F.floor(F.log2("c") * 8)
+    words = counts.where("word <> ''")
+    cut, total = None, 0
+    for r in sorted(words.groupBy(level.alias("level")).agg(F.count(F.lit(1)).alias("n")).collect(), key=lambda r: -r["level"]):
+        total += r["n"]
+        if total > most:
+            break
+        cut = r["level"]
+    if cut is None:
+        return []
+    found = words.where(level >= cut).select(F.col("word").cast("binary").alias("word"), "c").toArrow()
+    return sorted(zip(map(bytes, found.column("word").to_pylist()), found.column("c").to_pylist(), strict=True), key=lambda x: (-x[1], x[0]))
+
+
+def _sequences(batch: object, column: int, head: Head, forms: dict) -> Iterator[list[np.ndarray]]:
+    """Slots of a batch's texts, a sweep of bounded size at a time."""
     import pyarrow as pa
 
     held, size = [], 0
     for v in batch.column(column).cast(pa.binary()):
         text = v.as_py() or b""
-        held.append(classes.ids(tokens(text)))
+        held.append(head.read(tokens(text), forms)[1])
         size += len(text) + 64
         if size > SWEEP_BYTES:
             yield held
@@ -295,73 +426,93 @@ def _sequences(batch: object, column: int, classes: Classes) -> Iterator[list[np
         yield held
 
 
-def train(docs: DataFrame, own: list[bytes], class_counts: np.ndarray, id_col: str = "doc_id", text_col: str = "text") -> np.ndarray:
-    """Weights after all rounds over the training rows."""
-    flat = initial(class_counts)
+def _summed(parts: DataFrame, group: int) -> DataFrame:
+    """g, flat, w: sums of flat (weights times words, as bytes) and words (w) of ``group`` neighbouring g each."""
+
+    def add(table: object) -> object:
+        import pyarrow as pa
+
+        total = np.zeros(SIZE)
+        for x in table.column("flat"):
+            total += np.frombuffer(x.as_py(), dtype=np.float64)
+        return pa.table({"g": pa.array([table.column("g")[0].as_py()], pa.int32()), "flat": pa.array([total.tobytes()], pa.binary()), "w": [sum(table.column("w").to_pylist())]})
+
+    return parts.withColumn("g", F.floor(F.col("g") / group).cast("int")).groupBy("g").applyInArrow(add, parts.schema)
+
+
+def train(docs: DataFrame, shared: object, begin: np.ndarray, id_col: str = "doc_id", text_col: str = "text") -> np.ndarray:
+    """Weights after all rounds over the training rows; shared: broadcast of the head."""
+    flat = begin
     spot = (F.shiftright(_crc(id_col), 3) * 2654435761 % 1_000_003) / F.lit(1_000_003.0)
+    schema = T.StructType([T.StructField("g", T.IntegerType()), T.StructField("flat", T.BinaryType()), T.StructField("w", T.DoubleType())])
     done = 0.0
     for share in ROUNDS:
         part = docs.where(training(id_col) & (spot >= done) & (spot < (done + share if done + share < 0.999 else 2.0))).select(text_col)
         done += share
-        schema = T.StructType([T.StructField("i", T.IntegerType()), T.StructField("value", T.DoubleType()), T.StructField("weight", T.DoubleType())])
-        begin = flat
 
-        def run(batches: Iterator, begin: np.ndarray = begin) -> Iterator:
+        def run(batches: Iterator, flat: np.ndarray = flat) -> Iterator:
             import pyarrow as pa
+            from pyspark import TaskContext
 
-            trainer, classes = Trainer(begin), Classes(own)
+            trainer, forms = Trainer(flat), {}
             for batch in batches:
-                for docs_ in _sequences(batch, 0, classes):
+                for docs_ in _sequences(batch, 0, shared.value, forms):
                     trainer.sweep(docs_)
             if trainer.seen:
                 w = float(trainer.seen)
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(np.arange(SIZE, dtype=np.int32)), pa.array(trainer.flat.astype(np.float64) * w), pa.array(np.full(SIZE, w))], names=["i", "value", "weight"]
-                )
+                yield pa.RecordBatch.from_arrays([pa.array([TaskContext.get().partitionId()], pa.int32()), pa.array([(trainer.flat.astype(np.float64) * w).tobytes()], pa.binary()), pa.array([w])], names=schema.names)
 
-        mean = part.mapInArrow(run, schema).groupBy("i").agg((F.sum("value") / F.sum("weight")).alias("x")).collect()
-        if mean:
-            flat = np.zeros(SIZE, dtype=np.float32)
-            for r in mean:
-                flat[r["i"]] = r["x"]
+        sums = _summed(_summed(part.mapInArrow(run, schema), 64), 64).collect()
+        if sums:
+            flat = (sum(np.frombuffer(r["flat"], dtype=np.float64) for r in sums) / sum(r["w"] for r in sums)).astype(np.float32)
     return flat
 
 
-def _class_totals(counts: DataFrame, own: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """Tokens and distinct words of each class, over the whole table of counts."""
-    schema = T.StructType([T.StructField("class", T.IntegerType()), T.StructField("n", T.LongType()), T.StructField("v", T.LongType())])
+def _form_totals(counts: DataFrame, own: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """Tokens and distinct words of each class by form, over the whole table of counts."""
+    schema = T.StructType([T.StructField("form", T.IntegerType()), T.StructField("n", T.LongType()), T.StructField("v", T.LongType())])
+    mine = set(own)
 
     def run(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
-        classes, n, v = Classes(own), np.zeros(CLASSES, np.int64), np.zeros(CLASSES, np.int64)
+        n, v = np.zeros(FORMS, np.int64), np.zeros(FORMS, np.int64)
         for batch in batches:
             words = batch.column(0).cast(pa.binary()).to_pylist()
-            ids = np.array([classes[w] if w else END_CLASS for w in words], dtype=np.int64)
-            n += np.bincount(ids, weights=batch.column(1).to_numpy(), minlength=CLASSES).astype(np.int64)
-            v += np.bincount(ids, minlength=CLASSES)
-        yield pa.RecordBatch.from_arrays([pa.array(np.arange(CLASSES), type=pa.int32()), pa.array(n), pa.array(v)], names=["class", "n", "v"])
+            ids = np.array([FORMS if not w or w in mine else form(w) - OWN for w in words], dtype=np.int64)
+            n += np.bincount(ids, weights=batch.column(1).to_numpy(), minlength=FORMS + 1)[:FORMS].astype(np.int64)
+            v += np.bincount(ids, minlength=FORMS + 1)[:FORMS]
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(FORMS), type=pa.int32()), pa.array(n), pa.array(v)], names=["form", "n", "v"])
 
-    class_n, class_v = np.zeros(CLASSES), np.zeros(CLASSES)
-    for r in counts.select("word", "c").mapInArrow(run, schema).groupBy("class").agg(F.sum("n").alias("n"), F.sum("v").alias("v")).collect():
-        class_n[r["class"]], class_v[r["class"]] = r["n"], r["v"]
-    return class_n, class_v
+    total, distinct = np.zeros(FORMS), np.zeros(FORMS)
+    for r in counts.select("word", "c").mapInArrow(run, schema).groupBy("form").agg(F.sum("n").alias("n"), F.sum("v").alias("v")).collect():
+        total[r["form"]], distinct[r["form"]] = r["n"], r["v"]
+    return total, distinct
 
 
 def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of every row."""
     counts = checkpoint(word_counts(docs.where(training(id_col)), text_col))
-    n_all, vocabulary = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.lit(1))).first()
-    head = {r["word"].encode(): r["c"] for r in counts.orderBy(F.desc("c"), "word").limit(HEAD).collect()}
-    own = [w for w in head if w][:OWN]
-    class_n, class_v = _class_totals(counts, own)
-    flat = train(docs, own, class_n, id_col, text_col)
-    # A word's share of its class: (c + 0.5) / (n + 0.5 (v + 1)); all unseen words are the one more.
-    class_log = np.log10(class_n + 0.5 * (class_v + 1))
+    n_all, vocabulary, n_end = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.lit(1)), F.coalesce(F.max(F.when(F.col("word") == "", F.col("c"))), F.lit(0))).first()
+    frequent = head_words(counts)
+    own = [w for w, _ in frequent[:OWN]]
+    form_n, form_v = _form_totals(counts, own)
+    # A word's share of its class by form: (c + 0.5) / (n + 0.5 (v + 1)); all unseen words are the one more.
+    form_log = np.log10(form_n + 0.5 * (form_v + 1))
+    c = np.array([n for _, n in frequent], dtype=np.float64)
+    slots = np.array([*range(len(own)), *(form(w) for w, _ in frequent[OWN:])], dtype=np.int16)
+    logs = np.log10(c + 0.5)
+    share = np.where(slots < OWN, 0.0, logs - form_log[np.maximum(slots - OWN, 0)]) if len(slots) else logs
+    head = Head({w: i for i, (w, _) in enumerate(frequent)}, logs, slots, share)
+    spark = docs.sparkSession
+    shared = spark.sparkContext.broadcast(head)
+    blocks_n = np.zeros(OWN)
+    blocks_n[: len(own)] = c[: len(own)]
+    flat = train(docs, shared, initial(c[: len(own)], np.concatenate([blocks_n.reshape(BLOCKS, WIDTH).sum(axis=1), form_n, [n_end]])), id_col, text_col)
     whole_log = math.log10(n_all + 0.5 * (vocabulary + 1))
-    shared = docs.sparkSession.sparkContext.broadcast((head, own, flat, class_log))
+    end_log, end_known = math.log10(n_end + 0.5), int(n_end > 0)
 
-    info = T.StructType([T.StructField("n_tokens", T.LongType()), T.StructField("n_known", T.LongType()), T.StructField("logs", T.DoubleType()), T.StructField("classes", T.DoubleType())])
+    info = T.StructType([T.StructField("n_tokens", T.LongType()), T.StructField("n_known", T.LongType()), T.StructField("logs", T.DoubleType()), T.StructField("model", T.DoubleType())])
     id_type = docs.schema[id_col].dataType
     schema = T.StructType(
         [T.StructField("rid", T.LongType()), T.StructField("word", T.StringType()), T.StructField("n", T.IntegerType()), T.StructField("doc_id", id_type), T.StructField("info", info)]
@@ -375,37 +526,37 @@ def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
         import pyarrow as pa
         from pyspark.sql.pandas.types import to_arrow_schema
 
-        head_, own_, flat_, class_log_ = shared.value
-        classes = Classes(own_)
-        logs = {w: math.log10(c + 0.5) for w, c in head_.items()}
-        end, end_known = logs.get(b"", math.log10(0.5)), int(b"" in logs)
+        known, forms = shared.value, {}
         arrow = to_arrow_schema(schema)
 
         def flush(rids: object, ids: object, heads: list, rare: list, seqs: list) -> Iterator:
-            network = log_likelihood(flat_, seqs) / math.log(10)
-            inside = [float(class_log_[s].sum()) for s in seqs]
-            infos = [{"n_tokens": n, "n_known": k, "logs": x, "classes": float(p) - q} for (n, k, x), p, q in zip(heads, network, inside, strict=True)]
+            network = log_likelihood(flat, seqs) / math.log(10)
+            infos = [{"n_tokens": n, "n_known": k, "logs": x, "model": float(p) + m} for (n, k, x, m), p in zip(heads, network, strict=True)]
             keys = rids.to_pylist()
             n = len(keys)
             yield pa.RecordBatch.from_arrays([rids, pa.array([f" {k}" for k in keys]), pa.nulls(n, pa.int32()), ids, pa.array(infos, type=arrow.field("info").type)], schema=arrow)
             words = [w for r in rare for w in r]
-            if words:
-                rep = np.repeat(np.array(keys, dtype=np.int64), [len(r) for r in rare])
-                m = len(words)
+            for lo in range(0, len(words), 1 << 20):
+                part = slice(lo, lo + (1 << 20))
+                m = len(words[part])
+                rep = np.repeat(np.array(keys, dtype=np.int64), [len(r) for r in rare])[part]
+                times = np.fromiter((c for r in rare for c in r.values()), dtype=np.int32, count=len(words))[part]
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(rep), pa.array(words, type=pa.binary()).cast(pa.string()), pa.array([c for r in rare for c in r.values()], type=pa.int32()), pa.nulls(m, ids.type), pa.nulls(m, arrow.field("info").type)], schema=arrow
+                    [pa.array(rep), pa.array(words[part], type=pa.binary()).cast(pa.string()), pa.array(times), pa.nulls(m, ids.type), pa.nulls(m, arrow.field("info").type)], schema=arrow
                 )
 
         for batch in batches:
             at, heads, rare, seqs, size = 0, [], [], [], 0
             for v in batch.column(2).cast(pa.binary()):
                 text = v.as_py() or b""
-                ws = tokens(text)
-                seqs.append(classes.ids(ws))
-                found = list(map(logs.get, ws))
-                unknown = found.count(None)
-                rare.append(Counter([w for w, x in zip(ws, found, strict=True) if x is None]) if unknown else {})
-                heads.append((len(ws) + 1, len(ws) - unknown + end_known, sum(filter(None, found)) + end))
+                words = tokens(text)
+                numbers, slots_, unknown = known.read(words, forms)
+                have = numbers[numbers >= 0] if unknown else numbers
+                seqs.append(slots_)
+                # Of a rare word the share of its class is all that is known here; its count comes by the join.
+                lacks = float(form_log[[forms[w] - OWN for w in unknown]].sum()) if unknown else 0.0
+                rare.append(Counter(unknown))
+                heads.append((len(words) + 1, len(have) + end_known, float(known.logs[have].sum()) + end_log, float(known.share[have].sum()) - lacks))
                 size += len(text) + 64
                 if size > SWEEP_BYTES:
                     yield from flush(batch.column(0).slice(at, len(heads)), batch.column(1).slice(at, len(heads)), heads, rare, seqs)
@@ -415,12 +566,13 @@ def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
 
     rows = docs.select(F.monotonically_increasing_id().alias("rid"), F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
     met = rows.mapInArrow(run, schema).join(counts.withColumnRenamed("word", "w"), F.col("word") == F.col("w"), "left")
+    of_rare = F.coalesce(F.sum(F.col("n") * F.log10(F.coalesce("c", F.lit(0)) + F.lit(0.5))), F.lit(0.0))
     per = met.groupBy("rid").agg(
         F.max("doc_id").alias("doc_id"),
         F.max("info.n_tokens").alias("n_tokens"),
         (F.max("info.n_known") + F.coalesce(F.sum(F.when(F.col("c").isNotNull(), F.col("n"))), F.lit(0))).alias("n_known"),
-        (F.max("info.logs") + F.coalesce(F.sum(F.col("n") * F.log10(F.coalesce("c", F.lit(0)) + F.lit(0.5))), F.lit(0.0))).alias("logs"),
-        F.max("info.classes").alias("classes"),
+        (F.max("info.logs") + of_rare).alias("logs"),
+        (F.max("info.model") + of_rare).alias("model"),
     )
     return per.select(
         "doc_id",
@@ -429,5 +581,5 @@ def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
         "n_known",
         F.lit(n_all).cast("long").alias("train_tokens"),
         (F.col("logs") - F.col("n_tokens") * F.lit(whole_log)).alias("base_score"),
-        (F.col("logs") + F.col("classes")).alias("score"),
+        F.col("model").alias("score"),
     )

@@ -190,8 +190,10 @@ def test_lm(docs):
 
 
 def test_lm_learns():
-    seqs = [np.array([1, 2, 3] * 20 + [lm_scoring.END_CLASS], dtype=np.int16) for _ in range(200)]
-    start = lm_scoring.initial(np.bincount(np.concatenate(seqs), minlength=lm_scoring.CLASSES).astype(float))
+    seqs = [np.array([1, 2, 40] * 20 + [lm_scoring.END], dtype=np.int16) for _ in range(200)]
+    own = np.bincount(np.concatenate(seqs), minlength=lm_scoring.OWN)[: lm_scoring.OWN].astype(float)
+    classes = np.bincount(lm_scoring.CLASS_OF[np.concatenate(seqs)], minlength=lm_scoring.CLASSES).astype(float)
+    start = lm_scoring.initial(own, classes)
     t = lm_scoring.Trainer(start)
     for _ in range(25):
         t.sweep(seqs)
