@@ -61,12 +61,14 @@ class Run:
     converged: bool
 
 
-def run_rounds(postings: DataFrame, matcher: Matcher, max_rounds: int = 20, partial: bool = False) -> Run:
-    """Bulk-synchronous iterative blocking of a dirty collection.
+def run_rounds(postings: DataFrame, matcher: Matcher, max_rounds: int = 20, partial: bool = False, sides: bool = False) -> Run:
+    """Bulk-synchronous iterative blocking of a dirty collection; with ``sides`` only descriptions (or unions) that
+    lie on different sides of two clean collections are compared.
 
     Raises if ``max_rounds`` do not reach a fixpoint, rather than return a wrong answer; with ``partial`` the state
     after them is what is asked for.
     """
+    side = checkpoint(postings.select("entity_id", F.when(F.col("collection") == "R", 2).otherwise(1).alias("side")).distinct()) if sides else None
     postings = checkpoint(postings.select("block_key", "entity_id").distinct())
     entity_map = postings.select("entity_id").distinct().withColumn("rep_id", F.col("entity_id"))
     entity_map = checkpoint(entity_map)
@@ -74,6 +76,10 @@ def run_rounds(postings: DataFrame, matcher: Matcher, max_rounds: int = 20, part
     for number in range(1, max_rounds + 1):
         now = postings.join(entity_map, "entity_id").select("block_key", F.lit("L").alias("collection"), F.col("rep_id").alias("entity_id")).distinct()
         todo = pairs.distinct(now, "dirty").select(F.col("left_id").alias("a"), F.col("right_id").alias("b"))
+        if side is not None:
+            held = entity_map.join(side, "entity_id").groupBy("rep_id").agg(F.bit_or("side").alias("held"))
+            held = [held.select(F.col("rep_id").alias(x), F.col("held").alias(f"{x}_held")) for x in "ab"]
+            todo = todo.join(held[0], "a").join(held[1], "b").where("a_held | b_held = 3").select("a", "b")
         if done is not None:
             todo = todo.join(done, ["a", "b"], "left_anti")
         todo = checkpoint(todo.withColumn("round", F.lit(number)))
@@ -105,6 +111,17 @@ def savings(run: Run, postings: DataFrame) -> DataFrame:
     return done.crossJoin(suggested).select("performed", F.col("suggested").cast("string").alias("suggested"), F.round(F.try_divide("performed", F.col("suggested").cast("double")), 10).alias("ratio"))
 
 
+def gain(postings: DataFrame, truth: DataFrame, run: Run) -> DataFrame:
+    """matches, found_by_blocks, found_by_iteration (true pairs in one class), and both recalls."""
+    known = truth.select("left_id", "right_id").distinct()
+    rep = lambda side: run.entity_map.select(F.col("entity_id").alias(f"{side}_id"), F.col("rep_id").alias(side))
+    joined = known.join(rep("left"), "left_id", "left").join(rep("right"), "right_id", "left")
+    after = joined.agg(F.count(F.lit(1)).alias("matches"), F.count_if(F.col("left") == F.col("right")).alias("found_by_iteration"))
+    before = blocks.same_block(postings, known).agg(F.count(F.lit(1)).alias("found_by_blocks"))
+    share = lambda c: F.round(F.try_divide(F.col(c), F.col("matches").cast("double")), 10)
+    return after.crossJoin(before).select("matches", "found_by_blocks", "found_by_iteration", share("found_by_blocks").alias("recall_of_blocks"), share("found_by_iteration").alias("recall_of_iteration"))
+
+
 def gained(run: Run, candidates: DataFrame) -> DataFrame:
     """Pairs of one class that no block held (reached through a third description)."""
     m = run.entity_map

@@ -36,16 +36,17 @@ def recall_by(found: DataFrame, dims: list[str], mode: str = "group") -> DataFra
     return g.agg(F.count(F.lit(1)).alias("links"), F.count_if("hit").alias("tp")).withColumn("recall", try_ratio(F.col("tp"), F.col("links")))
 
 
-def quality(postings: DataFrame, desc: DataFrame, truth: DataFrame, task: str, distinct_pairs: str = "exact") -> DataFrame:
+def quality(postings: DataFrame, desc: DataFrame, truth: DataFrame, task: str, distinct_pairs: str = "count") -> DataFrame:
     """One row: blocks, comparisons, distinct_pairs, tp, fn, fp, tn, recall, precision, precision_raw, f, rr, h3r.
 
-    distinct_pairs: 'exact', 'min_key', 'largest' (exact, too, without the pairs inside the largest block), 'sketch' or 'none' (fp, tn, precision and f are null then).  Without truth recall is null, without candidates
+    distinct_pairs: 'count' (exact, pairs inside the largest blocks by arithmetic), 'exact' and 'min_key' (all
+    expanded), 'sketch' or 'none' (fp, tn, precision and f are null then).  Without truth recall is null, without candidates
     precision; a reduction ratio below 0 has no harmonic mean with recall.
     """
     s = blocks.summary(postings, task).agg(F.count(F.lit(1)).alias("blocks"), F.coalesce(F.sum("comparisons"), F.lit(0)).cast(BIG).alias("comparisons"))
     if distinct_pairs == "sketch":
-        p = pairs.estimate(postings, task)
-    elif distinct_pairs == "largest":
+        p = pairs.sketch(postings, task)
+    elif distinct_pairs == "count":
         p = pairs.count(postings, task)
     elif distinct_pairs == "none":
         p = s.select(F.lit(None).cast("long").alias("distinct_pairs"))
@@ -90,8 +91,9 @@ def delta(metrics: DataFrame, base: str = "token") -> DataFrame:
     )
 
 
-def characteristics(desc: DataFrame, type_attribute: str = "type") -> DataFrame:
-    """Per collection: triples, descriptions, pairs per description, attributes, entity types, attributes per type."""
+def characteristics(desc: DataFrame, truth: DataFrame | None = None, type_attribute: str = "type") -> DataFrame:
+    """Per collection: triples, descriptions, pairs per description, attributes, entity types, attributes per type;
+    with truth also duplicates: pairs of its descriptions that share a match."""
     is_type = F.col("attribute") == type_attribute
     c = desc.groupBy("collection").agg(
         F.count(F.lit(1)).alias("triples"),
@@ -99,7 +101,35 @@ def characteristics(desc: DataFrame, type_attribute: str = "type") -> DataFrame:
         F.count_distinct("attribute").alias("attributes"),
         F.count_distinct(F.when(is_type, F.col("value"))).alias("types"),
     )
-    return c.withColumns({"pairs_per_description": F.round(try_ratio(F.col("triples"), F.col("descriptions")), 8), "attributes_per_type": F.round(try_ratio(F.col("attributes"), F.col("types")), 8)})
+    c = c.withColumns({"pairs_per_description": F.round(try_ratio(F.col("triples"), F.col("descriptions")), 8), "attributes_per_type": F.round(try_ratio(F.col("attributes"), F.col("types")), 8)})
+    if truth is None:
+        return c
+    d = duplicates(truth).unpivot([], ["L", "R"], "collection", "duplicates")
+    return c.join(F.broadcast(d), "collection", "left")
+
+
+def duplicates(truth: DataFrame) -> DataFrame:
+    """L, R: pairs of descriptions of the left (right) collection that share a match."""
+    t = truth.select("left_id", "right_id").distinct()
+    n = F.count(F.lit(1))
+    pairs_of = lambda c: t.groupBy(c).agg((n * (n - 1) / 2).cast("long").alias("k")).agg(F.coalesce(F.sum("k"), F.lit(0)))
+    return pairs_of("right_id").toDF("L").crossJoin(pairs_of("left_id").toDF("R"))
+
+
+def combined(desc: DataFrame, truth: DataFrame) -> DataFrame:
+    """One row for a collection of two: sizes, matches with and without duplicates, comparisons of both tasks without
+    blocking, and the ratio of matches to non-matches."""
+    ids = exhaustive(desc, "clean").select("n_left", "n_right", F.col("exhaustive").alias("clean"))
+    n = (F.col("n_left") + F.col("n_right")).cast("decimal(20,0)")
+    d = desc.agg(F.count(F.lit(1)).alias("triples"), F.count_distinct("collection", "attribute").alias("attributes"), F.count_distinct(F.when(F.col("attribute") == "type", F.struct("collection", "value"))).alias("types"))
+    m = truth.select("left_id", "right_id").distinct().agg(F.count(F.lit(1)).alias("matches"))
+    one = ids.crossJoin(d).crossJoin(m).crossJoin(duplicates(truth)).withColumn("dirty", ((n * (n - 1)) / 2).cast(BIG))
+    one = one.withColumns({"matches_with_duplicates": F.col("matches") + F.col("L") + F.col("R"), "pairs_per_description": F.round(try_ratio(F.col("triples"), F.col("n_left") + F.col("n_right")), 8)})
+    ratio = lambda k, z: F.round(try_ratio(F.col(k), F.col(z) - F.col(k)), 12)
+    return one.select(
+        "n_left", "n_right", "triples", "attributes", "types", "pairs_per_description", "matches", "matches_with_duplicates",
+        F.col("clean").cast("string").alias("clean"), F.col("dirty").cast("string").alias("dirty"), ratio("matches", "clean").alias("ratio_clean"), ratio("matches_with_duplicates", "dirty").alias("ratio_dirty"),
+    )
 
 
 def common_tokens(desc: DataFrame, clusters: DataFrame | None = None) -> DataFrame:

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from functools import reduce
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from erblock.operators.measures import hits
@@ -59,20 +59,23 @@ def sample_matches(truth: DataFrame, k: int, seed: int = 42) -> DataFrame:
     return truth.select(*PAIR).distinct().orderBy(h, *PAIR).limit(k)
 
 
-def sample_non_matches(truth: DataFrame, k: int, seed: int = 42) -> DataFrame:
-    """k pairs of a left id of the truth and a right id that aren't true: ids of the sampled matches paired
-    anew, each left id with the right id of the next match in md5 order, true pairs left out."""
-    from pyspark.sql import Window
+def sample_non_matches(desc: DataFrame, truth: DataFrame, k: int, seed: int = 42) -> DataFrame:
+    """k pairs of a left and a right description of the whole collections that aren't true.
 
-    h = F.md5(F.concat_ws("|", "left_id", "right_id", F.lit(f"{seed}n")))
-    picked = truth.select(*PAIR, h.alias("h")).distinct().orderBy("h", *PAIR).limit(2 * k)
-    w = Window.orderBy("h", *PAIR)  # over 2 k rows
-    shifted = picked.select("left_id", F.lead("right_id").over(w).alias("right_id"), "h").where("right_id is not null")
-    wrong = shifted.join(truth.select(*PAIR), PAIR, "left_anti")
-    return wrong.orderBy("h", *PAIR).limit(k).select(*PAIR)
+    Ids of either side are put in the order of an md5 of their own and paired by rank; true pairs are left out.
+    """
 
+    def drawn(side: str, name: str) -> DataFrame:
+        h = F.md5(F.concat_ws("|", name, F.lit(f"{seed}{side}")))
+        ids = desc.where(F.col("collection") == side).select(F.col("entity_id").alias(name)).distinct().withColumn("h", h)
+        first = ids.orderBy("h", name).limit(2 * k)
+        return first.select(name, F.row_number().over(Window.orderBy("h", name)).alias("i"))  # over 2 k rows
 
-def structural(truth: DataFrame, edges: DataFrame, k: int = 1000, seed: int = 42) -> DataFrame:
+    paired = drawn("L", "left_id").join(drawn("R", "right_id"), "i")
+    return paired.join(truth.select(*PAIR).distinct(), PAIR, "left_anti").orderBy("i").limit(k).select(*PAIR)
+
+
+def structural(desc: DataFrame, truth: DataFrame, edges: DataFrame, k: int = 1000, seed: int = 42) -> DataFrame:
     """kind, pairs, with_neighbours, median_neighbour_pairs, with_matching_neighbours for k matches and k non-matches."""
     deg = edges.groupBy("src_id").agg(F.count(F.lit(1)).alias("deg"))
 
@@ -82,4 +85,21 @@ def structural(truth: DataFrame, edges: DataFrame, k: int = 1000, seed: int = 42
         m = matching_neighbours(pairs, edges, truth).agg(F.count(F.lit(1)).alias("with_matching_neighbours"))
         return counts.crossJoin(m).select(F.lit(kind).alias("kind"), "*")
 
-    return one("match", sample_matches(truth, k, seed)).unionByName(one("non_match", sample_non_matches(truth, k, seed)))
+    return one("match", sample_matches(truth, k, seed)).unionByName(one("non_match", sample_non_matches(desc, truth, k, seed)))
+
+
+def split_by_clusters(token: DataFrame, attribute: DataFrame, truth: DataFrame) -> DataFrame:
+    """Whether attribute clustering misses just what token blocking misses and what shares tokens in different clusters
+    only: missed_token, missed_attribute, split (found by tokens, missed by clusters), missed_token_only (0)."""
+    hit = lambda p, name: hits(p, truth).groupBy(*PAIR).agg(F.max("hit").alias(name))
+    both = hit(token, "t").join(hit(attribute, "a"), PAIR)
+    return both.agg(F.count_if(~F.col("t")).alias("missed_token"), F.count_if(~F.col("a")).alias("missed_attribute"), F.count_if(F.col("t") & ~F.col("a")).alias("split"), F.count_if(~F.col("t") & F.col("a")).alias("missed_token_only"))
+
+
+def split_by_parts(literals: DataFrame, infixes: DataFrame, uri: DataFrame, truth: DataFrame) -> DataFrame:
+    """Whether the URI method misses just the pairs with no common literal token and no common infix: missed_uri,
+    without_token_and_infix (of those with separate key spaces), common_infix_only, common_token_only."""
+    hit = lambda p, name: hits(p, truth).groupBy(*PAIR).agg(F.max("hit").alias(name))
+    all_ = hit(literals, "l").join(hit(infixes, "i"), PAIR).join(hit(uri, "u"), PAIR)
+    l, i = F.col("l"), F.col("i")
+    return all_.agg(F.count_if(~F.col("u")).alias("missed_uri"), F.count_if(~l & ~i).alias("without_token_and_infix"), F.count_if(i & ~l).alias("common_infix_only"), F.count_if(l & ~i).alias("common_token_only"))

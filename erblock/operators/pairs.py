@@ -2,19 +2,19 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from collections.abc import Sequence
+
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from erblock.operators.blocks import comparisons, summary, useful
+from erblock.operators.blocks import summary, useful
 
 
-def _sides(postings: DataFrame, task: str) -> tuple[DataFrame, DataFrame, F.Column]:
-    if task == "clean":
-        a = postings.where("collection = 'L'").select("block_key", F.col("entity_id").alias("left_id"))
-        b = postings.where("collection = 'R'").select("block_key", F.col("entity_id").alias("right_id"))
-        return a, b, F.lit(True)
-    a = postings.select("block_key", F.col("entity_id").alias("left_id"))
-    return a, postings.select("block_key", F.col("entity_id").alias("right_id")), F.col("left_id") < F.col("right_id")
+def _sides(postings: DataFrame, task: str, more: Sequence[str] = ()) -> tuple[DataFrame, DataFrame, Column]:
+    left, right = (postings.where("collection = 'L'"), postings.where("collection = 'R'")) if task == "clean" else (postings, postings)
+    a = left.select("block_key", F.col("entity_id").alias("left_id"), *more)
+    b = right.select("block_key", F.col("entity_id").alias("right_id"), *more)
+    return a, b, F.lit(True) if task == "clean" else F.col("left_id") < F.col("right_id")
 
 
 def raw(postings: DataFrame, task: str) -> DataFrame:
@@ -44,27 +44,39 @@ def distinct(postings: DataFrame, task: str, method: str = "exact") -> DataFrame
     return a.join(b, "block_key").where(order & (F.array_min(F.array_intersect("lk", "rk")) == F.col("block_key"))).select("left_id", "right_id")
 
 
-def count(postings: DataFrame, task: str) -> DataFrame:
-    """distinct_pairs, exactly: all pairs inside the largest block are candidates and are counted from its size;
-    only pairs with an end outside it are expanded, so a token that most descriptions share costs no square."""
+#: Blocks whose pairs are counted and not expanded; the groups that this makes are at most 2 ** BITS a side.
+BITS = 10
+
+
+def count(postings: DataFrame, task: str, bits: int = BITS) -> DataFrame:
+    """distinct_pairs, exactly: pairs inside the largest blocks are counted by arithmetic, the others expanded.
+
+    A description's *signature* says in which of the ``bits`` largest blocks it is.  All pairs whose signatures
+    overlap are candidates: they are counted from the number of descriptions of each signature.  Only pairs that
+    meet in a smaller block and in none of the largest are expanded, so tokens that most descriptions share cost no square.
+    """
     side = F.col("collection") if task == "clean" else F.lit("L").alias("collection")
     p = postings.select("block_key", side, "entity_id").distinct()
-    largest = summary(p, task).orderBy(F.desc("comparisons"), "block_key").limit(1).select("block_key")
-    inside = p.join(F.broadcast(largest), "block_key", "left_semi").select("collection", "entity_id")
-    p = p.join(inside.withColumn("inside", F.lit(True)), ["collection", "entity_id"], "left").withColumn("inside", F.coalesce("inside", F.lit(False)))
+    largest = summary(p, task).orderBy(F.desc("comparisons"), "block_key").limit(bits)
+    place = F.row_number().over(Window.orderBy(F.desc("comparisons"), "block_key"))  # over ``bits`` rows
+    largest = F.broadcast(largest.select("block_key", F.pow(F.lit(2), place - 1).cast("long").alias("bit")))
+    signed = p.join(largest, "block_key").groupBy("collection", "entity_id").agg(F.sum("bit").alias("sig"))
+    every = p.select("collection", "entity_id").distinct().join(signed, ["collection", "entity_id"], "left").withColumn("sig", F.coalesce("sig", F.lit(0)).cast("long"))
+    groups = signed.groupBy("collection", "sig").agg(F.count(F.lit(1)).cast("decimal(20,0)").alias("n"))
+    meet = lambda x, y: F.col(x).bitwiseAND(F.col(y)) != 0
     if task == "clean":
-        out, within = p.where("not inside"), p.where("inside")
-        left, right = F.col("collection") == "L", F.col("collection") == "R"
-        others = raw(out.where(left).unionByName(p.where(right)), task).unionByName(raw(within.where(left).unionByName(out.where(right)), task))
+        left = groups.where("collection = 'L'").select(F.col("sig").alias("ls"), F.col("n").alias("ln"))
+        right = groups.where("collection = 'R'").select(F.col("sig").alias("rs"), F.col("n").alias("rn"))
+        inside = left.crossJoin(F.broadcast(right)).where(meet("ls", "rs")).agg(F.sum(F.col("ln") * F.col("rn")).alias("inside"))
     else:
-        out = p.where("not inside").select("block_key", F.col("entity_id").alias("x"))
-        within = p.where("inside").select("block_key", F.col("entity_id").alias("y"))
-        across = out.join(within, "block_key").select(F.least("x", "y").alias("left_id"), F.greatest("x", "y").alias("right_id"))
-        others = raw(p.where("not inside"), task).unionByName(across)
-    right = F.col("collection") == "R" if task == "clean" else F.lit(False)
-    size = inside.agg(F.count_if(~right).alias("n_left"), F.count_if(right).alias("n_right"))
-    n = others.distinct().agg(F.count(F.lit(1)).alias("others"))
-    return size.crossJoin(n).select((comparisons(task) + F.col("others")).cast("long").alias("distinct_pairs"))
+        left, right = (groups.select(F.col("sig").alias(f"{x}s"), F.col("n").alias(f"{x}n")) for x in "lr")
+        both = left.crossJoin(F.broadcast(right)).where(meet("ls", "rs") & (F.col("ls") <= F.col("rs")))
+        inside = both.agg(F.sum(F.when(F.col("ls") == F.col("rs"), F.col("ln") * (F.col("ln") - 1) / 2).otherwise(F.col("ln") * F.col("rn"))).alias("inside"))
+    rest = p.join(largest, "block_key", "left_anti").join(every, ["collection", "entity_id"])
+    a, b, good = _sides(rest.select("block_key", "collection", "entity_id", "sig"), task, ["sig"])
+    out = a.withColumnRenamed("sig", "ls").join(b.withColumnRenamed("sig", "rs"), "block_key").where(good & ~meet("ls", "rs")).select("left_id", "right_id").distinct()
+    n = out.agg(F.count(F.lit(1)).alias("others"))
+    return inside.crossJoin(n).select((F.coalesce("inside", F.lit(0)) + F.col("others")).cast("long").alias("distinct_pairs"))
 
 
 def tiled(postings: DataFrame, task: str, cap: int = 1000) -> DataFrame:
@@ -81,10 +93,27 @@ def tiled(postings: DataFrame, task: str, cap: int = 1000) -> DataFrame:
     return a.join(b, ["block_key", "i", "j"]).where(order).select("left_id", "right_id")
 
 
-def estimate(postings: DataFrame, task: str) -> DataFrame:
-    """distinct_pairs by a HyperLogLog sketch of the raw pairs (about 1 % error)."""
-    one = raw(postings, task).agg(F.hll_sketch_estimate(F.hll_sketch_agg(F.xxhash64("left_id", "right_id"), 14)).alias("distinct_pairs"))
-    return one
+def sketch(postings: DataFrame, task: str) -> DataFrame:
+    """distinct_pairs by a HyperLogLog sketch of the raw pairs (about 1 % error); expands them all."""
+    return raw(postings, task).agg(F.hll_sketch_estimate(F.hll_sketch_agg(F.xxhash64("left_id", "right_id"), 14)).alias("distinct_pairs"))
+
+
+def estimate(postings: DataFrame, task: str, rate: float = 0.25, seed: int = 42) -> DataFrame:
+    """sampled_blocks, sampled_pairs, distinct_pairs: an unbiased estimate from a share of the blocks.
+
+    Blocks are drawn by the md5 of their key, which any engine repeats.  A pair of a drawn block counts 1 / m if it
+    meets in m blocks, divided by the rate; only the drawn blocks are expanded.
+    """
+    drawn = F.conv(F.substring(F.md5(F.concat_ws("|", "block_key", F.lit(str(seed)))), 1, 8), 16, 10).cast("long") < int(rate * 2**32)
+    good = useful(postings, task)
+    some = good.where(drawn)
+    met = raw(some, task).groupBy("left_id", "right_id").agg(F.count(F.lit(1)).alias("here"))
+    keys = good.select("block_key", "entity_id").distinct()
+    common = met.join(keys.withColumnRenamed("entity_id", "left_id"), "left_id").join(keys.withColumnRenamed("entity_id", "right_id"), ["right_id", "block_key"])
+    shares = common.groupBy("left_id", "right_id").agg(F.max("here").alias("here"), F.count(F.lit(1)).alias("m"))
+    blocks_ = some.agg(F.count_distinct("block_key").alias("sampled_blocks"))
+    pairs_ = shares.agg(F.coalesce(F.sum("here"), F.lit(0)).alias("sampled_pairs"), F.coalesce(F.round(F.sum(F.col("here") / F.col("m")) / rate, 4), F.lit(0.0)).alias("distinct_pairs"))
+    return blocks_.crossJoin(pairs_)
 
 
 def all_pairs(desc: DataFrame, task: str) -> DataFrame:

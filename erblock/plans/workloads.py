@@ -12,11 +12,6 @@ from erblock.operators import attr_clustering, measures, token_blocking, uri_inf
 from erblock.sources import views
 
 
-#: Collections and tasks where a token that all of a side share makes pairs the square of the collection: those
-#: inside the largest block are counted from its size and not expanded.
-SHARED_TOKEN = {("d3", "dirty")}
-
-
 def postings(desc: DataFrame, method: str) -> DataFrame:
     """Postings of a method by name: token, attribute, uri, uri_literal (suffix always cut), uri_no_suffix."""
     if method == "token":
@@ -46,19 +41,31 @@ def quality(spark: SparkSession, sf_dir: str, collection: str, method: str, task
         if applies(method, collection, task):
             desc, truth = views.load(spark, sf_dir, collection, task)
             built = checkpoint(postings(desc, method))  # made once, all measures derive from it
-            rows.append(measures.quality(built, desc, truth, task, "largest" if (collection, task) in SHARED_TOKEN else "exact").select(F.lit(method).alias("method"), F.lit(collection).alias("collection"), F.lit(task).alias("task"), "*"))
+            rows.append(measures.quality(built, desc, truth, task).select(F.lit(method).alias("method"), F.lit(collection).alias("collection"), F.lit(task).alias("task"), "*"))
     return reduce(DataFrame.unionByName, rows)
 
 
-def matrix(spark: SparkSession, sf_dir: str, collections: tuple[str, ...] = tuple(views.COLLECTIONS), methods: tuple[str, ...] = ("token", "attribute", "uri")) -> DataFrame:
-    """method, collection, role, task, blocks, comparisons, tp, fn, recall, precision, rr, h3r, without pair expansion:
-    precision here is on comparisons (repeats counted)."""
+#: Rows of a matrix that was computed in this application, by the folder of its tables.
+_MATRIX: dict[tuple, list] = {}
+MATRIX = "method string, collection string, role string, task string, blocks long, comparisons string, distinct_pairs long, tp long, fn long, recall double, precision double, precision_raw double, f double, rr double, h3r double, redundancy double"
+
+
+def matrix(spark: SparkSession, sf_dir: str, collections: tuple[str, ...] = tuple(views.COLLECTIONS), methods: tuple[str, ...] = ("token", "attribute", "uri", "uri_literal")) -> DataFrame:
+    """A row per method, collection and task with all measures; redundancy: comparisons per distinct pair.
+
+    A row is one line of figures; the rows are kept, as several reports are made of the same matrix.
+    """
     rows = []
     for c in collections:
         for m in methods:
             for task in ("clean", "dirty"):
                 if applies(m, c, task):
-                    desc, truth = views.load(spark, sf_dir, c, task)
-                    q = measures.quality(checkpoint(postings(desc, m)), desc, truth, task, "none")
-                    rows.append(q.select(F.lit(m).alias("method"), F.lit(c).alias("collection"), F.lit(views.COLLECTIONS[c].role).alias("role"), F.lit(task).alias("task"), "blocks", "comparisons", "tp", "fn", "recall", F.col("precision_raw").alias("precision"), "rr", "h3r"))
-    return reduce(DataFrame.unionByName, rows)
+                    at = (spark.sparkContext.applicationId, sf_dir, c, m, task)
+                    if at not in _MATRIX:
+                        desc, truth = views.load(spark, sf_dir, c, task)
+                        q = measures.quality(checkpoint(postings(desc, m)), desc, truth, task)
+                        redundancy = F.round(F.try_divide(F.col("comparisons").cast("double"), F.col("distinct_pairs")), 8)
+                        head = {"method": m, "collection": c, "role": views.COLLECTIONS[c].role, "task": task}
+                        _MATRIX[at] = q.select(*[F.lit(v).alias(k) for k, v in head.items()], "blocks", "comparisons", "distinct_pairs", "tp", "fn", "recall", "precision", "precision_raw", "f", "rr", "h3r", redundancy.alias("redundancy")).collect()
+                    rows += _MATRIX[at]
+    return spark.createDataFrame(rows, MATRIX)

@@ -3,12 +3,13 @@
 from __future__ import annotations
 
 from collections.abc import Callable
-from functools import partial
+from functools import partial, reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from erblock.operators import attr_clustering, blocks, groundtruth, iterative, measures, missed, pairs, token_blocking, uri_infix
+from erblock.functions.cut import checkpoint
+from erblock.operators import around, attr_clustering, blocks, groundtruth, iterative, measures, missed, pairs, token_blocking, uri_infix
 from erblock.plans import workloads
 from erblock.sources import ingest, views
 from erblock.streaming import incremental
@@ -122,13 +123,15 @@ def _both_tasks(collection: str, method: str) -> str:
     return " UNION ALL ".join(f"SELECT * FROM {_quality_sql(collection, method, k)} z_{k}" for k in ("clean", "dirty") if workloads.applies(method, collection, k))
 
 
-def _matrix_sql(collections: tuple[str, ...], methods: tuple[str, ...] = ("token", "attribute", "uri")) -> str:
+def _matrix_sql(collections: tuple[str, ...], methods: tuple[str, ...] = ("token", "attribute", "uri", "uri_literal")) -> str:
     rows = []
     for c in collections:
         for m in methods:
             for k in ("clean", "dirty"):
                 if workloads.applies(m, c, k):
-                    rows.append(f"SELECT method, collection, '{views.COLLECTIONS[c].role}' AS role, task, blocks, comparisons, tp, fn, recall, precision_raw AS precision, rr, h3r FROM {_quality_sql(c, m, k, False)} z{len(rows)}")
+                    rows.append(
+                        f"SELECT method, collection, '{views.COLLECTIONS[c].role}' AS role, task, blocks, comparisons, distinct_pairs, tp, fn, recall, precision, precision_raw, f, rr, h3r, round(comparisons::DOUBLE / nullif(distinct_pairs, 0), 8) AS redundancy FROM {_quality_sql(c, m, k)} z{len(rows)}"
+                    )
     return " UNION ALL ".join(rows)
 
 
@@ -157,6 +160,19 @@ def _mapped_clusters(d: DataFrame) -> DataFrame:
     return attr_clustering.find_clusters(d)
 
 
+def _over(task: str, make: Callable[[DataFrame, DataFrame], DataFrame], collections: tuple[str, ...] = ALL) -> Query:
+    """The same of every collection, named."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        return reduce(DataFrame.unionByName, [make(*views.load(spark, sf_dir, c, task)).withColumn("name", F.lit(c)) for c in collections])
+
+    return run
+
+
+def _over_sql(task: str, ctes: str, final: str, collections: tuple[str, ...] = ALL) -> str:
+    return " UNION ALL ".join(f"SELECT '{c}' AS name, z_{c}.* FROM ({_with(c, task, ctes, final)}) z_{c}" for c in collections)
+
+
 # Token blocking
 _add("tb_postings", _on("d6", "dirty", lambda d, t: token_blocking.build(d)), _with("d6", "dirty", TOKEN_POSTINGS, "SELECT * FROM p"))
 for _task, _c in (("dirty", "d6"), ("clean", "d5")):
@@ -165,7 +181,14 @@ _add("tb_comparisons", _on("d6", "dirty", lambda d, t: blocks.summary(token_bloc
 for _m in ("exact", "min_key"):
     _add(f"tb_pairs_{'distinct' if _m == 'exact' else _m}", _on("d5", "clean", lambda d, t, m=_m: pairs.distinct(token_blocking.build(d), "clean", m)), _with("d5", "clean", f"{TOKEN_POSTINGS}, {_pairs('clean')}", "SELECT * FROM pr"))
 _add("tb_pairs_tiled", _on("d5", "clean", lambda d, t: pairs.tiled(token_blocking.build(d), "clean", 200).groupBy("left_id").agg(F.count(F.lit(1)).alias("n"))), _with("d5", "clean", TOKEN_POSTINGS, "SELECT a.entity_id AS left_id, count(*) AS n FROM p a JOIN p b ON a.block_key = b.block_key AND a.collection = 'L' AND b.collection = 'R' GROUP BY 1"))
-_add("tb_pairs_sketch", _on("d5", "clean", lambda d, t: pairs.estimate(token_blocking.build(d), "clean")))
+_add("tb_pairs_sketch", _on("d5", "clean", lambda d, t: pairs.sketch(token_blocking.build(d), "clean")))
+_ESTIMATE = """u AS (SELECT block_key, collection, entity_id FROM p JOIN s USING (block_key)),
+dr AS (SELECT DISTINCT block_key FROM s WHERE ('0x' || substr(md5(block_key || '|42'), 1, 8))::BIGINT < 1073741824),
+rp AS (SELECT a.entity_id AS l, b.entity_id AS r, count(*) AS here FROM u a JOIN u b ON a.block_key = b.block_key AND a.entity_id < b.entity_id WHERE a.block_key IN (SELECT block_key FROM dr) GROUP BY 1, 2),
+cm AS (SELECT l, r, any_value(here) AS here, count(*) AS m FROM rp JOIN u a ON a.entity_id = l JOIN u b ON b.entity_id = r AND b.block_key = a.block_key GROUP BY 1, 2)"""
+_add("tb_pairs_estimate", _on("d2", "dirty", lambda d, t: pairs.estimate(token_blocking.build(d), "dirty")), _with("d2", "dirty", f"{TOKEN_POSTINGS}, {_summary('dirty')}, {_ESTIMATE}", "SELECT (SELECT count(*) FROM dr) AS sampled_blocks, (SELECT coalesce(sum(here), 0)::BIGINT FROM cm) AS sampled_pairs, (SELECT coalesce(round(sum(here / m::DOUBLE) / 0.25::DOUBLE, 4), 0) FROM cm) AS distinct_pairs"))
+_add("tb_pairs_count", _over("dirty", lambda d, t: pairs.count(token_blocking.build(d), "dirty"), ("d1", "d2", "d5", "d7")), _over_sql("dirty", f"{TOKEN_POSTINGS}, {_pairs('dirty')}", "SELECT count(*) AS distinct_pairs FROM pr", ("d1", "d2", "d5", "d7")))
+_add("tb_purged", _on("d6", "dirty", lambda d, t: blocks.summary(blocks.purge(blocks.hash_keys(token_blocking.build(d)), "dirty", 10_000), "dirty").agg(F.count(F.lit(1)).alias("blocks"), F.sum("comparisons").cast("string").alias("comparisons"))), _with("d6", "dirty", f"{TOKEN_POSTINGS}, {_summary('dirty')}", "SELECT count(*) AS blocks, sum(comparisons)::HUGEINT::VARCHAR AS comparisons FROM s WHERE comparisons <= 10000"))
 for _c in ALL:
     _add(f"tb_quality_{_c}", partial(lambda spark, sf, c, m: workloads.quality(spark, sf, c, m), c=_c, m="token"), _both_tasks(_c, "token"))
 
@@ -178,7 +201,12 @@ _add("ac_similarity_word", _on("d2", "clean", lambda d, t: attr_clustering.simil
 _add("ac_minhash", _on("d2", "clean", lambda d, t: attr_clustering.minhash_similarities(attr_clustering.grams(d))))
 _add("ac_best_match", _on("d2", "clean", lambda d, t: attr_clustering.best_match(attr_clustering.similarities(attr_clustering.grams(d)))), _with("d2", "clean", f"{TOKENS}, {GRAMS}, {SIMS}, {BEST}", "SELECT * FROM best"))
 _add("ac_clusters", _on("d2", "clean", lambda d, t: _mapped_clusters(d)), _with("d2", "clean", f"{TOKENS}, {GRAMS}, {SIMS}, {BEST}, {CLUSTERS}", "SELECT * FROM cl"))
-_add("ac_cluster_stats", _on("d2", "clean", lambda d, t: measures.cluster_stats(_mapped_clusters(d))), _with("d2", "clean", f"{TOKENS}, {GRAMS}, {SIMS}, {BEST}, {CLUSTERS}", "SELECT count(*) AS n_clusters, median(k)::DOUBLE AS median_attributes FROM (SELECT count(*) AS k FROM cl GROUP BY cluster_id)"))
+CLUSTER_STATS = "SELECT count(*) AS n_clusters, median(k)::DOUBLE AS median_attributes FROM (SELECT count(*) AS k FROM cl GROUP BY cluster_id)"
+_add("ac_cluster_stats", _over("clean", lambda d, t: measures.cluster_stats(_mapped_clusters(d))), _over_sql("clean", f"{TOKENS}, {GRAMS}, {SIMS}, {BEST}, {CLUSTERS}", CLUSTER_STATS))
+_UNMATCHED = f"{TOKENS}, {GRAMS}, {SIMS}, {BEST}, {CLUSTERS}, aa AS (SELECT DISTINCT collection, attribute FROM d)"
+_add("ac_clusters_glue", _on("d2", "clean", lambda d, t: attr_clustering.find_clusters(d, unmatched="glue")), _with("d2", "clean", _UNMATCHED, "SELECT * FROM cl UNION ALL SELECT collection, attribute, 'rest' FROM aa WHERE NOT EXISTS (SELECT 1 FROM cl WHERE cl.collection = aa.collection AND cl.attribute = aa.attribute)"))
+_add("ac_best_match_ties", _on("d4", "clean", lambda d, t: attr_clustering.best_match(attr_clustering.similarities(attr_clustering.grams(d)), ties="all")), _with("d4", "clean", f"{TOKENS}, {GRAMS}, {SIMS}", """SELECT collection, attribute, best, sim FROM (SELECT *, rank() OVER (PARTITION BY collection, attribute ORDER BY sim DESC) AS r FROM (
+  SELECT 'L' AS collection, left_attribute AS attribute, right_attribute AS best, sim FROM sim UNION ALL SELECT 'R', right_attribute, left_attribute, sim FROM sim) z WHERE sim > 0) z WHERE r = 1"""))
 _add("ac_postings", _on("d2", "clean", lambda d, t: attr_clustering.build(d)), _with("d2", "clean", ATTRIBUTE_POSTINGS, "SELECT * FROM p"))
 for _c in ALL:
     _add(f"ac_quality_{_c}", partial(lambda spark, sf, c, m: workloads.quality(spark, sf, c, m), c=_c, m="attribute"), _both_tasks(_c, "attribute"))
@@ -196,6 +224,9 @@ def _rules(d: DataFrame, t: DataFrame) -> DataFrame:
 
 
 _add("pi_suffix_rules", _on("d7", "clean", _rules), " UNION ALL ".join(f"SELECT * FROM ({_with('d7', 'clean', _uri_sql(r), f'''SELECT '{r}' AS rule, count(*) FILTER (suffix <> '') AS with_suffix, count(DISTINCT infix) AS infixes FROM inf''')}) z_{r}" for r in ("literal", "allow_empty", "support")))
+_add("pi_suffix_domain", _on("d7", "clean", lambda d, t: uri_infix.strip_suffix(uri_infix.strip_prefix(uri_infix.uris(d)), suffix_scope="domain")), _with("d7", "clean", _uri_sql().replace("SELECT prefix, count(DISTINCT parts[k + 1]) AS n_next FROM rl GROUP BY 1", "SELECT domain, prefix, count(DISTINCT parts[k + 1]) AS n_next FROM rl GROUP BY 1, 2").replace("SELECT uri, list_reverse(rest) AS parts, rest FROM st", "SELECT uri, domain, list_reverse(rest) AS parts, rest FROM st").replace("FROM rl JOIN rn USING (prefix)", "FROM rl JOIN rn USING (domain, prefix)"), "SELECT * FROM inf"))
+_add("pi_prefix_shortest", _on("d7", "clean", lambda d, t: uri_infix.strip_prefix(uri_infix.uris(d), ties="shortest").select("uri", "domain", "prefix", F.array_join("rest", "").alias("rest"))), _with("d7", "clean", _uri_sql().replace("ORDER BY n_next DESC, k DESC) AS r FROM pl", "ORDER BY n_next DESC, k) AS r FROM pl"), "SELECT uri, domain, prefix, array_to_string(rest, '') AS rest FROM st"))
+_add("pi_two_key_spaces", _on("d4", "clean", lambda d, t: uri_infix.build(d, shared_keys=False)), _with("d4", "clean", f"{TOKENS}, {_uri_sql()}", "SELECT DISTINCT 'i:' || infix AS block_key, collection, entity_id FROM un JOIN inf ON un.uri = inf.uri WHERE infix <> '' UNION SELECT DISTINCT 't:' || token, collection, entity_id FROM tok WHERE kind = 'literal'"))
 _add("pi_postings", _on("d4", "clean", lambda d, t: uri_infix.build(d)), _with("d4", "clean", _uri_postings(), "SELECT * FROM p"))
 _add("pi_applicable", _on("d6", "clean", lambda d, t: uri_infix.applicable(d)), _with("d6", "clean", "", "SELECT share, share >= 0.5 AS applicable FROM (SELECT avg(regexp_matches(entity_id, '^[A-Za-z][A-Za-z0-9+.-]*://')::INT) AS share FROM (SELECT DISTINCT collection, entity_id FROM d))"))
 for _c in URIS:
@@ -221,40 +252,46 @@ def _it_comparisons(d: DataFrame, t: DataFrame) -> DataFrame:
     return iterative.savings(iterative.run_rounds(p, iterative.oracle(t)), p)
 
 
+def _it_gain(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Recall of token blocking and after iterative blocking of its blocks, where a collection has duplicates or none."""
+    out = []
+    for c, task in (("d5", "dirty"), ("d2", "dirty"), ("d6", "clean")):
+        d, t = views.load(spark, sf_dir, c, task)
+        p = checkpoint(token_blocking.build(d))
+        out.append(iterative.gain(p, t, iterative.run_rounds(p, iterative.oracle(t), sides=task == "clean")).withColumns({"name": F.lit(c), "task": F.lit(task)}))
+    return reduce(DataFrame.unionByName, out)
+
+
 _CLOSURE = """e2 AS (SELECT left_id AS a, right_id AS b FROM t UNION SELECT right_id, left_id FROM t),
 reach AS (SELECT DISTINCT entity_id AS n, entity_id AS c FROM p UNION SELECT e2.b, reach.c FROM reach JOIN e2 ON e2.a = reach.n AND reach.c < e2.b)"""
 _add("it_rounds_oracle", _on("d5", "dirty", _it_oracle))
 _add("it_rounds_oracle_d6", _on("d6", "dirty", _it_oracle), _with("d6", "dirty", f"{TOKEN_POSTINGS}, {_CLOSURE}", "SELECT n AS entity_id, min(c) AS rep_id FROM reach GROUP BY n"))
 _add("it_rounds_jaccard", _on("d5", "dirty", _it_jaccard))
-_add("it_comparisons", _on("d5", "dirty", _it_comparisons))
+_add("it_comparisons", _on("d6", "dirty", _it_comparisons))
+_add("it_gain", _it_gain)
 _add("it_sequential", _on("d5", "dirty", lambda d, t: iterative.run_sequential(token_blocking.build(d), _tokens_of(d), truth=t)))
-_add("it_first_pass", _on("d5", "dirty", lambda d, t: iterative.run_rounds(token_blocking.build(d), iterative.oracle(t), max_rounds=1, partial=True).entity_map))
+_add("it_first_pass", _on("d5", "dirty", lambda d, t: iterative.run_sequential(token_blocking.build(d), _tokens_of(d), truth=t, max_passes=1)))
+_add("it_merged", _on("d6", "dirty", lambda d, t: iterative.merge(d, iterative.run_rounds(token_blocking.build(d), iterative.oracle(t)).entity_map).groupBy("entity_id").agg(F.count(F.lit(1)).alias("n"))), _with("d6", "dirty", f"{TOKEN_POSTINGS}, {_CLOSURE}, mp AS (SELECT n AS entity_id, min(c) AS rep_id FROM reach GROUP BY n)", "SELECT entity_id, count(*) AS n FROM (SELECT DISTINCT collection, coalesce(rep_id, d.entity_id) AS entity_id, attribute, value, kind FROM d LEFT JOIN mp ON mp.entity_id = d.entity_id) GROUP BY 1"))
 
 
 # Descriptive statistics
-def _characteristics(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = None
-    for c in ALL:
-        d, _ = views.load(spark, sf_dir, c, "clean")
-        x = measures.characteristics(d).withColumn("name", F.lit(c))
-        out = x if out is None else out.unionByName(x)
-    return out
-
-
-_add("ds_characteristics", _characteristics, " UNION ALL ".join(f"SELECT * FROM (WITH d AS ({views.descriptions_sql(c, 'clean')}) SELECT '{c}' AS name, collection, count(*) AS triples, count(DISTINCT entity_id) AS descriptions, count(DISTINCT attribute) AS attributes, count(DISTINCT CASE WHEN attribute = 'type' THEN value END) AS types, round(count(*)::DOUBLE / count(DISTINCT entity_id), 8) AS pairs_per_description, round(count(DISTINCT attribute)::DOUBLE / nullif(count(DISTINCT CASE WHEN attribute = 'type' THEN value END), 0), 8) AS attributes_per_type FROM d GROUP BY collection) z_{c}" for c in ALL))
+DUPLICATES = """du AS (SELECT 'L' AS collection, (SELECT coalesce(sum(k * (k - 1) // 2), 0)::BIGINT FROM (SELECT count(*) AS k FROM (SELECT DISTINCT left_id, right_id FROM t) GROUP BY right_id)) AS duplicates
+UNION ALL SELECT 'R', (SELECT coalesce(sum(k * (k - 1) // 2), 0)::BIGINT FROM (SELECT count(*) AS k FROM (SELECT DISTINCT left_id, right_id FROM t) GROUP BY left_id)))"""
+CHARACTERISTICS = """SELECT *, round(triples::DOUBLE / descriptions, 8) AS pairs_per_description, round(attributes::DOUBLE / nullif(types, 0), 8) AS attributes_per_type FROM (
+SELECT collection, count(*) AS triples, count(DISTINCT entity_id) AS descriptions, count(DISTINCT attribute) AS attributes, count(DISTINCT CASE WHEN attribute = 'type' THEN value END) AS types FROM dd GROUP BY collection) z JOIN du USING (collection)"""
 
 
-def _collection(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = None
-    for c in ALL:
-        d, t = views.load(spark, sf_dir, c, "clean")
-        x = measures.exhaustive(d, "clean").crossJoin(t.agg(F.count(F.lit(1)).alias("matches")))
-        x = x.select(F.lit(c).alias("name"), "n_left", "n_right", "matches", F.col("exhaustive").cast("string").alias("clean"), ((F.col("n_left") + F.col("n_right")).cast("decimal(20,0)") * (F.col("n_left") + F.col("n_right") - 1) / 2).cast("decimal(38,0)").cast("string").alias("dirty"))
-        out = x if out is None else out.unionByName(x)
-    return out
+def _raw(name: str) -> str:
+    return f"dd AS ({views.descriptions_sql(name, 'clean')})"
 
 
-_add("ds_collection", _collection, " UNION ALL ".join(f"SELECT * FROM (WITH {_descriptions(c, 'clean')} SELECT '{c}' AS name, nl AS n_left, nr AS n_right, (SELECT count(*) FROM t) AS matches, (nl::HUGEINT * nr)::VARCHAR AS clean, ((nl + nr)::HUGEINT * (nl + nr - 1) // 2)::VARCHAR AS dirty FROM (SELECT count(*) FILTER (collection = 'L') AS nl, count(*) FILTER (collection = 'R') AS nr FROM (SELECT DISTINCT collection, entity_id FROM d))) z_{c}" for c in ALL))
+_add("ds_characteristics", _over("clean", measures.characteristics), " UNION ALL ".join(f"SELECT '{c}' AS name, z_{c}.* FROM (WITH {_descriptions(c, 'clean')}, {_raw(c)}, {DUPLICATES} {CHARACTERISTICS}) z_{c}" for c in ALL))
+COMBINED = """SELECT nl AS n_left, nr AS n_right, triples, attributes, types, round(triples::DOUBLE / (nl + nr), 8) AS pairs_per_description, matches, matches + dup AS matches_with_duplicates,
+(nl::HUGEINT * nr)::VARCHAR AS clean, ((nl + nr)::HUGEINT * (nl + nr - 1) // 2)::VARCHAR AS dirty,
+round(matches::DOUBLE / nullif(nl::DOUBLE * nr - matches, 0), 12) AS ratio_clean, round((matches + dup)::DOUBLE / nullif((nl + nr)::DOUBLE * (nl + nr - 1) / 2 - (matches + dup), 0), 12) AS ratio_dirty
+FROM (SELECT count(DISTINCT entity_id) FILTER (collection = 'L') AS nl, count(DISTINCT entity_id) FILTER (collection = 'R') AS nr, count(*) AS triples, count(DISTINCT collection || '|' || attribute) AS attributes,
+  count(DISTINCT CASE WHEN attribute = 'type' THEN collection || '|' || value END) AS types, (SELECT count(*) FROM (SELECT DISTINCT left_id, right_id FROM t)) AS matches, (SELECT sum(duplicates)::BIGINT FROM du) AS dup FROM dd)"""
+_add("ds_collection", _over("clean", measures.combined), " UNION ALL ".join(f"SELECT '{c}' AS name, z_{c}.* FROM (WITH {_descriptions(c, 'clean')}, {_raw(c)}, {DUPLICATES} {COMBINED}) z_{c}" for c in ALL))
 COMMON = f"""{TOKENS}, tk AS (SELECT DISTINCT collection, entity_id, '' AS cluster_id, token FROM tok),
 sh AS (SELECT cluster_id, token FROM tk GROUP BY 1, 2 HAVING count(DISTINCT collection) > 1),
 cn AS (SELECT collection, entity_id, count(*) AS n FROM tk JOIN sh USING (cluster_id, token) GROUP BY 1, 2),
@@ -262,9 +299,16 @@ ct AS (SELECT collection, entity_id, coalesce(n, 0) AS n FROM (SELECT DISTINCT c
 COMMON_CLUSTER = f"{TOKENS}, {GRAMS}, {SIMS}, {BEST}, {CLUSTERS}, " + COMMON.split(", tk AS", 1)[0].replace(TOKENS, "").strip() + "tk AS" + COMMON.split("tk AS", 1)[1].replace("'' AS cluster_id, token FROM tok)", "cluster_id, token FROM tok JOIN cl USING (collection, attribute))")
 for _kind, _ctes, _cluster in (("common_tokens", COMMON, False), ("cluster_tokens", COMMON_CLUSTER, True)):
     _make = lambda d, cl=_cluster: measures.common_tokens(d, _mapped_clusters(d) if cl else None)
-    _add(f"ds_{_kind}_hist", _on("d2", "clean", lambda d, t, m=_make: measures.histogram(m(d))), _with("d2", "clean", _ctes, "SELECT n, count(*) AS descriptions FROM ct GROUP BY n"))
-    _add(f"ds_{_kind}_median", _on("d2", "clean", lambda d, t, m=_make: measures.median_of(m(d))), _with("d2", "clean", _ctes, "SELECT median(n)::DOUBLE AS median FROM ct"))
-_add("ds_band_share", _on("d2", "clean", lambda d, t: measures.band_share(measures.common_tokens(d), 2, 4)), _with("d2", "clean", COMMON, "SELECT round(count(*) FILTER (n BETWEEN 2 AND 4) / count(*)::DOUBLE, 10) AS share FROM ct"))
+    _add(f"ds_{_kind}_hist", _over("clean", lambda d, t, m=_make: measures.histogram(m(d))), _over_sql("clean", _ctes, "SELECT n, count(*) AS descriptions FROM ct GROUP BY n"))
+    _add(f"ds_{_kind}_median", _over("clean", lambda d, t, m=_make: measures.median_of(m(d))), _over_sql("clean", _ctes, "SELECT median(n)::DOUBLE AS median FROM ct"))
+
+
+def _bands(d: DataFrame, t: DataFrame) -> DataFrame:
+    common = checkpoint(measures.common_tokens(d))
+    return reduce(DataFrame.unionByName, [measures.band_share(common, lo, hi).withColumn("band", F.lit(f"{lo}-{hi}")) for lo, hi in ((0, 10), (2, 4))])
+
+
+_add("ds_band_share", _over("clean", _bands), _over_sql("clean", COMMON, " UNION ALL ".join(f"SELECT '{lo}-{hi}' AS band, round(count(*) FILTER (n BETWEEN {lo} AND {hi}) / count(*)::DOUBLE, 10) AS share FROM ct" for lo, hi in ((0, 10), (2, 4)))))
 
 # Missed matches, structure, relations
 EDGES = "eg AS (SELECT DISTINCT x.entity_id AS src_id, x.value AS dst_id FROM d x JOIN (SELECT DISTINCT entity_id FROM d) y ON x.value = y.entity_id WHERE x.kind = 'uri' AND x.entity_id <> x.value)"
@@ -284,39 +328,86 @@ rp AS (SELECT 'missed_pairs' AS measure, (SELECT n FROM nf) AS numerator, (SELEC
 for _c in ("d1", "d2", "d3", "d4", "d5"):
     _add(f"mm_report_{_c}", _on(_c, "dirty", lambda d, t: missed.report(token_blocking.build(d), t, groundtruth.edges(d))), _with(_c, "dirty", f"{TOKEN_POSTINGS}, {REPORT}", "SELECT *, round(numerator * 100.0::DOUBLE / nullif(denominator, 0), 8) AS pct FROM rp"))
 _add("mm_report_literal_d2", _on("d2", "dirty", lambda d, t: missed.report(token_blocking.build(d, kinds=("literal",)), t, groundtruth.edges(d))), _with("d2", "dirty", f"{TOKENS}, p AS (SELECT DISTINCT token AS block_key, collection, entity_id FROM tok WHERE kind = 'literal'), {REPORT}", "SELECT *, round(numerator * 100.0::DOUBLE / nullif(denominator, 0), 8) AS pct FROM rp"))
-_add("st_report", _on("d2", "dirty", lambda d, t: missed.structural(t, groundtruth.edges(d))))
+LINKED = ("d1", "d2", "d3", "d4", "d5", "d7")
+STRUCTURE = f"""{EDGES}, {SYM}, tr AS (SELECT DISTINCT left_id, right_id FROM t),
+sm AS (SELECT 'match' AS kind, left_id, right_id FROM (SELECT * FROM tr ORDER BY md5(left_id || '|' || right_id || '|42'), left_id, right_id LIMIT 1000)),
+il AS (SELECT left_id, row_number() OVER (ORDER BY h, left_id) AS i FROM (SELECT entity_id AS left_id, md5(entity_id || '|42L') AS h FROM (SELECT DISTINCT entity_id FROM d WHERE collection = 'L') ORDER BY h, left_id LIMIT 2000)),
+ir AS (SELECT right_id, row_number() OVER (ORDER BY h, right_id) AS i FROM (SELECT entity_id AS right_id, md5(entity_id || '|42R') AS h FROM (SELECT DISTINCT entity_id FROM d WHERE collection = 'R') ORDER BY h, right_id LIMIT 2000)),
+sn AS (SELECT 'non_match' AS kind, left_id, right_id FROM (SELECT left_id, right_id, i FROM il JOIN ir USING (i) WHERE NOT EXISTS (SELECT 1 FROM tr WHERE tr.left_id = il.left_id AND tr.right_id = ir.right_id) ORDER BY i LIMIT 1000)),
+sp AS (SELECT * FROM sm UNION ALL SELECT * FROM sn), dg AS (SELECT src_id, count(*) AS deg FROM eg GROUP BY 1),
+nb AS (SELECT kind, left_id, right_id, l.deg * r.deg AS k FROM sp LEFT JOIN dg l ON l.src_id = left_id LEFT JOIN dg r ON r.src_id = right_id),
+mn AS (SELECT DISTINCT kind, left_id, right_id FROM sp JOIN eg a ON a.src_id = left_id JOIN tt ON tt.x = a.dst_id JOIN eg b ON b.src_id = right_id AND b.dst_id = tt.y)"""
+_add("st_report", _over("clean", lambda d, t: missed.structural(d, t, groundtruth.edges(d)), LINKED), _over_sql("clean", STRUCTURE, "SELECT kind, count(*) AS pairs, count(k) AS with_neighbours, median(k)::DOUBLE AS median_neighbour_pairs, any_value((SELECT count(*) FROM mn WHERE mn.kind = nb.kind)) AS with_matching_neighbours FROM nb GROUP BY kind", LINKED))
 _add("st_sample_matches", _on("d1", "clean", lambda d, t: missed.sample_matches(t, 1000)), _with("d1", "clean", "", "SELECT left_id, right_id FROM (SELECT DISTINCT left_id, right_id FROM t) ORDER BY md5(left_id || '|' || right_id || '|42'), left_id, right_id LIMIT 1000"))
 
+# What attribute clustering and the URI method miss beside token blocking
+_PAIRS_OF = "{n}k AS MATERIALIZED (SELECT t.left_id, t.right_id, a.block_key FROM t JOIN {p} a ON a.entity_id = t.left_id), {n}h AS MATERIALIZED (SELECT DISTINCT k.left_id, k.right_id FROM {n}k k JOIN {p} b ON b.entity_id = k.right_id AND b.block_key = k.block_key)"
+_BOTH = ATTRIBUTE_POSTINGS.replace(", p AS (", ", pa AS (") + ", pt AS (SELECT DISTINCT token AS block_key, collection, entity_id FROM tok), " + _PAIRS_OF.format(n="x", p="pt") + ", " + _PAIRS_OF.format(n="y", p="pa") + """,
+o AS (SELECT left_id, right_id, EXISTS (SELECT 1 FROM xh WHERE xh.left_id = tr.left_id AND xh.right_id = tr.right_id) AS th, EXISTS (SELECT 1 FROM yh WHERE yh.left_id = tr.left_id AND yh.right_id = tr.right_id) AS ah FROM (SELECT DISTINCT left_id, right_id FROM t) tr)"""
+_add("mm_split_by_clusters", _over("clean", lambda d, t: missed.split_by_clusters(token_blocking.build(d), attr_clustering.build(d), t)), _over_sql("clean", _BOTH, "SELECT count(*) FILTER (NOT th) AS missed_token, count(*) FILTER (NOT ah) AS missed_attribute, count(*) FILTER (th AND NOT ah) AS split, count(*) FILTER (NOT th AND ah) AS missed_token_only FROM o"))
+_PARTS = f"{TOKENS}, {_uri_sql()}, pl0 AS (SELECT DISTINCT token AS block_key, collection, entity_id FROM tok WHERE kind = 'literal'), pi0 AS (SELECT DISTINCT infix AS block_key, collection, entity_id FROM un JOIN inf ON un.uri = inf.uri WHERE infix <> ''), pu0 AS (SELECT * FROM pl0 UNION SELECT * FROM pi0), " + ", ".join(_PAIRS_OF.format(n=n, p=p) for n, p in (("l", "pl0"), ("i", "pi0"), ("u", "pu0"))) + """,
+o AS (SELECT left_id, right_id, EXISTS (SELECT 1 FROM lh WHERE lh.left_id = tr.left_id AND lh.right_id = tr.right_id) AS l, EXISTS (SELECT 1 FROM ih WHERE ih.left_id = tr.left_id AND ih.right_id = tr.right_id) AS i, EXISTS (SELECT 1 FROM uh WHERE uh.left_id = tr.left_id AND uh.right_id = tr.right_id) AS u FROM (SELECT DISTINCT left_id, right_id FROM t) tr)"""
+
+
+def _split_by_parts(d: DataFrame, t: DataFrame) -> DataFrame:
+    infixes = checkpoint(uri_infix.infix_postings(uri_infix.infixes(d)))
+    literals = token_blocking.build(d, kinds=("literal",))
+    return missed.split_by_parts(literals, infixes, infixes.unionByName(literals).distinct(), t)
+
+
+_add("mm_split_by_parts", _over("clean", _split_by_parts, URIS), _over_sql("clean", _PARTS, "SELECT count(*) FILTER (NOT u) AS missed_uri, count(*) FILTER (NOT l AND NOT i) AS without_token_and_infix, count(*) FILTER (i AND NOT l) AS common_infix_only, count(*) FILTER (l AND NOT i) AS common_token_only FROM o", URIS))
+
 
 def _relations(spark: SparkSession, sf_dir: str, stats: bool = False) -> DataFrame:
-    views.register(spark, sf_dir)
-    out = None
+    out = []
     for r in views.RELATIONS:
-        d, t = (spark.sql(x) for x in views.relation_sql(r))
-        d = d.where("value is not null")
-        x = measures.characteristics(d).withColumn("link_type", F.lit(r)).select("link_type", "collection", "triples", "descriptions", "pairs_per_description") if stats else measures.recall_by(measures.hits(token_blocking.build(d), t), ["link_type"]).withColumn("recall", F.round("recall", 10))
-        out = x if out is None else out.unionByName(x)
-    return out
+        d, t = views.load_relation(spark, sf_dir, r)
+        if stats:
+            x = measures.characteristics(d).select("collection", "triples", "descriptions", "pairs_per_description").crossJoin(t.agg(F.count(F.lit(1)).alias("links"), F.count_distinct("link_type").alias("link_types")))
+        else:
+            x = measures.recall_by(measures.hits(token_blocking.build(d), t), ["link_type"]).withColumn("recall", F.round("recall", 10))
+        out.append(x.withColumn("dataset", F.lit(r)))
+    return reduce(DataFrame.unionByName, out)
 
 
 def _relation_rows(final: str, ctes: str) -> str:
     rows = []
     for r in views.RELATIONS:
         d, t = views.relation_sql(r)
-        rows.append(f"SELECT * FROM (WITH d AS (SELECT * FROM ({d}) y WHERE value IS NOT NULL), t AS ({t}){ctes} {final.format(r=r)}) z_{r}")
+        rows.append(f"SELECT '{r}' AS dataset, z_{r}.* FROM (WITH d AS (SELECT * FROM ({d}) y WHERE value IS NOT NULL), t AS ({t}){ctes} {final}) z_{r}")
     return " UNION ALL ".join(rows)
 
 
 _add("rl_recall_by_link", _relations, _relation_rows("SELECT link_type, count(*) AS links, count(*) FILTER (hit) AS tp, round(count(*) FILTER (hit) / count(*)::DOUBLE, 10) AS recall FROM h GROUP BY 1", f", {TOKEN_POSTINGS}, {HITS}"))
-_add("rl_link_stats", partial(_relations, stats=True), _relation_rows("SELECT '{r}' AS link_type, collection, count(*) AS triples, count(DISTINCT entity_id) AS descriptions, round(count(*)::DOUBLE / count(DISTINCT entity_id), 8) AS pairs_per_description FROM d GROUP BY collection", ""))
+_add("rl_link_stats", partial(_relations, stats=True), _relation_rows("SELECT collection, count(*) AS triples, count(DISTINCT entity_id) AS descriptions, round(count(*)::DOUBLE / count(DISTINCT entity_id), 8) AS pairs_per_description, (SELECT count(*) FROM t) AS links, (SELECT count(DISTINCT link_type) FROM t) AS link_types FROM d GROUP BY collection", ""))
+
+
+def _strata(spark: SparkSession, sf_dir: str) -> DataFrame:
+    d, t = views.load(spark, sf_dir, "d4", "clean")
+    of = spark.table("documents").select(F.expr("'http://docs.test/doc/' || doc_id").alias("left_id"), "lang", "source").distinct()
+    return measures.recall_by(measures.hits(token_blocking.build(d), t).join(of, "left_id"), ["lang", "source"], "cube").withColumn("recall", F.round("recall", 10))
+
+
+_add("rl_recall_strata", _strata, f"WITH {_descriptions('d4', 'clean')}, {TOKEN_POSTINGS}, {HITS}, o AS (SELECT DISTINCT 'http://docs.test/doc/' || doc_id AS left_id, lang, source FROM documents) SELECT lang, source, count(*) AS links, count(*) FILTER (hit) AS tp, round(count(*) FILTER (hit) / count(*)::DOUBLE, 10) AS recall FROM h JOIN o USING (left_id) GROUP BY CUBE (lang, source)")
 
 # Comparison of methods
 _add("cmp_methods", lambda spark, sf: workloads.matrix(spark, sf), _matrix_sql(ALL))
 _DELTA = """SELECT m.collection, m.task, m.method, round((m.recall - b.recall) * 100, 8) AS recall_points, m.fn - b.fn AS extra_misses,
 round(m.precision / nullif(b.precision, 0), 8) AS precision_ratio, round(m.comparisons::DOUBLE / nullif(b.comparisons::DOUBLE, 0), 8) AS comparison_ratio
 FROM m JOIN m b ON b.method = 'token' AND m.method <> 'token' AND b.collection = m.collection AND b.task = m.task"""
-_add("cmp_delta", lambda spark, sf: measures.delta(workloads.matrix(spark, sf, ALL)), f"WITH m AS ({_matrix_sql(ALL)}) {_DELTA}")
-_add("cmp_cube", lambda spark, sf: workloads.matrix(spark, sf, ALL).rollup("role", "collection", "method").agg(F.count(F.lit(1)).alias("cells"), F.round(F.avg("recall"), 8).alias("recall"), F.round(F.avg("rr"), 8).alias("rr")), f"WITH m AS ({_matrix_sql(ALL)}) SELECT role, collection, method, count(*) AS cells, round(avg(recall), 8) AS recall, round(avg(rr), 8) AS rr FROM m GROUP BY ROLLUP (role, collection, method)")
+_add("cmp_delta", lambda spark, sf: measures.delta(workloads.matrix(spark, sf)), f"WITH m AS ({_matrix_sql(ALL)}) {_DELTA}")
+_MEANS = ("recall", "precision", "rr", "h3r")
+_add("cmp_cube", lambda spark, sf: workloads.matrix(spark, sf).rollup("role", "collection", "method").agg(F.count(F.lit(1)).alias("cells"), *[F.round(F.avg(x), 8).alias(x) for x in _MEANS]), f"WITH m AS ({_matrix_sql(ALL)}) SELECT role, collection, method, count(*) AS cells, {', '.join(f'round(avg({x}), 8) AS {x}' for x in _MEANS)} FROM m GROUP BY ROLLUP (role, collection, method)")
+
+
+def _clusters_and_recall(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Size of the attribute clusters beside what they cost in recall and gain in precision."""
+    sizes = _over("clean", lambda d, t: measures.cluster_stats(_mapped_clusters(d)))(spark, sf_dir)
+    change = measures.delta(workloads.matrix(spark, sf_dir, ALL, ("token", "attribute"))).where("task = 'clean'")
+    return sizes.join(change, sizes["name"] == change["collection"]).select("name", "n_clusters", "median_attributes", "recall_points", "extra_misses", "precision_ratio", "comparison_ratio")
+
+
+_add("ac_delta_vs_token", _clusters_and_recall, f"WITH m AS ({_matrix_sql(ALL, ('token', 'attribute'))}), dl AS ({_DELTA}), st AS ({ORACLE['ac_cluster_stats']}) SELECT name, n_clusters, median_attributes, recall_points, extra_misses, precision_ratio, comparison_ratio FROM st JOIN dl ON dl.collection = st.name AND dl.task = 'clean'")
 
 
 # Streams
@@ -330,16 +421,53 @@ _add("sm_block_growth", _stream(incremental.block_growth), f"WITH {_EV} SELECT t
 _add("sm_session_users", _stream(incremental.sessions), "WITH g AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL '30 minutes' THEN 0 ELSE 1 END AS new FROM events), k AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS s FROM g) SELECT user_id, min(ts) AS start, count(*) AS n FROM k GROUP BY user_id, s")
 
 
-# Operators around the methods
-def _same_block(d: DataFrame, t: DataFrame) -> DataFrame:
-    return blocks.same_block(token_blocking.build(d), t)
+def _new_candidates(spark: SparkSession, sf: str) -> DataFrame:
+    events = spark.read.parquet(f"{sf}/events.parquet")
+    known = events.where("ts < TIMESTAMP_NTZ '2024-01-02'").select(F.col("event_type").alias("block_key"), F.col("user_id").alias("entity_id")).distinct()
+    stream = incremental.event_stream(spark, f"{sf}/events.parquet").where("ts >= TIMESTAMP '2024-01-02'")
+    found = incremental.drain(incremental.new_candidates(stream, known), "append")
+    return found.groupBy("block_key", "entity_id").agg(F.count_distinct("other").alias("others"))
+
+
+_add("sm_new_candidates", _new_candidates, f"WITH {_EV}, kn AS (SELECT DISTINCT event_type AS block_key, user_id AS other FROM events WHERE ts < TIMESTAMP '2024-01-02') SELECT block_key, entity_id, count(DISTINCT other) AS others FROM et JOIN kn USING (block_key) WHERE ts >= TIMESTAMP '2024-01-02' AND entity_id <> other GROUP BY 1, 2")
+_add("sm_late", lambda spark, sf: incremental.drain(incremental.late(incremental.event_stream(spark, f"{sf}/events.parquet"), 86_400, "event_id % 7 * 100000000 + event_id"), "update").groupBy("user_id").agg(F.max("n").alias("n"), F.max("n_late").alias("n_late")), "WITH o AS (SELECT user_id, ts, max(ts) OVER (PARTITION BY user_id ORDER BY event_id % 7, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS top FROM events) SELECT user_id, count(*) AS n, count(*) FILTER (ts < top - INTERVAL '1 day') AS n_late FROM o GROUP BY 1")
+_add("sm_sliding_blocks", _stream(lambda e: incremental.block_growth(e, "1 hour", "30 minutes")), f"WITH {_EV} SELECT start, block_key, count(*) AS n FROM (SELECT block_key, unnest([time_bucket(INTERVAL '30 minutes', ts), time_bucket(INTERVAL '30 minutes', ts) - INTERVAL '30 minutes']) AS start FROM et) GROUP BY 1, 2")
 
 
-_add("op_same_block", _on("d5", "clean", _same_block), _with("d5", "clean", f"{TOKEN_POSTINGS}, {HITS}", "SELECT left_id, right_id FROM h WHERE hit"))
+# Operators around the methods
+for _m, _c in (("token", "d5"), ("attribute", "d2"), ("uri", "d4")):
+    _add("op_same_block" + ("" if _m == "token" else f"_{_m}"), _on(_c, "clean", lambda d, t, m=_m: blocks.same_block(workloads.postings(d, m), t)), _with(_c, "clean", f"{POSTINGS[_m]}, {HITS}", "SELECT DISTINCT left_id, right_id FROM h WHERE hit"))
 _add("op_nested_descriptions", _on("d1", "clean", lambda d, t: ingest.nest(d).select("collection", "entity_id", F.size("attrs").alias("n"))), _with("d1", "clean", "", "SELECT collection, entity_id, count(*)::INT AS n FROM (SELECT DISTINCT collection, entity_id, attribute, value, kind FROM d) GROUP BY 1, 2"))
 _add("op_truth_closure", _on("d6", "dirty", lambda d, t: groundtruth.close(t)), _with("d6", "dirty", "e2 AS (SELECT left_id AS a, right_id AS b FROM t UNION SELECT right_id, left_id FROM t), reach AS (SELECT a AS n, b AS c FROM e2 UNION SELECT reach.n, e2.b FROM reach JOIN e2 ON e2.a = reach.c)", "SELECT n AS left_id, c AS right_id, 'equivalence' AS link_type FROM reach WHERE n < c"))
 
 
+def _of_type(spark: SparkSession, sf: str, kind: str) -> DataFrame:
+    return spark.read.parquet(f"{sf}/events.parquet").where(F.col("event_type") == kind).select("event_id", "user_id", "ts")
+
+
+def _candidate_sets(d: DataFrame, t: DataFrame) -> DataFrame:
+    return around.compare_candidates({m: pairs.distinct(workloads.postings(d, m), "clean") for m in ("token", "attribute", "uri")})
+
+
+def _surface(d: DataFrame, t: DataFrame) -> DataFrame:
+    spark = d.sparkSession
+    around.surface(spark, d, token_blocking.build(d), t, "clean")
+    text = "SELECT x.collection, f.token, count(*) AS n, any_value(b.comparisons) AS comparisons FROM (SELECT DISTINCT collection, entity_id, value FROM descriptions WHERE attribute = :attribute) x, LATERAL tokens_of(x.value) f JOIN block_summary b ON b.block_key = f.token GROUP BY 1, 2"
+    return spark.sql(text, args={"attribute": "name"}).withColumn("comparisons", F.col("comparisons").cast("string"))
+
+
+_add("op_asof", lambda spark, sf: around.asof_join(_of_type(spark, sf, "purchase"), _of_type(spark, sf, "click"), "user_id", "ts").select("event_id", "as_of"), "SELECT p.event_id, c.ts AS as_of FROM (SELECT * FROM events WHERE event_type = 'purchase') p ASOF LEFT JOIN (SELECT * FROM events WHERE event_type = 'click') c ON p.user_id = c.user_id AND p.ts >= c.ts")
+_add("op_interval", lambda spark, sf: around.interval_join(_of_type(spark, sf, "purchase"), _of_type(spark, sf, "click"), "user_id", "ts", "event_id", 1800), "SELECT p.event_id AS left_id, c.event_id AS right_id FROM events p JOIN events c ON p.event_type = 'purchase' AND c.event_type = 'click' AND p.user_id = c.user_id AND abs(epoch_us(p.ts) - epoch_us(c.ts)) <= 1800000000")
+_SETS = ("token", "attribute", "uri")
+_CLEAN_PAIRS = _pairs("clean")
+_add("op_candidate_sets", _on("d2", "clean", _candidate_sets), "WITH " + ", ".join(f"c_{m} AS (SELECT * FROM ({_with('d2', 'clean', f'{POSTINGS[m]}, {_CLEAN_PAIRS}', 'SELECT * FROM pr')}) z_{m})" for m in _SETS) + " " + " UNION ALL ".join(f"SELECT '{x}' AS a, '{y}' AS b, (SELECT count(*) FROM (SELECT * FROM c_{x} INTERSECT SELECT * FROM c_{y})) AS \"both\", (SELECT count(*) FROM (SELECT * FROM c_{x} EXCEPT SELECT * FROM c_{y})) AS only_a, (SELECT count(*) FROM (SELECT * FROM c_{y} EXCEPT SELECT * FROM c_{x})) AS only_b" for x, y in (("token", "attribute"), ("token", "uri"), ("attribute", "uri"))))
+_add("op_top_blocks", _on("d6", "dirty", lambda d, t: around.top_blocks(blocks.summary(token_blocking.build(d), "dirty"), 100)), _with("d6", "dirty", f"{TOKEN_POSTINGS}, {_summary('dirty')}", "SELECT block_key, row_number() OVER w AS rank, sum(comparisons) OVER (w ROWS UNBOUNDED PRECEDING)::HUGEINT::VARCHAR AS running FROM (SELECT * FROM s ORDER BY comparisons DESC, block_key LIMIT 100) WINDOW w AS (ORDER BY comparisons DESC, block_key)"))
+_add("op_sql_surface", _on("d2", "clean", _surface), _with("d2", "clean", f"{TOKEN_POSTINGS}, {_summary('clean')}", "SELECT x.collection, x.token, count(*) AS n, any_value(s.comparisons)::VARCHAR AS comparisons FROM (SELECT collection, entity_id, value, unnest(list_distinct(regexp_extract_all(lower(value), '" + WORD + "'))) AS token FROM (SELECT DISTINCT collection, entity_id, value FROM d WHERE attribute = 'name')) x JOIN s ON s.block_key = x.token GROUP BY 1, 2"))
+_add("op_metric_pivot", lambda spark, sf: workloads.matrix(spark, sf, ("d1", "d2", "d7"), ("token", "attribute")).where("task = 'clean'").groupBy("collection").pivot("method", ["token", "attribute"]).agg(F.max("recall").alias("recall"), F.max("rr").alias("rr")), f"WITH m AS ({_matrix_sql(('d1', 'd2', 'd7'), ('token', 'attribute'))}) SELECT collection, " + ", ".join(f"max({x}) FILTER (method = '{m}') AS {m}_{x}" for m in ("token", "attribute") for x in ("recall", "rr")) + " FROM m WHERE task = 'clean' GROUP BY 1")
+_add("op_kept_linked", _on("d5", "dirty", lambda d, t: ingest.keep_linked(d, t, "left").groupBy("attribute").agg(F.count(F.lit(1)).alias("n"))), _with("d5", "dirty", "", "SELECT attribute, count(*) AS n FROM (SELECT * FROM (" + views.descriptions_sql("d5", "dirty") + ") y) x WHERE entity_id IN (SELECT left_id FROM t) GROUP BY 1"))
+_add("op_unpivot", lambda spark, sf: ingest.combine_clean(ingest.unpivot(spark.read.parquet(f"{sf}/customer.parquet"), "x", "'c' || c_custkey", ["c_name", "c_mktsegment"]), ingest.unpivot(spark.read.parquet(f"{sf}/supplier.parquet"), "x", "'s' || s_suppkey", ["s_name"])), "SELECT 'L' AS collection, 'c' || c_custkey AS entity_id, 'c_name' AS attribute, c_name AS value, 'literal' AS kind FROM customer WHERE c_name IS NOT NULL UNION ALL SELECT 'L', 'c' || c_custkey, 'c_mktsegment', c_mktsegment, 'literal' FROM customer WHERE c_mktsegment IS NOT NULL UNION ALL SELECT 'R', 's' || s_suppkey, 's_name', s_name, 'literal' FROM supplier WHERE s_name IS NOT NULL")
+
+
 def queries() -> dict[str, Query]:
     return dict(QUERIES)
 

@@ -52,6 +52,28 @@ def new_candidates(events: DataFrame, postings: DataFrame) -> DataFrame:
     return event_tokens(events).join(known, "block_key").where("entity_id <> other").select("block_key", "entity_id", "other")
 
 
+def late(events: DataFrame, seconds: int = 3600, order: str = "event_id") -> DataFrame:
+    """user_id, n, n_late: events that came more than ``seconds`` after a later one of the same user.
+
+    State per user: the latest time seen and two counts.  Inside a micro-batch rows count in the order given.
+    """
+    import pandas as pd
+    from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+
+    def step(key: tuple, frames: object, state: GroupState) -> object:
+        pdf = pd.concat(list(frames)).sort_values("place")
+        top, n, behind = state.get if state.exists else (-1, 0, 0)
+        seen = pdf["at"].cummax().shift(fill_value=top).clip(lower=top)
+        behind += int((pdf["at"] < seen - seconds * 1_000_000).sum())
+        top, n = max(top, int(pdf["at"].max())), n + len(pdf)
+        state.update((top, n, behind))
+        yield pd.DataFrame({"user_id": [key[0]], "n": [n], "n_late": [behind]})
+
+    kind = events.schema["user_id"].dataType.simpleString()
+    slim = events.select("user_id", F.expr(order).cast("long").alias("place"), F.unix_micros("ts").alias("at"))
+    return slim.groupBy("user_id").applyInPandasWithState(step, f"user_id {kind}, n long, n_late long", "top long, n long, behind long", "update", GroupStateTimeout.NoTimeout)
+
+
 def drain(stream: DataFrame, mode: str = "complete") -> DataFrame:
     """All that a stream has now, as a table (available-now trigger into the memory sink)."""
     name = f"stream_{uuid.uuid4().hex}"
