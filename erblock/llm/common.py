@@ -5,12 +5,12 @@ from __future__ import annotations
 from collections.abc import Callable, Iterator
 
 import numpy as np
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from erblock.functions.cut import checkpoint
+from erblock.functions.cut import BROADCAST_BYTES, checkpoint, discard, fits, written
 
-__all__ = ["SPACE", "WORD", "checkpoint", "let", "mix64", "powers", "prefix_hash", "shingle_hashes", "texts", "word_bounds", "words"]
+__all__ = ["BROADCAST_BYTES", "SPACE", "WORD", "checkpoint", "discard", "fits", "let", "mix64", "powers", "prefix_hash", "row_of", "shingle_hashes", "texts", "word_bounds", "words", "written"]
 
 #: A word: a run of anything but the ASCII white space characters.
 WORD = r"[^\x20\x09-\x0D]+"
@@ -28,6 +28,11 @@ def words(text: Column) -> Column:
     return F.regexp_extract_all(F.coalesce(text, F.lit("")), F.lit(WORD), F.lit(0))
 
 
+def row_of(df: DataFrame) -> Column:
+    """All columns as one struct, so that columns of any name pass beside those that an operator adds."""
+    return F.struct(*[F.col("`" + c.replace("`", "``") + "`") for c in df.columns])
+
+
 # ---------------------------------------------------------------- numpy hashing of byte strings
 
 _BASE = np.uint64(0x9E3779B97F4A7C15)  # odd, so it has an inverse modulo 2**64
