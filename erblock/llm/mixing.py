@@ -13,7 +13,9 @@ Nested: as the hash of a document never changes, a larger budget keeps all that
 
 Edge cases: null text has size 0; a null source is a source of its own, ordered last; rows that
 share an id share a hash, so they are taken together; a null id hashes as the word ``null``;
-sources of size 0 get target 0; an empty table gives an empty result; extra columns are ignored.
+sources of size 0 get target 0; an empty table gives an empty result; extra columns are ignored (``repeated`` passes
+columns of any name).  The table of sources, a row per source, is put in order in one task: windows spill, so that
+bounds the number of sources to what one disk sorts (some 10**8), not the documents.
 """
 
 from __future__ import annotations
@@ -21,11 +23,9 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from erblock.llm.common import checkpoint, words
+from erblock.llm.common import checkpoint, fits, row_of, words
 
 BITS, LEVELS = 12, 4
-#: Rows of the source table up to which it is broadcast (a row is a name and eight numbers).
-BROADCAST_SOURCES = 20_000
 
 
 def hashed(id_col: str = "doc_id") -> Column:
@@ -78,14 +78,35 @@ def thresholds(slim: DataFrame, tgt: DataFrame) -> DataFrame:
     return state.select(F.col("s"), F.col("prefix").alias("cut"), (F.col("last") - F.col("left") < F.col("left")).alias("at"))
 
 
+def plan(slim: DataFrame, weights: tuple[int, ...] = (3, 1, 2), share: float = 1.5, max_repeat: int = 2) -> DataFrame:
+    """s (source), source_size, target, copies, cut and at: what each source gives; broadcast if its bytes are few."""
+    tgt = checkpoint(targets(slim, weights, share, max_repeat))
+    cut = thresholds(slim, tgt)
+    out = tgt.join(cut, tgt["source"].eqNullSafe(cut["s"]), "left").select(F.col("source").alias("s"), "source_size", "target", "copies", "cut", "at")
+    return F.broadcast(out) if fits(tgt) else out
+
+
+def _copies(h: Column) -> Column:
+    more = F.coalesce((h < F.col("cut")) | ((h == F.col("cut")) & F.col("at")), F.lit(False))
+    return F.col("copies") + more.cast("long")
+
+
 def mix(docs: DataFrame, weights: tuple[int, ...] = (3, 1, 2), share: float = 1.5, max_repeat: int = 2, **cols: str) -> DataFrame:
     """doc_id, source, size, source_size, target, n_copies (times the mix holds the document)."""
     slim = checkpoint(sizes(docs, **cols))
-    tgt = checkpoint(targets(slim, weights, share, max_repeat))
-    cut = thresholds(slim, tgt)
-    plan = tgt.join(cut, tgt["source"].eqNullSafe(cut["s"]), "left").select(F.col("source").alias("s"), "source_size", "target", "copies", "cut", "at")
-    if tgt.count() <= BROADCAST_SOURCES:
-        plan = F.broadcast(plan)
-    joined = slim.join(plan, slim["source"].eqNullSafe(F.col("s")))
-    more = F.coalesce((F.col("h") < F.col("cut")) | ((F.col("h") == F.col("cut")) & F.col("at")), F.lit(False))
-    return joined.select("doc_id", "source", "h", "size", "source_size", "target", (F.col("copies") + more.cast("long")).alias("n_copies"))
+    per = plan(slim, weights, share, max_repeat)
+    joined = slim.join(per, slim["source"].eqNullSafe(F.col("s")))
+    return joined.select("doc_id", "source", "h", "size", "source_size", "target", _copies(F.col("h")).alias("n_copies"))
+
+
+def repeated(docs: DataFrame, weights: tuple[int, ...] = (3, 1, 2), share: float = 1.5, max_repeat: int = 2, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
+    """The rows of ``docs``, each as often as the mix takes it.
+
+    What a source gives is joined to the rows, so each row is judged by its own source and hash; texts are not exchanged
+    as long as the sources' plan is broadcast.
+    """
+    slim = checkpoint(sizes(docs, id_col, text_col, source_col))
+    per = plan(slim, weights, share, max_repeat)
+    rows = docs.select(row_of(docs).alias("row"), hashed(id_col).alias("h"), F.col(source_col).alias("source"))
+    taken = rows.join(per, rows["source"].eqNullSafe(F.col("s"))).select("row", _copies(F.col("h")).alias("n")).where("n > 0")
+    return taken.select("row", F.explode(F.sequence(F.lit(1), F.col("n").cast("int"))).alias("i")).select("row.*")
