@@ -5,8 +5,8 @@ ledger.  A *policy* is a versioned set of bits: applying one, comparing two or a
 rule alone rejects are bit operations on the ledger and never touch the text again.
 
 Edge cases: a null text counts as empty (no words, fails ``few_words``); ids may be null or
-repeat, rows are judged one by one; other columns are passed through by ``ledger`` and may
-have any name but those of ``MEASURES`` and ``fail_bits``; an empty table gives an empty one.
+repeat, rows are judged one by one; other columns are passed through by ``ledger``, but for those named as one of
+``MEASURES`` or ``fail_bits``, which the ledger's own replace (``kept_rows`` passes all); an empty table gives an empty one.
 The work per text is O(n log n) in its words and needs no shuffle.
 """
 
@@ -17,7 +17,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from erblock.llm.common import WORD, let, words
+from erblock.llm.common import WORD, let, row_of, words
 
 MEASURES = ("n_words", "word_chars", "n_symbols", "n_lines", "n_dup_lines", "n_repeat_words")
 WINDOW = 5
@@ -112,10 +112,17 @@ def measures(text: Column) -> Column:
 
 def ledger(docs: DataFrame, text_col: str = "text") -> DataFrame:
     """The columns of ``docs`` with the measurements and the failure bits of all rules."""
-    measured = docs.withColumn("_m", measures(F.col(text_col)))
-    wide = measured.select(*docs.columns, *[F.col("_m")[m].alias(m) for m in MEASURES])
+    own = {*MEASURES, "fail_bits"}
+    others = [F.col("`" + c.replace("`", "``") + "`") for c in docs.columns if c.lower() not in own]
+    measured = docs.select(F.struct(*others).alias("row") if others else F.lit(None).alias("row"), measures(F.col(text_col)).alias("m"))
     bits = " + ".join(f"if({r.fails}, {1 << r.bit}L, 0L)" for r in RULES)
-    return wide.withColumn("fail_bits", F.expr(bits))
+    return measured.select(*(["row.*"] if others else []), "m.*").withColumn("fail_bits", F.expr(bits))
+
+
+def kept_rows(docs: DataFrame, policy: Policy = PRODUCTION, text_col: str = "text") -> DataFrame:
+    """The rows of ``docs`` that the policy keeps, unchanged."""
+    led = ledger(docs.select(row_of(docs).alias("row"), F.col(text_col).alias("text")))
+    return led.where(passes(policy)).select("row.*")
 
 
 def passes(policy: Policy, bits: Column | None = None) -> Column:
