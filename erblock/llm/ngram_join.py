@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from erblock.llm.common import checkpoint, mix64, shingle_hashes
+from erblock.llm.common import checkpoint, fits, mix64, row_of, shingle_hashes
 from erblock.operators.components import connected
 
 BANDS, ROWS, STEP = 24, 4, 16
@@ -40,8 +40,6 @@ HASHES = BANDS * ROWS
 TOLERANCE = 1e-9
 #: Nodes and shingles of a block, about.
 BLOCK_NODES, BLOCK_SHINGLES = 2048, 1 << 21
-#: Members of candidate components up to which their keys (two numbers each) are broadcast.
-BROADCAST_ROWS = 1_000_000
 
 _RNG = np.random.default_rng(5)
 _MUL = _RNG.integers(1, 1 << 63, HASHES, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -265,7 +263,7 @@ def near_duplicates(docs: DataFrame, threshold: float = 0.8, id_col: str = "doc_
         "blocks", "node", "copies", F.col("rep.tkey").alias("rkey"), F.col("rep.doc_id").alias("rid"),
     )
     placed = checkpoint(placed)
-    if placed.count() <= BROADCAST_ROWS:
+    if fits(placed):
         placed = F.broadcast(placed)
     source = docs.select(F.col(id_col).alias("doc_id"), F.xxhash64(text_col).alias("tkey"), F.col(text_col).alias("text"))
     texts = source.join(placed, (source["tkey"] == F.col("rkey")) & source["doc_id"].eqNullSafe(F.col("rid"))).select("g", "block", "blocks", "node", "copies", "text")
@@ -317,21 +315,22 @@ def keep_one(docs: DataFrame, threshold: float = 0.8, id_col: str = "doc_id", te
 
     The row with the class's own id stays, of several texts with it the one of the least key, of repeated rows
     the least by its columns (which have to be orderable); rows without id only where their class has none.
+    Columns may have any name.
     """
     marks = near_duplicates(docs, threshold, id_col, text_col)
     keys = marks.where("node is not null and n_links > 0").groupBy("doc_id", "tkey", "class_node").agg(F.count(F.lit(1)).alias("n"))
-    keys = checkpoint(keys.select(F.col("doc_id").alias("_d"), F.col("tkey").alias("_k"), "class_node", "n"))
-    first = keys.groupBy("class_node").agg(F.min(F.struct(F.col("_d").isNull().alias("none"), "_d", "_k", "n")).alias("first"))
-    first = checkpoint(first.select("first._d", "first._k", "first.n"))
-
-    def of(left: DataFrame, d: str, k: str, right: DataFrame, how: str) -> DataFrame:
-        right = right.select(F.col("_d").alias("_rd"), F.col("_k").alias("_rk"))
-        right = F.broadcast(right) if right.count() <= BROADCAST_ROWS else right
-        return left.join(right, left[d].eqNullSafe(F.col("_rd")) & (left[k] == F.col("_rk")), how)
-
-    drop = checkpoint(of(keys, "_d", "_k", first, "left_anti"))
-    repeated = first.where("n > 1")
-    keyed = docs.withColumn("_t", F.xxhash64(text_col))
-    kept = of(of(keyed, id_col, "_t", drop, "left_anti"), id_col, "_t", repeated, "left_anti")
-    once = of(keyed, id_col, "_t", repeated, "left_semi").groupBy(F.col(id_col).alias("_d"), "_t").agg(F.min(F.struct(*docs.columns)).alias("row"))
-    return kept.drop("_t").unionByName(once.select("row.*"))
+    keys = checkpoint(keys.select(F.col("doc_id").alias("d"), F.col("tkey").alias("k"), "class_node", "n"))
+    first = keys.groupBy("class_node").agg(F.min(F.struct(F.col("d").isNull().alias("none"), "d", "k", "n")).alias("first"))
+    first = checkpoint(first.select("first.d", "first.k", "first.n"))
+
+    def of(left: DataFrame, right: DataFrame, how: str) -> DataFrame:
+        right = right.select(F.col("d").alias("rd"), F.col("k").alias("rk"))
+        right = F.broadcast(right) if fits(right) else right
+        return left.join(right, F.col("d").eqNullSafe(F.col("rd")) & (F.col("k") == F.col("rk")), how)
+
+    drop = checkpoint(of(keys, first, "left_anti"))
+    again = first.where("n > 1")
+    keyed = docs.select(row_of(docs).alias("row"), F.col(id_col).alias("d"), F.xxhash64(text_col).alias("k"))
+    kept = of(of(keyed, drop, "left_anti"), again, "left_anti").select("row")
+    once = of(keyed, again, "left_semi").groupBy("d", "k").agg(F.min("row").alias("row")).select("row")
+    return kept.unionByName(once).select("row.*")
