@@ -19,8 +19,7 @@ ORACLE_SQL = None
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the production policy keeps."""
-    led = quality_rules.ledger(docs)
-    return led.where(quality_rules.passes(quality_rules.PRODUCTION)).select(*docs.columns)
+    return quality_rules.kept_rows(docs)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -29,20 +28,19 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Texts without the byte strings of 200 that occur elsewhere; pieces of characters at a cut go,
-    a document with nothing left goes, and n_chars follows the text."""
+    """Texts without the byte strings of 200 that occur elsewhere; a character that a cut goes through goes whole,
+    a document with nothing left goes, and n_chars follows a text that was cut.  Other texts stay as they are, null too."""
     cut = suffix_dedup.remove_repeats(docs, with_text=True)
-    text = F.decode_utf8_lossy("kept") if hasattr(F, "decode_utf8_lossy") else F.translate(F.make_valid_utf8(F.col("kept").cast("string")), "�", "")
-    kept = cut.withColumn("text", F.when(F.col("n_removed") > 0, text).otherwise(F.col("kept").cast("string")))
-    kept = kept.where((F.col("n_removed") == 0) | (F.length("text") > 0))
-    return kept.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType)).select(*docs.columns)
+    was_cut = F.col("n_removed") > 0
+    kept = cut.where(~was_cut | (F.length("kept_text") > 0))
+    n_chars = F.when(was_cut, F.length("kept_text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("row.n_chars"))
+    changed = {"text": F.when(was_cut, F.col("kept_text")).otherwise(F.col("row.text")), "n_chars": n_chars}
+    return kept.select(*[changed.get(c, F.col("row")[c]).alias(c) for c in docs.columns])
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """As many copies of each document as the mix takes."""
-    plan = mixing.mix(docs).where("n_copies > 0").select("doc_id", "n_copies").distinct()
-    many = docs.join(plan, docs["doc_id"].eqNullSafe(plan["doc_id"])).select(*[docs[c] for c in docs.columns], "n_copies")
-    return many.withColumn("_i", F.explode(F.sequence(F.lit(1), F.col("n_copies")))).select(*docs.columns)
+    return mixing.repeated(docs)
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
