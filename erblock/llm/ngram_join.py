@@ -3,12 +3,14 @@
 1. A text is the set of its five-word shingles.  Texts with equal sets are one *node* (copies are
    never paired); 96 MinHash values per node give 24 bands of 4.  A pair at similarity 0.8 meets in no band
    with probability 3e-6.
-2. Buckets link their nodes to their least one (a star, never pairs); connected components of the
-   stars bound where links can be.  Large components are cut into blocks by hash, small ones share
-   one; a block travels packed and compressed, once to every block of its component.
-3. In a tile (block against block) MinHash values are compared 16 at a time.  After n of them with m
-   agreeing, the posterior of the similarity under a uniform prior is Beta(m + 1, n - m + 1); pairs whose
-   probability of reaching the threshold is under ``TOLERANCE`` are dropped.  The survivors are verified exactly
+2. Nodes that meet in a bucket of a band are compared there by their MinHash values, 16 at a time.  After n of them
+   with m agreeing, the posterior of the similarity under a uniform prior is Beta(m + 1, n - m + 1); pairs whose
+   probability of reaching the threshold is under ``TOLERANCE`` are dropped.  A bucket yields the components of
+   the pairs that are left as links to their least node (never pairs), so texts that share a band by chance or by a common
+   passage are not brought together.  In a bucket of more than ``BUCKET`` nodes all are linked to its least one instead.
+3. Connected components of these links bound where similar texts can be.  Large components are cut into blocks by hash,
+   small ones share one; a block travels packed and compressed, once to every block of its component.  In a tile
+   (block against block) the comparison of step 2 is repeated for all pairs, and the survivors are verified exactly
    by counting shared shingles.  A tile returns a row per linked text, never pairs.
 4. Verified links make the classes; a text's links are summed over tiles, copies counted.
 
@@ -27,7 +29,7 @@ from collections.abc import Iterator
 from fractions import Fraction
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -38,6 +40,8 @@ BANDS, ROWS, STEP = 24, 4, 16
 HASHES = BANDS * ROWS
 #: Probability of reaching the threshold under which a pair is dropped.
 TOLERANCE = 1e-9
+#: Nodes of a bucket up to which its pairs are pruned by their MinHash values.
+BUCKET = 2048
 #: Nodes and shingles of a block, about.
 BLOCK_NODES, BLOCK_SHINGLES = 2048, 1 << 21
 
@@ -57,13 +61,9 @@ def signature(shingles: np.ndarray) -> np.ndarray:
     return (out >> np.uint64(32)).astype(np.uint32)
 
 
-def band_keys(sig: np.ndarray) -> np.ndarray:
-    """A 64-bit key per band."""
-    with np.errstate(over="ignore"):
-        key = np.arange(BANDS, dtype=np.uint64)
-        for j in range(ROWS):
-            key = mix64(key * np.uint64(0x9E3779B97F4A7C15) + sig[j::ROWS])
-    return key.view(np.int64)
+def band_keys(sig: Column) -> Column:
+    """A 64-bit key per band, from the 16-bit values."""
+    return F.transform(F.sequence(F.lit(0), F.lit(BANDS - 1)), lambda b: F.xxhash64(F.substr(sig, b * 2 * ROWS + 1, F.lit(2 * ROWS)), b))
 
 
 def node_of(shingles: np.ndarray) -> int:
@@ -88,14 +88,15 @@ def needed(threshold: float, tolerance: float = TOLERANCE) -> dict[int, int]:
 
 
 def sketches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, tkey (hash of the text), node, n_shingles, bands; node is null for texts without words."""
+    """doc_id, tkey (hash of the text), node, n_shingles, sig (MinHash values, 16 bits of each); node and sig are null for
+    texts without words."""
     schema = T.StructType(
         [
             T.StructField("doc_id", docs.schema[id_col].dataType),
             T.StructField("tkey", T.LongType()),
             T.StructField("node", T.LongType()),
             T.StructField("n_shingles", T.LongType()),
-            T.StructField("bands", T.ArrayType(T.LongType())),
+            T.StructField("sig", T.BinaryType()),
         ]
     )
 
@@ -105,13 +106,14 @@ def sketches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
         for batch in batches:
             for lo in range(0, batch.num_rows, 2048):
                 part = batch.slice(lo, 2048)
-                node, n, keys = [], [], []
+                node, n, sigs = [], [], []
                 for v in part.column(2).cast(pa.binary()):
                     s = shingle_hashes(v.as_py() or b"")
                     n.append(len(s))
                     node.append(node_of(s) if len(s) else None)
-                    keys.append(band_keys(signature(s)) if len(s) else [])
-                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(node, pa.int64()), pa.array(n, pa.int64()), pa.array(keys, pa.list_(pa.int64()))], names=schema.names)
+                    sigs.append(signature(s).astype("<u2").tobytes() if len(s) else None)
+                columns = [pa.array(node, pa.int64()), pa.array(n, pa.int64()), pa.array(sigs, pa.binary())]
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), *columns], names=schema.names)
 
     return docs.select(F.col(id_col).alias("doc_id"), F.xxhash64(text_col).alias("tkey"), F.col(text_col).alias("text")).mapInArrow(run, schema)
 
@@ -204,6 +206,33 @@ def links(a: Block, b: Block | None, need: dict[int, int], threshold: Fraction)
     return i[good], j[good]
 
 
+def least_of(nodes: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+    """Of each node the least one that it is connected with by the pairs (i, j)."""
+    rank = np.argsort(np.argsort(nodes, kind="stable"), kind="stable")
+    while True:
+        new = rank.copy()
+        np.minimum.at(new, i, rank[j])
+        np.minimum.at(new, j, rank[i])
+        if (new == rank).all():
+            return np.sort(nodes)[rank]
+        rank = new
+
+
+def bucket_links(nodes: np.ndarray, sigs: np.ndarray, need: dict[int, int]) -> tuple[np.ndarray, np.ndarray]:
+    """(node, least node connected with it) of a bucket, by the pairs that no step of the comparison rules out."""
+    if len(nodes) == 2:  # most buckets
+        same = sigs[0] == sigs[1]
+        if any(np.count_nonzero(same[:n]) < m for n, m in need.items()):
+            return nodes[:0], nodes[:0]
+        return nodes.max()[None], nodes.min()[None]
+    block = Block.__new__(Block)
+    block.nodes, block.sigs = nodes, sigs
+    i, j = candidates(block, block, need)
+    least = least_of(nodes, i, j)
+    linked = least != nodes
+    return nodes[linked], least[linked]
+
+
 def _tile(blocks: list[bytes], need: dict[int, int], threshold: Fraction) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """node, its links here (copies counted), least node of its component here."""
     a = Block(blocks[0])
@@ -216,21 +245,47 @@ def _tile(blocks: list[bytes], need: dict[int, int], threshold: Fraction) -> tup
     nodes, copies = (a.nodes, a.copies) if b is None else (np.concatenate([a.nodes, b.nodes]), np.concatenate([a.copies, b.copies]))
     del other
     weight = np.bincount(i, weights=copies[j], minlength=len(nodes)) + np.bincount(j, weights=copies[i], minlength=len(nodes))
-    label = nodes.copy()
+    label = least_of(nodes, i, j)
     index = np.arange(len(nodes))
-    rank = np.argsort(np.argsort(label, kind="stable"), kind="stable")
-    while True:
-        new = rank.copy()
-        np.minimum.at(new, i, rank[j])
-        np.minimum.at(new, j, rank[i])
-        if (new == rank).all():
-            break
-        rank = new
-    label = np.sort(nodes)[rank]
     some = index[weight > 0]
     return nodes[some], weight[some].astype(np.int64), label[some]
 
 
+def _pruned(met: DataFrame, need: dict[int, int]) -> DataFrame:
+    """src, dst: links inside the buckets (band, node, sig) of bounded size."""
+    schema = T.StructType([T.StructField("src", T.LongType()), T.StructField("dst", T.LongType())])
+
+    def run(batches: Iterator) -> Iterator:
+        import pyarrow as pa
+
+        held: list = []  # rows of the last bucket, which the next batch may continue
+        for batch in _with_end(batches):
+            if batch is not None:
+                part = [batch.column(0).to_numpy(), batch.column(1).to_numpy(), np.frombuffer(b"".join(batch.column(2).to_pylist()), dtype="<u2").reshape(-1, HASHES)]
+                held = [np.concatenate([x, y]) for x, y in zip(held, part, strict=True)] if held else part
+            if not held:
+                continue
+            band, node, sig = held
+            edges = np.flatnonzero(np.concatenate([[True], band[1:] != band[:-1], [True]]))
+            whole = len(edges) - (1 if batch is None else 2)  # buckets that are complete
+            found = []
+            for a, b in zip(edges[:whole].tolist(), edges[1 : whole + 1].tolist(), strict=True):
+                if b - a > 1:
+                    found.append(bucket_links(node[a:b], sig[a:b], need))
+            held = [x[edges[whole] :] for x in held]
+            if found:
+                src, dst = (np.concatenate(x) for x in zip(*found, strict=True))
+                yield pa.RecordBatch.from_arrays([pa.array(src), pa.array(dst)], names=schema.names)
+
+    dealt = met.select("band", "node", "sig").repartition("band").sortWithinPartitions("band", "node")
+    return dealt.mapInArrow(run, schema).distinct()
+
+
+def _with_end(batches: Iterator) -> Iterator:
+    yield from batches
+    yield None
+
+
 def near_duplicates(docs: DataFrame, threshold: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, tkey, node, class_id, n_links, class_node of every row.
 
@@ -240,19 +295,20 @@ def near_duplicates(docs: DataFrame, threshold: float = 0.8, id_col: str = "doc_
     need, exact = needed(threshold), Fraction(threshold).limit_denominator(1000)
     rows = checkpoint(sketches(docs, id_col, text_col))
     nodes = rows.where("node is not null").groupBy("node").agg(
-        F.min(F.struct("tkey", "doc_id")).alias("rep"), F.min("doc_id").alias("first_id"), F.count(F.lit(1)).alias("copies"), F.max("n_shingles").alias("n_shingles")
+        F.min(F.struct("tkey", "doc_id")).alias("rep"), F.min("doc_id").alias("first_id"), F.count(F.lit(1)).alias("copies"), F.max("n_shingles").alias("n_shingles"), F.first("sig").alias("sig")
     )
     nodes = checkpoint(nodes)
-    in_band = rows.where("node is not null").select("node", F.explode("bands").alias("band"))
-    buckets = in_band.groupBy("band").agg(F.min("node").alias("least"), F.max("node").alias("most")).where("least < most")
-    # A node meets up to 24 least nodes: it is linked to the least of them, and that one to the others. The
+    in_band = nodes.select("node", F.explode(band_keys(F.col("sig"))).alias("band"))
+    buckets = in_band.groupBy("band").agg(F.min("node").alias("least"), F.count(F.lit(1)).alias("n")).where("n > 1")
+    met = checkpoint(in_band.join(buckets, "band").select("node", "band", "least", (F.col("n") > BUCKET).alias("large")))
+    # A node of large buckets meets up to 24 least nodes: it is linked to the least of them, and that one to the others. The
     # latter links are the same for most nodes of a group, so the graph has about one link per node.
-    met = in_band.join(buckets, "band").where("node <> least").groupBy("node").agg(F.collect_set("least").alias("all"))
-    met = met.select("node", F.array_min("all").alias("first"), "all")
-    stars = met.select(F.col("first").alias("dst"), F.explode(F.array_append("all", F.col("node"))).alias("src")).where("src <> dst").distinct()
-    near = connected(stars)
+    star = met.where("large and node <> least").groupBy("node").agg(F.collect_set("least").alias("all"))
+    star = star.select("node", F.array_min("all").alias("first"), "all")
+    star = star.select(F.col("first").alias("dst"), F.explode(F.array_append("all", F.col("node"))).alias("src")).where("src <> dst").distinct()
+    near = connected(star.unionByName(_pruned(met.where("not large").select("band", "node").join(nodes.select("node", "sig"), "node"), need)))
 
-    members = near.join(nodes, "node")
+    members = near.join(nodes.drop("sig"), "node")
     sized = members.groupBy("component").agg(F.count(F.lit(1)).alias("n"), F.sum("n_shingles").alias("s"))
     sized = sized.withColumn("blocks", F.ceil(F.greatest(F.col("n") / BLOCK_NODES, F.col("s") / BLOCK_SHINGLES)).cast("int"))
     n_small, s_small = sized.where("blocks = 1").agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum("s"), F.lit(0))).first()
@@ -304,10 +360,14 @@ def near_duplicates(docs: DataFrame, threshold: float = 0.8, id_col: str = "doc_
     per = linked.groupBy("node").agg(F.sum("links").alias("links"))
     of_class = classes.join(nodes.select("node", "first_id"), "node").groupBy("component").agg(F.min("first_id").alias("class_first"))
     classes = classes.join(of_class, "component").select("node", "class_first", "component")
-    per_node = nodes.select("node", "first_id", "copies").join(per, "node", "left").join(classes, "node", "left")
+    per_node = nodes.select("node", "first_id", "copies").join(per, "node", "left").join(classes, "node", "left").where("copies > 1 or component is not null")
     per_node = per_node.select("node", F.coalesce("class_first", "first_id").alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"), F.coalesce("component", "node").alias("class_node"))
-    out = rows.join(per_node, "node", "left")
-    return out.select("doc_id", "tkey", "node", F.when(F.col("node").isNull(), F.col("doc_id")).otherwise(F.col("class_id")).alias("class_id"), F.coalesce("n_links", F.lit(0)).alias("n_links"), "class_node")
+    per_node = checkpoint(per_node.withColumn("known", F.lit(True)))
+    # A text alone in its class needs no join; of the others many rows may have one node, so the side of the nodes goes
+    # to every task if it is small, and adaptive execution splits the rows of a node if not.
+    out = rows.select("doc_id", "tkey", "node").join(F.broadcast(per_node) if fits(per_node) else per_node, "node", "left")
+    alone = F.col("known").isNull()
+    return out.select("doc_id", "tkey", "node", F.when(alone, F.col("doc_id")).otherwise(F.col("class_id")).alias("class_id"), F.coalesce("n_links", F.lit(0)).alias("n_links"), F.when(alone, F.col("node")).otherwise(F.col("class_node")).alias("class_node"))
 
 
 def keep_one(docs: DataFrame, threshold: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
