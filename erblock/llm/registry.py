@@ -64,13 +64,32 @@ def op10_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.token_counts(_table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))
 
 
+def url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return url_filter.by_rules(_table(spark, sf_dir, "pages"))
+
+
+def url_filter_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return url_filter.quality(_table(spark, sf_dir, "pages"))
+
+
+def quality_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_rules.ledger(_table(spark, sf_dir, "documents").select("doc_id", "text")).drop("text")
+
+
+def quality_ablations(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_rules.ablations(quality_rules.ledger(_table(spark, sf_dir, "documents").select("doc_id", "text")))
+
+
+def quality_patterns(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_rules.patterns(quality_rules.ledger(_table(spark, sf_dir, "documents").select("doc_id", "text")))
+
+
 def queries() -> dict:
-    named = (op1_url_filter, op2_ngram_jaccard_join, op3_suffix_array_dedup, op4_quality_rules, op5_chat_format, op6_lm_scoring, op7_exact_topk, op8_byte_bpe, op9_mixing, op10_token_counts)
+    named = (op1_url_filter, op2_ngram_jaccard_join, op3_suffix_array_dedup, op4_quality_rules, op5_chat_format, op6_lm_scoring, op7_exact_topk, op8_byte_bpe, op9_mixing, op10_token_counts, url_rules, url_filter_quality, quality_ledger, quality_ablations, quality_patterns)
     return {f.__name__: f for f in named}
 
 
-OP4_SQL = f"""
-WITH d AS (SELECT row_number() OVER () AS rid, doc_id, coalesce(text, '') AS t FROM documents),
+_LEDGER = f"""d AS (SELECT row_number() OVER () AS rid, doc_id, coalesce(text, '') AS t FROM documents),
 w AS (SELECT rid, doc_id, t, regexp_extract_all(t, '{WS}') AS ws,
              list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '{WS}')) AS ls FROM d),
 win AS (SELECT rid, unnest(range(1, len(ws) - 3)) AS i, ws FROM w WHERE len(ws) > 4),
@@ -84,12 +103,24 @@ m AS (SELECT doc_id, len(ws)::BIGINT AS n_words,
              (len(ls) - len(list_distinct(ls)))::BIGINT AS n_dup_lines,
              coalesce(c.n, 0)::BIGINT AS n_repeat_words
       FROM w LEFT JOIN cover c USING (rid)),
-j AS (SELECT *, n_words < 10 OR 100 * n_repeat_words > 20 * n_words AS base_failed FROM m)
+j AS (SELECT *, n_words < 10 OR 100 * n_repeat_words > 20 * n_words AS base_failed FROM m)"""
+OP4_SQL = f"""WITH {_LEDGER}
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
        NOT (base_failed OR 10 * n_symbols > n_words OR 10 * n_dup_lines > 3 * n_lines
             OR word_chars < 2 * n_words OR word_chars > 20 * n_words) AS kept
-FROM j
-"""
+FROM j"""
+_FAILS = {"few_words": "n_words < 10", "repeated_windows": "100 * n_repeat_words > 20 * n_words", "symbols": "10 * n_symbols > n_words", "duplicate_lines": "10 * n_dup_lines > 3 * n_lines", "word_length": "word_chars < 2 * n_words OR word_chars > 20 * n_words"}
+_BITS = f"{_LEDGER}, b AS (SELECT *, (" + " + ".join(f"CASE WHEN {x} THEN {1 << i} ELSE 0 END" for i, x in enumerate(_FAILS.values())) + ")::BIGINT AS fail_bits FROM m)"
+LEDGER_SQL = f"WITH {_BITS} SELECT doc_id, n_words, word_chars, n_symbols, n_lines, n_dup_lines, n_repeat_words, fail_bits FROM b"
+ABLATIONS_SQL = f"WITH {_BITS} " + " UNION ALL ".join(f"SELECT 'v1' AS policy, count(*) AS n, '{r}' AS rule, count(*) FILTER (fail_bits & {1 << i} <> 0) AS n_failed, count(*) FILTER (fail_bits = {1 << i}) AS n_only FROM b" for i, r in enumerate(_FAILS))
+PATTERNS_SQL = f"WITH {_BITS} SELECT fail_bits, count(*) AS n_docs, sum(n_words)::BIGINT AS n_words FROM b GROUP BY 1"
+
+_RULES = [("example.org/en/1", "example.org", "/en/1", "block"), ("example.org/es/", "example.org", "/es/", "block"), ("com/de/", "com", "/de/", "block"), ("com/fr/", "com", "/fr/", "allow"), ("org/", "org", "/", "allow")]
+URL_SQL = """WITH u AS (SELECT page_id, CASE WHEN contains(url, '://') THEN substr(url, strpos(url, '://') + 3) ELSE '' END AS rest FROM pages),
+h AS (SELECT page_id, translate(regexp_extract(coalesce(rest, ''), '^[^/?#]*'), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, regexp_extract(coalesce(rest, ''), '^[^/?#]*([^?#]*)', 1) AS path FROM u)
+SELECT page_id, host, path, """ + ", ".join(
+    "CASE " + " ".join(f"WHEN (host = '{h}' OR ends_with(host, '.{h}')) AND starts_with(path, '{p}') THEN '{x}'" for r, h, p, v in _RULES for x in [(r, v)[i]]) + f" END AS {name}" for i, name in enumerate(("rule", "verdict"))
+) + " FROM h"
 
 OP9_SQL = f"""
 WITH d AS (SELECT doc_id, source, len(regexp_extract_all(coalesce(text, ''), '{WS}'))::BIGINT AS size,
@@ -138,4 +169,4 @@ FROM d JOIN c ON c.x = d.doc_id LEFT JOIN (SELECT x, count(*) AS n FROM e GROUP
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_ngram_jaccard_join": OP2_SQL, "op4_quality_rules": OP4_SQL, "op7_exact_topk": OP7_SQL, "op9_mixing": OP9_SQL}
+    return {"op2_ngram_jaccard_join": OP2_SQL, "op4_quality_rules": OP4_SQL, "op7_exact_topk": OP7_SQL, "op9_mixing": OP9_SQL, "url_rules": URL_SQL, "quality_ledger": LEDGER_SQL, "quality_ablations": ABLATIONS_SQL, "quality_patterns": PATTERNS_SQL}

@@ -7,9 +7,13 @@ one column expression.
 *Method.*  Lexical features of a url (lengths, depth, digit and symbol ratios, entropy of its characters,
 parameter counts, and how often urls with its host suffix are blocked among the labelled) go to boosted
 trees.  Labelled urls are those that a rule decides, or the caller's own.  Suffixes are counted over all labelled
-rows; the trees are fitted on at most ``max_labelled`` distinct urls of both kinds, taken by a hash of the url.  Training and scoring run in the JVM.
+rows, for each of ``FOLDS`` folds of the urls: a url that the trees are fitted on sees the statistics of the other folds only, so
+its own label does not leak into its features.  The trees are fitted on at most ``max_labelled`` distinct urls of both
+kinds, those with the smallest hashes: a cut of the hash is worked out from the count, and only urls under it move.
+Training and scoring run in the JVM.
 
 The fitted trees are turned into one SQL expression, so scoring is a projection inside code generation.
+``held_out`` measures the method: fitted on some labelled urls and judged on the others.
 
 Edge cases: a null url or one without ``://`` has an empty host and path, fits no rule and is judged by the
 method; without labels of both kinds the method allows; repeated rows are judged alike; page ids may be
@@ -24,12 +28,10 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from erblock.llm.common import checkpoint, let
+from erblock.llm.common import checkpoint, fits, let
 
-#: Labelled urls that the trees are fitted on at most.
-MAX_LABELLED = 20_000
-#: Host suffixes up to which their statistics are broadcast.
-BROADCAST_ROWS = 100_000
+#: Labelled urls that the trees are fitted on at most, and folds of the suffix statistics.
+MAX_LABELLED, FOLDS = 20_000, 5
 
 
 @dataclass(frozen=True)
@@ -158,9 +160,21 @@ class Model:
     margin: str
 
 
-def _with_suffix(df: DataFrame, suffixes: DataFrame, few: bool, prior: float) -> DataFrame:
-    joined = df.join(F.broadcast(suffixes) if few else suffixes, "suffix", "left")
-    return joined.withColumns({"suffix_rate": F.coalesce("suffix_rate", F.lit(prior)), "suffix_count": F.coalesce("suffix_count", F.lit(0.0))})
+def _rates(p: Column, n: Column, prior: float) -> dict[str, Column]:
+    """Share of blocked urls of a suffix, drawn towards the prior, and their number."""
+    p, n = F.coalesce(p, F.lit(0.0)), F.coalesce(n, F.lit(0)).cast("double")
+    return {"suffix_rate": F.when(n > 0, (p + F.lit(2 * prior)) / (n + 2)).otherwise(F.lit(prior)), "suffix_count": n}
+
+
+def _scored(df: DataFrame, model: Model) -> DataFrame:
+    """Rows with features and suffix, with the margin."""
+    suffixes = model.suffixes.select(F.col("suffix").alias("s"), "p", "n")
+    joined = df.join(F.broadcast(suffixes) if model.few else suffixes, F.col("suffix") == F.col("s"), "left")
+    return joined.withColumns(_rates(F.col("p"), F.col("n"), model.prior)).withColumn("margin", F.expr(model.margin)).drop("s", "p", "n")
+
+
+def _fold(url: str) -> Column:
+    return F.pmod(F.xxhash64(F.col(url), F.lit("fold")), F.lit(FOLDS)).cast("int")
 
 
 def fit(labelled: DataFrame, url_col: str = "url", max_labelled: int = MAX_LABELLED, rounds: int = 8, depth: int = 4) -> Model | None:
@@ -172,41 +186,78 @@ def fit(labelled: DataFrame, url_col: str = "url", max_labelled: int = MAX_LABEL
     from pyspark.ml.classification import GBTClassifier
     from pyspark.ml.feature import VectorAssembler
 
-    known = labelled.select(url_col, F.col("block").cast("double").alias("block")).where(f"{url_col} is not null and block is not null")
-    counts = parts(known, url_col).select(F.regexp_extract("host", SUFFIX, 1).alias("suffix"), "block")
-    counts = checkpoint(counts.groupBy("suffix").agg(F.sum("block").alias("p"), F.count(F.lit(1)).alias("n")))
-    total, positive, n_suffixes = counts.agg(F.sum("n"), F.sum("p"), F.count(F.lit(1))).first()
+    known = labelled.select(F.col(url_col).alias("url"), F.col("block").cast("double").alias("block")).where("url is not null and block is not null")
+    counts = parts(known).select(F.regexp_extract("host", SUFFIX, 1).alias("suffix"), "block", _fold("url").alias("fold"))
+    counts = checkpoint(counts.groupBy("suffix", "fold").agg(F.sum("block").alias("p"), F.count(F.lit(1)).alias("n")))
+    total, positive = counts.agg(F.sum("n"), F.sum("p")).first()
     if not total or not 0 < positive < total:
         return None
-    prior, few = positive / total, n_suffixes <= BROADCAST_ROWS
-    suffixes = counts.select("suffix", ((F.col("p") + F.lit(2 * prior)) / (F.col("n") + 2)).alias("suffix_rate"), F.col("n").cast("double").alias("suffix_count"))
+    prior = positive / total
+    suffixes = checkpoint(counts.groupBy("suffix").agg(F.sum("p").alias("p"), F.sum("n").alias("n")))
     urls = known.distinct()
     kinds = {r["block"]: r["n"] for r in urls.groupBy("block").agg(F.count(F.lit(1)).alias("n")).collect()}
     sample, every = None, sum(kinds.values())
     rare = min(min(kinds.values()), max(max_labelled * min(kinds.values()) // every, max_labelled // 10, 1))
     for block, n in sorted(kinds.items()):
         most = n if every <= max_labelled else rare if block == min(kinds, key=lambda k: (kinds[k], k)) else min(n, max(max_labelled - rare, 1))
-        some = urls.where(F.col("block") == block).withColumn("_h", F.xxhash64(url_col)).orderBy("_h", url_col).limit(most)
-        some = some.withColumn("weight", F.lit(n / most))
+        # Some more than needed lie under the cut (by six deviations); of these the smallest hashes stay.
+        cut = min(1.0, (most + 6 * most**0.5 + 6) / n)
+        place = (F.shiftright(F.xxhash64("url"), 11).cast("double") / F.lit(float(1 << 53)) + 0.5).alias("place")
+        some = urls.where(F.col("block") == block).select("url", "block", place)
+        some = some if cut == 1 else some.where(F.col("place") < cut)
+        some = some if most == n else some.orderBy("place", "url").limit(most)
+        some = some.select("url", "block", F.lit(n / most).alias("weight"))
         sample = some if sample is None else sample.unionByName(some)
-    sample = checkpoint(features(parts(sample, url_col), url_col).drop("_h"))
-    ready = VectorAssembler(inputCols=list(FEATURES), outputCol="x").transform(_with_suffix(sample, suffixes, few, prior)).select("x", "block", "weight")
+    sample = checkpoint(features(parts(sample)).withColumn("fold", _fold("url")))
+    # What the other folds say of the suffix.
+    every_fold = suffixes.select(F.col("suffix").alias("s"), F.col("p").alias("sp"), F.col("n").alias("sn"))
+    own = counts.select(F.col("suffix").alias("os"), F.col("fold").alias("of"), F.col("p").alias("op"), F.col("n").alias("on"))
+    outside = sample.join(every_fold, F.col("suffix") == F.col("s"), "left").join(own, (F.col("suffix") == F.col("os")) & (F.col("fold") == F.col("of")), "left")
+    outside = outside.withColumns(_rates(F.col("sp") - F.coalesce("op", F.lit(0.0)), F.col("sn") - F.coalesce("on", F.lit(0)), prior))
+    ready = VectorAssembler(inputCols=list(FEATURES), outputCol="x").transform(outside).select("x", "block", "weight")
     model = GBTClassifier(featuresCol="x", labelCol="block", weightCol="weight", maxIter=rounds, maxDepth=depth, seed=7, checkpointInterval=-1).fit(ready)
-    return Model(suffixes, few, prior, _sql_of(model.trees, list(model.treeWeights), FEATURES))
+    return Model(suffixes, fits(suffixes), prior, _sql_of(model.trees, list(model.treeWeights), FEATURES))
 
 
-def judge(pages: DataFrame, rules: Sequence[Rule] = RULES, labelled: DataFrame | None = None, id_col: str = "page_id", url_col: str = "url") -> DataFrame:
-    """page_id, host, path, rule, verdict, margin (of the method, where it decided)."""
+def _by_rules(pages: DataFrame, rules: Sequence[Rule], id_col: str, url_col: str) -> DataFrame:
+    """page_id, url, host, path, rule, said."""
     slim = parts(pages.select(F.col(id_col).alias("page_id"), F.col(url_col).alias("url")))
     rule, said = decide(rules)
-    slim = slim.withColumns({"rule": rule, "said": said})
-    if labelled is None:
-        labelled = slim.where(F.col("said").isNotNull()).select("url", (F.col("said") == "block").cast("int").alias("block"))
-    model = fit(labelled)
-    if model is None:
-        out = slim.withColumn("margin", F.lit(0.0))
-    else:
-        scored = _with_suffix(features(slim), model.suffixes, model.few, model.prior)
-        out = scored.withColumn("margin", F.expr(model.margin))
+    return slim.withColumns({"rule": rule, "said": said})
+
+
+def _labels(slim: DataFrame) -> DataFrame:
+    return slim.where(F.col("said").isNotNull()).select("url", (F.col("said") == "block").cast("int").alias("block"))
+
+
+def judge(pages: DataFrame, rules: Sequence[Rule] = RULES, labelled: DataFrame | None = None, id_col: str = "page_id", url_col: str = "url") -> DataFrame:
+    """page_id, host, path, rule, verdict, margin (of the method, where it decided)."""
+    slim = _by_rules(pages, rules, id_col, url_col)
+    model = fit(_labels(slim) if labelled is None else labelled)
+    out = slim.withColumn("margin", F.lit(0.0)) if model is None else _scored(features(slim), model)
     verdict = F.coalesce(F.col("said"), F.when(F.col("margin") > 0, F.lit("block")).otherwise(F.lit("allow")))
     return out.select("page_id", "host", "path", "rule", verdict.alias("verdict"), F.when(F.col("said").isNull(), F.col("margin")).alias("margin"))
+
+
+def held_out(labelled: DataFrame, url_col: str = "url", **options: int) -> DataFrame:
+    """urls, blocked, correct, found (of the blocked), accuracy and majority (the share of the larger kind) on a fifth of
+    the distinct labelled urls, after a fit on the others; no row if one kind is missing among these."""
+    known = labelled.select(F.col(url_col).alias("url"), F.col("block").cast("double").alias("block")).where("url is not null and block is not null").distinct()
+    apart = F.pmod(F.xxhash64(F.col("url"), F.lit("held out")), F.lit(5)) == 0
+    model = fit(known.where(~apart), **options)
+    asked = features(parts(known.where(apart)))
+    scored = asked.withColumn("margin", F.lit(None).cast("double")).limit(0) if model is None else _scored(asked, model)
+    right = (F.col("margin") > 0) == (F.col("block") > 0)
+    one = scored.agg(F.count(F.lit(1)).alias("urls"), F.count_if(F.col("block") > 0).alias("blocked"), F.count_if(right).alias("correct"), F.count_if(right & (F.col("block") > 0)).alias("found"))
+    n = F.col("urls")
+    return one.where(n > 0).withColumns({"accuracy": F.round(F.col("correct") / n, 6), "majority": F.round(F.greatest("blocked", n - F.col("blocked")) / n, 6)})
+
+
+def by_rules(pages: DataFrame, rules: Sequence[Rule] = RULES, id_col: str = "page_id", url_col: str = "url") -> DataFrame:
+    """page_id, host, path, rule, verdict (null where no rule fits): the part that needs no model."""
+    return _by_rules(pages, rules, id_col, url_col).select("page_id", "host", "path", "rule", F.col("said").alias("verdict"))
+
+
+def quality(pages: DataFrame, rules: Sequence[Rule] = RULES, id_col: str = "page_id", url_col: str = "url") -> DataFrame:
+    """``held_out`` on the urls that the rules decide."""
+    return held_out(_labels(_by_rules(pages, rules, id_col, url_col)))
