@@ -55,14 +55,16 @@ from erblock.llm.common import discard, fits, mix64, powers, prefix_hash, row_of
 LENGTH, GRAM = 200, 16
 #: Keys that occur more often than this have their contexts cut by blocks of SPLIT offsets.
 HOT, SPLIT = 2000, 8
+#: Bytes of contexts that a task merges before it hands them on; texts whose names a task remembers.
+CONTEXT_BYTES, REMEMBERED = 24 << 20, 500_000
 #: Keys that a task counts together.
-COUNTED = 1_000_000
+COUNTED = 600_000
 #: Bytes of an array above which it is mapped to disk, and of the suffixes a sorted run of the queue holds.
-MEMORY_BYTES, RUN_BYTES = 128 << 20, 64 << 20
+MEMORY_BYTES, RUN_BYTES = 32 << 20, 32 << 20
 #: Contexts that are sorted together (whole anchors; a larger anchor is a chunk of its own).
 CHUNK = 40_000
 #: Bytes of the contexts of one group (with their overhead) above which it goes through the disk-backed queue window by window.
-GROUP_BYTES = 64 << 20
+GROUP_BYTES = 32 << 20
 
 
 # ---------------------------------------------------------------- anchors
@@ -541,17 +543,30 @@ def _key_rows(texts: DataFrame, length: int) -> DataFrame:
     return texts.select("k", "text").mapInArrow(run, schema)
 
 
-def _squeezed(df: DataFrame) -> DataFrame:
-    """The text, last column of ``df``, as compressed bytes: it is moved and kept."""
+def _squeezed(df: DataFrame, level: int = 6, most: int | None = None) -> DataFrame:
+    """The text, last column of ``df`` after k and k2, as compressed bytes: it is moved and kept.
+
+    With ``most`` no task passes a text on more often: whether something occurs once or twice is all that counts.
+    """
     schema = T.StructType([*df.schema.fields[:-1], T.StructField("text", T.BinaryType())])
 
     def run(batches: Iterator) -> Iterator:
         import pyarrow as pa
         import zstandard
 
-        press = zstandard.ZstdCompressor(level=6).compress
+        press = zstandard.ZstdCompressor(level=level).compress
+        seen: dict[tuple[int, int], int] = {}
         for batch in batches:
-            data = [press(v.as_py() or b"") for v in batch.column(batch.num_columns - 1).cast(pa.binary())]
+            if most is not None:
+                keep = []
+                for i, name in enumerate(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True)):
+                    seen[name] = seen.get(name, 0) + 1
+                    if seen[name] <= most:
+                        keep.append(i)
+                if len(seen) > REMEMBERED:
+                    seen.clear()
+                batch = batch.take(pa.array(keep, pa.int64()))
+            data = [None if v.as_py() is None else press(v.as_py()) for v in batch.column(batch.num_columns - 1).cast(pa.binary())]
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(data, pa.binary())], names=schema.names)
 
     return df.mapInArrow(run, schema)
@@ -589,7 +604,7 @@ def _occurrences(candidates: DataFrame, length: int, with_bytes: bool) -> DataFr
         expand = zstandard.ZstdDecompressor().decompress
         arrow = to_arrow_schema(schema)
         merged: dict[tuple[int, int, int, bytes], int] = {}
-        seen: set[tuple[int, int]] = set()
+        seen: dict[tuple[int, int], int] = {}
         size = 0
 
         def named(x: bytes) -> tuple[int, int]:
@@ -607,12 +622,12 @@ def _occurrences(candidates: DataFrame, length: int, with_bytes: bool) -> DataFr
             rows = []
             for k, k2, v, spots in zip(*(batch.column(i) for i in range(4)), strict=True):
                 name = (k.as_py(), k2.as_py())
-                if not with_bytes:  # the places of a text are asked for once
-                    if name in seen:
-                        continue
-                    seen.add(name)
-                    if len(seen) > 500_000:
-                        seen.clear()
+                # The places of a text are asked for once, its contexts occur once or more often.
+                seen[name] = seen.get(name, 0) + 1
+                if seen[name] > (2 if with_bytes else 1):
+                    continue
+                if len(seen) > REMEMBERED:
+                    seen.clear()
                 text = expand(v.as_py())
                 for s in spots.as_py():
                     g, at, o, w = s["g"], s["at"], s["ow"] >> 8, s["ow"] & 255
@@ -630,7 +645,7 @@ def _occurrences(candidates: DataFrame, length: int, with_bytes: bool) -> DataFr
                                 size += len(x) + 250
                         else:
                             rows.append((g, c, hi, *named(x), *name, start))
-                if with_bytes and size > (48 << 20):
+                if with_bytes and size > CONTEXT_BYTES:
                     yield flush()
                     merged, size = {}, 0
                 elif len(rows) > 100_000:
@@ -698,19 +713,23 @@ def whole_characters(text: bytes, cut: list[tuple[int, int]]) -> bytes:
 
 
 def _cut(joined: DataFrame, with_text: bool) -> DataFrame:
-    """Cut the spans out of the texts; the first column passes through."""
+    """Cut the spans out of the texts (strings, or compressed bytes); the first column passes through."""
+    packed = isinstance(joined.schema["text"].dataType, T.BinaryType)
     extra = [T.StructField("n_bytes", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField("n_spans", T.LongType()), T.StructField("kept_sha256", T.StringType())]
     schema = T.StructType([joined.schema.fields[0], *extra] + ([T.StructField("kept_text", T.StringType())] if with_text else []))
 
     def run(batches: Iterator) -> Iterator:
         import pyarrow as pa
+        import zstandard
         from pyspark.sql.pandas.types import to_arrow_schema
 
-        arrow = to_arrow_schema(schema)
+        arrow, expand = to_arrow_schema(schema), zstandard.ZstdDecompressor().decompress
         for batch in batches:
             n, gone, runs, sha, kept = [], [], [], [], []
             for v, spans in zip(batch.column(1).cast(pa.binary()), batch.column(2), strict=True):
                 text, spans = v.as_py(), spans.as_py()
+                if packed and text is not None:
+                    text = expand(text)
                 rest = data = text or b""
                 if spans:
                     cut = _merged([(s["a"], s["b"]) for s in spans])
@@ -728,6 +747,15 @@ def _cut(joined: DataFrame, with_text: bool) -> DataFrame:
     return joined.mapInArrow(run, schema)
 
 
+def _islands(spans: DataFrame) -> DataFrame:
+    """k, k2, spans: the maximal runs that the intervals (a, b) of each text cover."""
+    of = Window.partitionBy("k", "k2").orderBy("a", "b")
+    reach = F.max("b").over(of.rowsBetween(Window.unboundedPreceding, -1))
+    marked = spans.withColumn("new", F.when(F.col("a") <= reach, 0).otherwise(1)).withColumn("island", F.sum("new").over(of.rowsBetween(Window.unboundedPreceding, 0)))
+    runs = marked.groupBy("k", "k2", "island").agg(F.min("a").alias("a"), F.max("b").alias("b"))
+    return runs.groupBy("k", "k2").agg(F.collect_list(F.struct("a", "b")).alias("spans"))
+
+
 def _small(df: DataFrame) -> DataFrame:
     """Marked for broadcast if its bytes are few, for a sort-merge join else."""
     return F.broadcast(df) if fits(df) else df.hint("merge")
@@ -753,14 +781,17 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, id_col: str = "doc_id"
     discard(counted)
     names = spots.select("k")
     near = texts.join(F.broadcast(names), "k", "left_semi") if fits(names) else texts
-    candidates = written(_squeezed(near.select("k", "k2", "text")).join(spots.hint("merge"), "k").select("k", "k2", "text", "spots"))
+    candidates = written(_squeezed(near.select("k", "k2", "text"), most=2).join(spots.hint("merge"), "k").select("k", "k2", "text", "spots"))
     discard(spots)
 
     shards = written(_sort_shards(_occurrences(candidates, length, True), length, group_bytes))
     places = _occurrences(candidates, length, False).join(_small(shards), ["g", "c", "o", "cid", "cid2"])
-    spans = places.select("k", "k2", F.explode(F.transform("spans", lambda s: F.struct((F.col("start") + s["a"]).alias("a"), (F.col("start") + s["b"]).alias("b")))).alias("s"))
-    spans = written(spans.groupBy("k", "k2").agg(F.collect_set("s").alias("spans")))
+    spans = written(_islands(places.select("k", "k2", F.explode(F.transform("spans", lambda s: F.struct((F.col("start") + s["a"]).alias("a"), (F.col("start") + s["b"]).alias("b")))).alias("s")).select("k", "k2", "s.*")))
     discard(candidates, shards)
     first = row_of(docs).alias("row") if with_text else F.col(id_col).alias("doc_id")
-    joined = _named(docs, text_col, first).join(_small(spans), ["k", "k2"], "left")
-    return _cut(joined.select(joined.columns[3], "text", "spans"), with_text)
+    rows = _named(docs, text_col, first)
+    if fits(spans):
+        joined = rows.join(F.broadcast(spans), ["k", "k2"], "left")
+    else:  # all texts travel, compressed
+        joined = _squeezed(rows.select("k", "k2", rows.columns[3], "text"), level=1).join(spans.hint("merge"), ["k", "k2"], "left")
+    return _cut(joined.select(rows.columns[3], "text", "spans"), with_text)

@@ -162,3 +162,13 @@ def test_run_of_all_stages(spark, tmp_path):
     empty = _docs(spark, rows).limit(0)
     for _, stage in corpus_pipeline.STAGES:
         assert stage(spark, empty, "").count() == 0
+
+
+def test_repeats_without_broadcasts(spark, monkeypatch):
+    rows = _corpus(random.Random(9))
+    docs = _docs(spark, rows)
+    want = Counter(map(tuple, suffix_dedup.remove_repeats(docs).collect()))
+    texts = Counter((x.doc_id, x.text) for x in corpus_pipeline.repeats(spark, docs, "").collect())
+    monkeypatch.setattr(suffix_dedup, "fits", lambda df: False)
+    assert Counter(map(tuple, suffix_dedup.remove_repeats(docs).collect())) == want
+    assert Counter((x.doc_id, x.text) for x in corpus_pipeline.repeats(spark, docs, "").collect()) == texts
