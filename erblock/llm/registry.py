@@ -39,7 +39,8 @@ def op5_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     tag = "</s>[INST] ok [/INST]"
     roles = F.explode(F.array(*[F.struct(F.lit(i).cast("long").alias("turn"), F.lit(r).alias("role")) for i, r in enumerate(("user", "assistant"))]))
     extra = spark.range(1).select(roles.alias("x")).select(F.lit(-1).cast("long").alias("conv_id"), "x.turn", "x.role", F.lit(tag).alias("text"))
-    return chat_format.digests(convs.unionByName(extra))
+    codec = chat_format.Codec.byte_bpe(public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
+    return chat_format.digests(convs.unionByName(extra), codec=codec)
 
 
 def op6_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
