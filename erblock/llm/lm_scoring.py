@@ -11,8 +11,8 @@ Every factor sums to 1.
 *Network.*  A gated recurrent unit in numpy, trained by truncated back-propagation through time: documents
 run side by side, windows of ``WINDOW`` words, state carried from window to window (gradients stop there).
 Every partition trains from the common weights on all its documents; the weights are averaged by words
-seen, in two levels of sums of bounded groups.  Rounds deal all training documents out by hash, so
-that each is learnt from once.  Only sums of weights (one per 4,096 partitions) reach the driver.
+seen, in two levels of bounded groups.  Rounds deal all training documents out by hash, so
+that each is learnt from once.  Only averages (one per 4,096 partitions) reach the driver.
 
 *Scoring.*  State is carried over all windows of a document: nothing is cut.  The states of many documents are
 gathered, as they do not depend on the outputs, and the two softmaxes are computed in blocks, one matrix per class.
@@ -426,16 +426,17 @@ def _sequences(batch: object, column: int, head: Head, forms: dict) -> Iterator[
         yield held
 
 
-def _summed(parts: DataFrame, group: int) -> DataFrame:
-    """g, flat, w: sums of flat (weights times words, as bytes) and words (w) of ``group`` neighbouring g each."""
+def _averaged(parts: DataFrame, group: int) -> DataFrame:
+    """g, flat, w: averages of flat (weights of the network, as bytes) by words seen (w) of ``group`` neighbouring g each."""
 
     def add(table: object) -> object:
         import pyarrow as pa
 
-        total = np.zeros(SIZE)
-        for x in table.column("flat"):
-            total += np.frombuffer(x.as_py(), dtype=np.float64)
-        return pa.table({"g": pa.array([table.column("g")[0].as_py()], pa.int32()), "flat": pa.array([total.tobytes()], pa.binary()), "w": [sum(table.column("w").to_pylist())]})
+        total, seen = np.zeros(SIZE), table.column("w").to_pylist()
+        for x, w in zip(table.column("flat"), seen, strict=True):
+            total += w * np.frombuffer(x.as_py(), dtype=np.float32)
+        mean = (total / sum(seen)).astype(np.float32).tobytes()
+        return pa.table({"g": pa.array([table.column("g")[0].as_py()], pa.int32()), "flat": pa.array([mean], pa.binary()), "w": [float(sum(seen))]})
 
     return parts.withColumn("g", F.floor(F.col("g") / group).cast("int")).groupBy("g").applyInArrow(add, parts.schema)
 
@@ -460,11 +461,11 @@ def train(docs: DataFrame, shared: object, begin: np.ndarray, id_col: str = "doc
                     trainer.sweep(docs_)
             if trainer.seen:
                 w = float(trainer.seen)
-                yield pa.RecordBatch.from_arrays([pa.array([TaskContext.get().partitionId()], pa.int32()), pa.array([(trainer.flat.astype(np.float64) * w).tobytes()], pa.binary()), pa.array([w])], names=schema.names)
+                yield pa.RecordBatch.from_arrays([pa.array([TaskContext.get().partitionId()], pa.int32()), pa.array([trainer.flat.tobytes()], pa.binary()), pa.array([w])], names=schema.names)
 
-        sums = _summed(_summed(part.mapInArrow(run, schema), 64), 64).collect()
-        if sums:
-            flat = (sum(np.frombuffer(r["flat"], dtype=np.float64) for r in sums) / sum(r["w"] for r in sums)).astype(np.float32)
+        means = _averaged(_averaged(part.mapInArrow(run, schema), 64), 64).collect()
+        if means:
+            flat = (sum(np.frombuffer(r["flat"], dtype=np.float32).astype(np.float64) * r["w"] for r in means) / sum(r["w"] for r in means)).astype(np.float32)
     return flat
 
 
