@@ -31,10 +31,13 @@ def checkpoint(df: DataFrame) -> DataFrame:
 
 
 def written(df: DataFrame) -> DataFrame:
-    """``df`` as a compressed table in the folder of spark.checkpoint.dir: columnar, and free of lineage."""
+    """``df`` as a compressed table in the folder of spark.checkpoint.dir: columnar, and free of lineage.
+
+    Row groups are small, as each task that writes holds one in memory.
+    """
     spark = df.sparkSession
     path = f"{_folder(spark)}/{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
+    df.write.option("compression", "snappy").option("parquet.block.size", 16 << 20).parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out.written_to = path
     return out

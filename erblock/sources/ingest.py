@@ -30,9 +30,15 @@ def drop_blank_nodes(triples: DataFrame) -> DataFrame:
     return triples.where("not startswith(subject, '_:') and not (object_kind <> 'literal' and startswith(object, '_:'))")
 
 
-def hide_truth(triples: DataFrame, predicate: str) -> DataFrame:
-    """Without the triples that state the known links."""
-    return triples.where(F.col("predicate") != predicate)
+def hide_truth(triples: DataFrame, predicate: str, truth: DataFrame | None = None) -> DataFrame:
+    """Without the triples that state the known links: all with the predicate, or, of these, the pairs of ``truth`` in
+    either direction."""
+    stated = F.col("predicate") == predicate
+    if truth is None:
+        return triples.where(~stated)
+    links = truth.select(F.col("left_id").alias("subject"), F.col("right_id").alias("object"))
+    links = links.unionByName(links.select(F.col("object").alias("subject"), F.col("subject").alias("object"))).distinct()
+    return triples.where(~stated).unionByName(triples.where(stated).join(links, ["subject", "object"], "left_anti").select(*triples.columns))
 
 
 def keep_linked(desc: DataFrame, truth: DataFrame, side: str) -> DataFrame:
@@ -58,6 +64,13 @@ def unpivot(df: DataFrame, collection: str, entity: F.Column | str, cols: Sequen
     return df.select(F.lit(collection).alias("collection"), e.alias("entity_id"), F.explode(cells).alias("x")).select("collection", "entity_id", "x.*").where("value is not null")
 
 
+def _unescaped(literal: F.Column) -> F.Column:
+    """Escapes of a literal undone: those of JSON and the single quote; one that JSON doesn't know leaves the literal as it is."""
+    plain = F.regexp_replace(literal, r"(?<!\\)((?:\\\\)*)\\'", "$1'")
+    parsed = F.from_json(F.concat(F.lit('["'), plain, F.lit('"]')), "array<string>", {"allowUnquotedControlChars": "true"})
+    return F.when(literal.contains("\\"), F.coalesce(F.get(parsed, F.lit(0)), literal)).otherwise(literal)
+
+
 def read_ntriples(spark: SparkSession, path: str, collection: str = "L") -> tuple[DataFrame, DataFrame]:
     """(triples, rejected lines) of an N-Triples text file."""
     pattern = r'^\s*(<[^>]*>|_:\S+)\s+<([^>]*)>\s+(<[^>]*>|_:\S+|"(?:[^"\\]|\\.)*"\S*)\s*\.\s*$'
@@ -69,7 +82,7 @@ def read_ntriples(spark: SparkSession, path: str, collection: str = "L") -> tupl
         F.lit(collection).alias("collection"),
         F.regexp_replace(part(1), "^<|>$", "").alias("subject"),
         part(2).alias("predicate"),
-        F.when(obj.startswith('"'), F.regexp_extract(obj, r'^"((?:[^"\\]|\\.)*)"', 1)).otherwise(F.regexp_replace(obj, "^<|>$", "")).alias("object"),
+        F.when(obj.startswith('"'), _unescaped(F.regexp_extract(obj, r'^"((?:[^"\\]|\\.)*)"', 1))).otherwise(F.regexp_replace(obj, "^<|>$", "")).alias("object"),
         F.when(obj.startswith('"'), "literal").when(obj.startswith("_:"), "blank").otherwise("uri").alias("object_kind"),
     )
     return triples, lines.where(~F.col("value").rlike(pattern))

@@ -98,7 +98,7 @@ def test_ingest(spark, tmp_path):
     (tmp_path / "a.nt").write_text('<http://x/a> <http://p> "one \\"two\\"" .\n_:b <http://p> <http://x/a> .\nbroken\n# note\n')
     triples, rejected = ingest.read_ntriples(spark, str(tmp_path / "a.nt"))
     assert rejected.count() == 1 and triples.count() == 2
-    assert [r.value for r in ingest.descriptions(triples).collect()] == ['one \\"two\\"']
+    assert [r.value for r in ingest.descriptions(triples).collect()] == ['one "two"']
 
 
 def test_empty(spark, truth):
