@@ -28,9 +28,9 @@ def words(text: Column) -> Column:
     return F.regexp_extract_all(F.coalesce(text, F.lit("")), F.lit(WORD), F.lit(0))
 
 
-def row_of(df: DataFrame) -> Column:
-    """All columns as one struct, so that columns of any name pass beside those that an operator adds."""
-    return F.struct(*[F.col("`" + c.replace("`", "``") + "`") for c in df.columns])
+def row_of(df: DataFrame, *without: str) -> Column:
+    """All columns (but some) as one struct, so that columns of any name pass beside those that an operator adds."""
+    return F.struct(*[F.col("`" + c.replace("`", "``") + "`") for c in df.columns if c not in without])
 
 
 # ---------------------------------------------------------------- numpy hashing of byte strings

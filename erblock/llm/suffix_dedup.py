@@ -764,8 +764,8 @@ def _small(df: DataFrame) -> DataFrame:
 def remove_repeats(docs: DataFrame, length: int = LENGTH, id_col: str = "doc_id", text_col: str = "text", with_text: bool = False, hot_times: int = HOT, group_bytes: int = GROUP_BYTES) -> DataFrame:
     """Per row doc_id, n_bytes, n_removed, n_spans (maximal removed runs), kept_sha256.
 
-    With ``with_text`` instead of doc_id ``row``, a struct of all columns of ``docs``, and ``kept_text``: the remaining
-    text (null for a null text), without characters that a cut goes through.  Keys met more than ``hot_times`` are cut
+    With ``with_text`` instead of doc_id ``row``, a struct of all columns of ``docs`` but the text, and ``kept_text``: the
+    remaining text (null for a null text), without characters that a cut goes through.  Keys met more than ``hot_times`` are cut
     by offsets, groups of more than ``group_bytes`` are sorted outside memory.
     """
     if not GRAM < length <= 255 + GRAM:
@@ -788,7 +788,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, id_col: str = "doc_id"
     places = _occurrences(candidates, length, False).join(_small(shards), ["g", "c", "o", "cid", "cid2"])
     spans = written(_islands(places.select("k", "k2", F.explode(F.transform("spans", lambda s: F.struct((F.col("start") + s["a"]).alias("a"), (F.col("start") + s["b"]).alias("b")))).alias("s")).select("k", "k2", "s.*")))
     discard(candidates, shards)
-    first = row_of(docs).alias("row") if with_text else F.col(id_col).alias("doc_id")
+    first = row_of(docs, text_col).alias("row") if with_text else F.col(id_col).alias("doc_id")
     rows = _named(docs, text_col, first)
     if fits(spans):
         joined = rows.join(F.broadcast(spans), ["k", "k2"], "left")
