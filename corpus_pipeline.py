@@ -34,8 +34,8 @@ def repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     was_cut = F.col("n_removed") > 0
     kept = cut.where(~was_cut | (F.length("kept_text") > 0))
     n_chars = F.when(was_cut, F.length("kept_text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("row.n_chars"))
-    changed = {"text": F.when(was_cut, F.col("kept_text")).otherwise(F.col("row.text")), "n_chars": n_chars}
-    return kept.select(*[changed.get(c, F.col("row")[c]).alias(c) for c in docs.columns])
+    changed = {"text": F.col("kept_text"), "n_chars": n_chars}
+    return kept.select(*[changed[c].alias(c) if c in changed else F.col("row")[c].alias(c) for c in docs.columns])
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
