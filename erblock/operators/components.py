@@ -2,7 +2,9 @@
 
 Every node starts with its own id as label.  A round takes the least label among a node and its neighbours,
 then replaces a label by its own label (doubling), so a path of length d takes O(log d) rounds.
-Labels are a table of the cluster and are checkpointed each round; the driver sees one count.
+Labels are a table of the shared folder, written anew each round and deleted when the next one is there; the driver sees one
+count.  A node with very many neighbours is one key of the joins: its rows are on the side that adaptive execution splits, and
+the least label is aggregated before the exchange.
 """
 
 from __future__ import annotations
@@ -10,7 +12,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from erblock.functions.cut import checkpoint
+from erblock.functions.cut import discard, written
 
 
 def connected(edges: DataFrame, left: str = "src", right: str = "dst", max_rounds: int = 50) -> DataFrame:
@@ -19,16 +21,17 @@ def connected(edges: DataFrame, left: str = "src", right: str = "dst", max_round
     Null ends are left out.  Raises if ``max_rounds`` do not suffice, rather than return a wrong answer.
     """
     both = edges.select(F.col(left).alias("a"), F.col(right).alias("b")).where("a is not null and b is not null")
-    graph = checkpoint(both.unionByName(both.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct())
-    labels = checkpoint(graph.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("node"), F.least("a", "m").alias("component")))
+    graph = written(both.unionByName(both.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct())
+    labels = written(graph.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("node"), F.least("a", "m").alias("component")))
     for _ in range(max_rounds):
         near = graph.join(labels, graph["b"] == labels["node"]).groupBy("a").agg(F.min("component").alias("m"))
-        stepped = labels.join(near, labels["node"] == near["a"]).select("node", F.least("component", "m").alias("to"), F.col("component").alias("old"))
-        stepped = checkpoint(stepped)
+        stepped = written(labels.join(near, labels["node"] == near["a"]).select("node", F.least("component", "m").alias("to"), F.col("component").alias("old")))
         jump = stepped.select(F.col("node").alias("n"), F.col("to").alias("t"))
-        new = checkpoint(stepped.join(jump, stepped["to"] == jump["n"], "left").select("node", F.least("to", F.coalesce("t", "to")).alias("component"), "old"))
+        new = written(stepped.join(jump, stepped["to"] == jump["n"], "left").select("node", F.least("to", F.coalesce("t", "to")).alias("component"), "old"))
+        discard(labels, stepped)
         changed = new.where("component <> old").limit(1).count()
-        labels = new.select("node", "component")
+        labels = new
         if not changed:
-            return labels
+            discard(graph)
+            return labels.select("node", "component")
     raise RuntimeError(f"components did not settle in {max_rounds} rounds")

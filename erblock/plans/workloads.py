@@ -31,7 +31,7 @@ def applies(method: str, collection: str, task: str) -> bool:
     """Attribute clustering needs two collections, the URI method ids that are URIs."""
     if method == "attribute":
         return task == "clean"
-    return views.COLLECTIONS[collection].uris or not method.startswith("uri")
+    return views.collection(collection).uris or not method.startswith("uri")
 
 
 def quality(spark: SparkSession, sf_dir: str, collection: str, method: str, tasks: tuple[str, ...] = ("clean", "dirty")) -> DataFrame:

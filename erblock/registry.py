@@ -192,6 +192,9 @@ _add("tb_purged", _on("d6", "dirty", lambda d, t: blocks.summary(blocks.purge(bl
 for _c in ALL:
     _add(f"tb_quality_{_c}", partial(lambda spark, sf, c, m: workloads.quality(spark, sf, c, m), c=_c, m="token"), _both_tasks(_c, "token"))
 
+for _c in views.EXTRA:
+    _add(f"tb_quality_{_c}", lambda spark, sf, c=_c: workloads.quality(spark, sf, c, "token", ("clean",)), f"SELECT * FROM {_quality_sql(_c, 'token', 'clean')} z")
+
 # Attribute clustering
 _add("ac_grams", _on("d1", "clean", lambda d, t: attr_clustering.grams(d)), _with("d1", "clean", f"{TOKENS}, {GRAMS}", "SELECT * FROM g"))
 _SIM = "SELECT left_attribute, right_attribute, inter, sim FROM sim"
@@ -286,6 +289,16 @@ def _raw(name: str) -> str:
 
 
 _add("ds_characteristics", _over("clean", measures.characteristics), " UNION ALL ".join(f"SELECT '{c}' AS name, z_{c}.* FROM (WITH {_descriptions(c, 'clean')}, {_raw(c)}, {DUPLICATES} {CHARACTERISTICS}) z_{c}" for c in ALL))
+_VIEW = "SELECT count(*) AS triples, count(DISTINCT entity_id) AS descriptions, count(DISTINCT attribute) AS attributes, round(count(*)::DOUBLE / count(DISTINCT entity_id), 8) AS pairs_per_description"
+
+
+def _views(spark: SparkSession, sf_dir: str) -> DataFrame:
+    views.register(spark, sf_dir)
+    out = [measures.characteristics(spark.sql(f"SELECT '{n}' AS collection, x.* FROM ({v}) x WHERE value IS NOT NULL")) for n, v in views.KB.items()]
+    return reduce(DataFrame.unionByName, out).select(F.col("collection").alias("name"), "triples", "descriptions", "attributes", "pairs_per_description")
+
+
+_add("ds_views", _views, " UNION ALL ".join(f"SELECT '{n}' AS name, z_{n}.* FROM ({_VIEW} FROM ({v}) x WHERE value IS NOT NULL) z_{n}" for n, v in views.KB.items()))
 COMBINED = """SELECT nl AS n_left, nr AS n_right, triples, attributes, types, round(triples::DOUBLE / (nl + nr), 8) AS pairs_per_description, matches, matches + dup AS matches_with_duplicates,
 (nl::HUGEINT * nr)::VARCHAR AS clean, ((nl + nr)::HUGEINT * (nl + nr - 1) // 2)::VARCHAR AS dirty,
 round(matches::DOUBLE / nullif(nl::DOUBLE * nr - matches, 0), 12) AS ratio_clean, round((matches + dup)::DOUBLE / nullif((nl + nr)::DOUBLE * (nl + nr - 1) / 2 - (matches + dup), 0), 12) AS ratio_dirty

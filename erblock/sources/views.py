@@ -174,6 +174,17 @@ COLLECTIONS = {
     "d7": Collection("d7", "pages_first", "pages_sub", f"SELECT DISTINCT a.url AS left_id, b.url AS right_id, 'equivalence' AS link_type FROM {RANKED_PAGES} a JOIN {RANKED_PAGES} b ON a.article = b.article AND a.rn <> 2 AND b.rn = 2"),
 }
 
+#: Collections beside the seven: users before and after a date, and turns with the replies to them.
+EXTRA = {
+    "users": Collection("users", "users_before", "users_after", "SELECT DISTINCT 'u' || a.user_id AS left_id, 'v' || b.user_id AS right_id, 'equivalence' AS link_type FROM (SELECT DISTINCT user_id FROM events WHERE ts < TIMESTAMP '2024-01-16') a JOIN (SELECT DISTINCT user_id FROM events WHERE ts >= TIMESTAMP '2024-01-16') b ON a.user_id = b.user_id", uris=False),
+    "turns": Collection("turns", "turns_user", "turns_assistant", "SELECT DISTINCT 't' || a.conv_id || '/' || a.turn AS left_id, 't' || b.conv_id || '/' || b.turn AS right_id, 'reply' AS link_type FROM conversations a JOIN conversations b ON a.conv_id = b.conv_id AND b.turn = a.turn + 1 AND a.role = 'user' AND b.role = 'assistant'", uris=False),
+}
+
+
+def collection(name: str) -> Collection:
+    return COLLECTIONS[name] if name in COLLECTIONS else EXTRA[name]
+
+
 _SHIPMENT = "'http://ship.test/' || md5('l' || {k})"
 #: Datasets with links other than equivalence: left and right descriptions, and the links. One has two kinds of link.
 RELATIONS = {
@@ -224,14 +235,14 @@ RELATIONS = {
 
 def descriptions_sql(name: str, task: str) -> str:
     """SQL of the descriptions of a collection: collection, entity_id, attribute, value, kind."""
-    c = COLLECTIONS[name]
+    c = collection(name)
     if task == "dirty" and c.dirty:
         return " UNION ALL ".join(f"SELECT 'L' AS collection, x.* FROM ({KB[v]}) x WHERE value IS NOT NULL" for v in c.dirty)
     return f"SELECT 'L' AS collection, x.* FROM ({KB[c.left]}) x WHERE value IS NOT NULL UNION ALL SELECT 'R' AS collection, x.* FROM ({KB[c.right]}) x WHERE value IS NOT NULL"
 
 
 def truth_sql(name: str, task: str) -> str:
-    c = COLLECTIONS[name]
+    c = collection(name)
     return c.dirty_truth if task == "dirty" and c.dirty_truth else c.truth
 
 
@@ -241,10 +252,17 @@ def relation_sql(name: str) -> tuple[str, str]:
     return f"SELECT 'L' AS collection, x.* FROM ({left}) x UNION ALL SELECT 'R' AS collection, x.* FROM ({right}) x", truth
 
 
+#: The session and folder whose tables are registered now.
+_REGISTERED: list = []
+
+
 def register(spark: SparkSession, sf_dir: str) -> None:
     """Temporary views over the tables of a folder."""
-    for t in TABLES:
-        spark.read.parquet(f"{sf_dir}/{t}.parquet").createOrReplaceTempView(t)
+    now = [spark.sparkContext.applicationId, id(spark), sf_dir]
+    if now != _REGISTERED:
+        for t in TABLES:
+            spark.read.parquet(f"{sf_dir}/{t}.parquet").createOrReplaceTempView(t)
+        _REGISTERED[:] = now
 
 
 #: Words of a passage that find its places: the second to the sixth, which lie whole inside it.
