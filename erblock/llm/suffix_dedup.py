@@ -56,9 +56,9 @@ LENGTH, GRAM = 200, 16
 #: Keys that occur more often than this have their contexts cut by blocks of SPLIT offsets.
 HOT, SPLIT = 2000, 8
 #: Bytes of contexts that a task merges before it hands them on; texts whose names a task remembers.
-CONTEXT_BYTES, REMEMBERED = 24 << 20, 500_000
+CONTEXT_BYTES, REMEMBERED = 12 << 20, 200_000
 #: Keys that a task counts together.
-COUNTED = 600_000
+COUNTED = 150_000
 #: Bytes of an array above which it is mapped to disk, and of the suffixes a sorted run of the queue holds.
 MEMORY_BYTES, RUN_BYTES = 32 << 20, 32 << 20
 #: Contexts that are sorted together (whole anchors; a larger anchor is a chunk of its own).
