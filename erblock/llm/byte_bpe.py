@@ -178,7 +178,9 @@ class _Chunks(dict):
     def __missing__(self, chunk: str) -> tuple[int, ...]:
         if not chunk or chunk[0].isspace() or chunk[-1].isspace():
             raise _NotAlone
-        ids = tuple(self.bpe.pretokens(" " + chunk))
+        pieces = self.bpe.split(" " + chunk)
+        # A chunk that is one pre-token is kept here alone.
+        ids = self.bpe.merge(pieces[0].encode()) if len(pieces) == 1 else tuple(self.bpe.pretokens(" " + chunk))
         if len(chunk) <= CACHE_CHARS and len(self) < CACHE:
             self[chunk] = ids
         return ids
