@@ -24,6 +24,8 @@ from itertools import chain
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from erblock.llm.common import light_batches
+
 #: Fixed value: the pattern under which a lone space always belongs to what follows it.
 SPACE_FIRST = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 #: Entries of each table (pre-tokens, chunks) of a worker; what comes later is merged anew (speed only).
@@ -134,13 +136,15 @@ class ByteBPE:
 
     def pretokens(self, text: str) -> list[int]:
         """Ids by splitting the whole text with the pattern."""
-        known, out = self.known, []
+        known, chunks, out = self.known, self.chunks, []
         for x in self.split(text):
-            ids = known.get(x)
+            # A pre-token behind a space is kept with the chunks, as the chunk that it is.
+            table, key = (chunks, x[1:]) if x[0] == " " and len(x) > 1 and not x[1].isspace() and not x[-1].isspace() else (known, x)
+            ids = table.get(key)
             if ids is None:
                 ids = self.merge(x.encode())
-                if len(x) <= CACHE_CHARS and len(known) < CACHE:
-                    known[x] = ids
+                if len(x) <= CACHE_CHARS and len(table) < CACHE:
+                    table[key] = ids
             out.extend(ids)
         return out
 
@@ -210,7 +214,7 @@ def encode_documents(docs: DataFrame, path: str, pattern: str, id_col: str = "do
                 ids = [bpe.encode(v.as_py() or "") for v in part.column(1)]
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(ids, type=pa.list_(pa.int32()))], names=["doc_id", "ids"])
 
-    return docs.select(id_col, text_col).mapInArrow(run, schema)
+    return light_batches(docs.select(id_col, text_col)).mapInArrow(run, schema)
 
 
 def decode_documents(encoded: DataFrame, path: str, pattern: str) -> DataFrame:
@@ -253,4 +257,4 @@ def digests(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", te
                 b.append(hashlib.sha256(bpe.decode(ids)).hexdigest())
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, type=pa.int64()), pa.array(a, type=pa.string()), pa.array(b, type=pa.string())], names=schema.names)
 
-    return docs.select(id_col, text_col).mapInArrow(run, schema)
+    return light_batches(docs.select(id_col, text_col)).mapInArrow(run, schema)

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from erblock.functions.cut import BROADCAST_BYTES, checkpoint, discard, fits, written
 
-__all__ = ["BROADCAST_BYTES", "SPACE", "WORD", "checkpoint", "discard", "fits", "let", "mix64", "powers", "prefix_hash", "row_of", "shingle_hashes", "texts", "word_bounds", "words", "written"]
+__all__ = ["BROADCAST_BYTES", "SPACE", "WORD", "checkpoint", "discard", "fits", "let", "light_batches", "mix64", "powers", "prefix_hash", "row_of", "shingle_hashes", "texts", "word_bounds", "words", "written"]
 
 #: A word: a run of anything but the ASCII white space characters.
 WORD = r"[^\x20\x09-\x0D]+"
@@ -33,6 +33,21 @@ def row_of(df: DataFrame, *without: str) -> Column:
     return F.struct(*[F.col("`" + c.replace("`", "``") + "`") for c in df.columns if c not in without])
 
 
+#: Setting of a session, its default, and what texts that go to Python are sent in.
+_BATCH, _DEFAULT, _LIGHT = "spark.sql.execution.arrow.maxBytesPerBatch", "67108864b", "8m"
+
+
+def light_batches(df: DataFrame) -> DataFrame:
+    """``df``; its session sends batches of at most 8 MB to Python from now on, unless it was given a bound of its own.
+
+    A task holds a batch several times over (in the JVM, on the way and in Python), and 10,000 texts make tens of MB.
+    """
+    conf = df.sparkSession.conf
+    if conf.get(_BATCH, None) == _DEFAULT:
+        conf.set(_BATCH, _LIGHT)
+    return df
+
+
 # ---------------------------------------------------------------- numpy hashing of byte strings
 
 _BASE = np.uint64(0x9E3779B97F4A7C15)  # odd, so it has an inverse modulo 2**64

@@ -33,7 +33,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from erblock.llm.common import checkpoint, fits, mix64, row_of, shingle_hashes
+from erblock.llm.common import checkpoint, fits, light_batches, mix64, row_of, shingle_hashes
 from erblock.operators.components import connected
 
 BANDS, ROWS, STEP = 24, 4, 16
@@ -293,7 +293,7 @@ def near_duplicates(docs: DataFrame, threshold: float = 0.8, id_col: str = "doc_
     n_links: number of other rows that are linked to it directly.
     """
     need, exact = needed(threshold), Fraction(threshold).limit_denominator(1000)
-    rows = checkpoint(sketches(docs, id_col, text_col))
+    rows = checkpoint(sketches(light_batches(docs), id_col, text_col))
     nodes = rows.where("node is not null").groupBy("node").agg(
         F.min(F.struct("tkey", "doc_id")).alias("rep"), F.min("doc_id").alias("first_id"), F.count(F.lit(1)).alias("copies"), F.max("n_shingles").alias("n_shingles"), F.first("sig").alias("sig")
     )

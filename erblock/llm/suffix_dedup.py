@@ -50,7 +50,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from erblock.llm.common import discard, fits, mix64, powers, prefix_hash, row_of, written
+from erblock.llm.common import discard, fits, light_batches, mix64, powers, prefix_hash, row_of, written
 
 LENGTH, GRAM = 200, 16
 #: Keys that occur more often than this have their contexts cut by blocks of SPLIT offsets.
@@ -770,7 +770,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, id_col: str = "doc_id"
     """
     if not GRAM < length <= 255 + GRAM:
         raise ValueError("length must lie above 16 and be at most 271")
-    texts = _named(docs, text_col)
+    texts = _named(light_batches(docs), text_col)
     # Rows of a key that its task met once go to the key's partition, with the counts of the others; the rest is spread.
     rows = _key_rows(texts, length).withColumn("x", F.when(F.col("times") == 0, F.xxhash64("k", "at")).otherwise(F.col("g")))
     counted = rows.withColumn("total", F.sum("times").over(Window.partitionBy("x"))).where("times = 0 or total > 1")
