@@ -30,14 +30,20 @@ def checkpoint(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def new_path(spark: SparkSession) -> str:
+    """A path in the shared folder that nothing uses."""
+    return f"{_folder(spark)}/{uuid.uuid4().hex}"
+
+
 def written(df: DataFrame) -> DataFrame:
-    """``df`` as a compressed table in the folder of spark.checkpoint.dir: columnar, and free of lineage.
+    """``df`` as a table in the folder of spark.checkpoint.dir: columnar, and free of lineage.
 
-    Row groups are small, as each task that writes holds one in memory.
+    Row groups are small, as each task that writes holds one in memory.  There is no codec: hashes and compressed texts gain
+    nothing by one, and its buffers lie outside the heap.
     """
     spark = df.sparkSession
-    path = f"{_folder(spark)}/{uuid.uuid4().hex}"
-    df.write.option("compression", "snappy").option("parquet.block.size", 16 << 20).parquet(path)
+    path = new_path(spark)
+    df.write.option("compression", "none").option("parquet.block.size", 16 << 20).parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out.written_to = path
     return out

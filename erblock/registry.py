@@ -8,7 +8,7 @@ from functools import partial, reduce
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from erblock.functions.cut import checkpoint
+from erblock.functions.cut import checkpoint, new_path
 from erblock.operators import around, attr_clustering, blocks, groundtruth, iterative, measures, missed, pairs, token_blocking, uri_infix
 from erblock.plans import workloads
 from erblock.sources import ingest, views
@@ -474,6 +474,16 @@ _add("op_interval", lambda spark, sf: around.interval_join(_of_type(spark, sf, "
 _SETS = ("token", "attribute", "uri")
 _CLEAN_PAIRS = _pairs("clean")
 _add("op_candidate_sets", _on("d2", "clean", _candidate_sets), "WITH " + ", ".join(f"c_{m} AS (SELECT * FROM ({_with('d2', 'clean', f'{POSTINGS[m]}, {_CLEAN_PAIRS}', 'SELECT * FROM pr')}) z_{m})" for m in _SETS) + " " + " UNION ALL ".join(f"SELECT '{x}' AS a, '{y}' AS b, (SELECT count(*) FROM (SELECT * FROM c_{x} INTERSECT SELECT * FROM c_{y})) AS \"both\", (SELECT count(*) FROM (SELECT * FROM c_{x} EXCEPT SELECT * FROM c_{y})) AS only_a, (SELECT count(*) FROM (SELECT * FROM c_{y} EXCEPT SELECT * FROM c_{x})) AS only_b" for x, y in (("token", "attribute"), ("token", "uri"), ("attribute", "uri"))))
+
+
+def _saved(d: DataFrame, t: DataFrame) -> DataFrame:
+    """Postings written to the shared folder by key, and those of one key read back."""
+    spark, path = d.sparkSession, new_path(d.sparkSession)
+    around.save_postings(token_blocking.build(d), path, 16)
+    return around.postings_of(spark, path, "customer", 16).unionByName(around.postings_of(spark, path, "client", 16))
+
+
+_add("op_saved_postings", _on("d2", "clean", _saved), _with("d2", "clean", TOKEN_POSTINGS, "SELECT * FROM p WHERE block_key IN ('customer', 'client')"))
 _add("op_top_blocks", _on("d6", "dirty", lambda d, t: around.top_blocks(blocks.summary(token_blocking.build(d), "dirty"), 100)), _with("d6", "dirty", f"{TOKEN_POSTINGS}, {_summary('dirty')}", "SELECT block_key, row_number() OVER w AS rank, sum(comparisons) OVER (w ROWS UNBOUNDED PRECEDING)::HUGEINT::VARCHAR AS running FROM (SELECT * FROM s ORDER BY comparisons DESC, block_key LIMIT 100) WINDOW w AS (ORDER BY comparisons DESC, block_key)"))
 _add("op_sql_surface", _on("d2", "clean", _surface), _with("d2", "clean", f"{TOKEN_POSTINGS}, {_summary('clean')}", "SELECT x.collection, x.token, count(*) AS n, any_value(s.comparisons)::VARCHAR AS comparisons FROM (SELECT collection, entity_id, value, unnest(list_distinct(regexp_extract_all(lower(value), '" + WORD + "'))) AS token FROM (SELECT DISTINCT collection, entity_id, value FROM d WHERE attribute = 'name')) x JOIN s ON s.block_key = x.token GROUP BY 1, 2"))
 _add("op_metric_pivot", lambda spark, sf: workloads.matrix(spark, sf, ("d1", "d2", "d7"), ("token", "attribute")).where("task = 'clean'").groupBy("collection").pivot("method", ["token", "attribute"]).agg(F.max("recall").alias("recall"), F.max("rr").alias("rr")), f"WITH m AS ({_matrix_sql(('d1', 'd2', 'd7'), ('token', 'attribute'))}) SELECT collection, " + ", ".join(f"max({x}) FILTER (method = '{m}') AS {m}_{x}" for m in ("token", "attribute") for x in ("recall", "rr")) + " FROM m WHERE task = 'clean' GROUP BY 1")
