@@ -37,7 +37,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from erblock.llm.common import checkpoint
+from erblock.llm.common import checkpoint, light_batches
 
 #: Classes of frequent words and words in each, classes by word form, hidden units.
 BLOCKS, WIDTH, FORMS, HIDDEN = 32, 32, 32, 16
@@ -410,18 +410,19 @@ def head_words(counts: DataFrame, most: int = HEAD) -> list[tuple[bytes, int]]:
     return sorted(zip(map(bytes, found.column("word").to_pylist()), found.column("c").to_pylist(), strict=True), key=lambda x: (-x[1], x[0]))
 
 
-def _sequences(batch: object, column: int, head: Head, forms: dict) -> Iterator[list[np.ndarray]]:
-    """Slots of a batch's texts, a sweep of bounded size at a time."""
+def _sequences(batches: Iterator, column: int, head: Head, forms: dict) -> Iterator[list[np.ndarray]]:
+    """Slots of the batches' texts, a sweep of bounded size at a time."""
     import pyarrow as pa
 
     held, size = [], 0
-    for v in batch.column(column).cast(pa.binary()):
-        text = v.as_py() or b""
-        held.append(head.read(tokens(text), forms)[1])
-        size += len(text) + 64
-        if size > SWEEP_BYTES:
-            yield held
-            held, size = [], 0
+    for batch in batches:
+        for v in batch.column(column).cast(pa.binary()):
+            text = v.as_py() or b""
+            held.append(head.read(tokens(text), forms)[1])
+            size += len(text) + 64
+            if size > SWEEP_BYTES:
+                yield held
+                held, size = [], 0
     if held:
         yield held
 
@@ -456,9 +457,8 @@ def train(docs: DataFrame, shared: object, begin: np.ndarray, id_col: str = "doc
             from pyspark import TaskContext
 
             trainer, forms = Trainer(flat), {}
-            for batch in batches:
-                for docs_ in _sequences(batch, 0, shared.value, forms):
-                    trainer.sweep(docs_)
+            for docs_ in _sequences(batches, 0, shared.value, forms):
+                trainer.sweep(docs_)
             if trainer.seen:
                 w = float(trainer.seen)
                 yield pa.RecordBatch.from_arrays([pa.array([TaskContext.get().partitionId()], pa.int32()), pa.array([trainer.flat.tobytes()], pa.binary()), pa.array([w])], names=schema.names)
@@ -493,7 +493,7 @@ def _form_totals(counts: DataFrame, own: list[bytes]) -> tuple[np.ndarray, np.nd
 
 def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of every row."""
-    counts = checkpoint(word_counts(docs.where(training(id_col)), text_col))
+    counts = checkpoint(word_counts(light_batches(docs).where(training(id_col)), text_col))
     n_all, vocabulary, n_end = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.lit(1)), F.coalesce(F.max(F.when(F.col("word") == "", F.col("c"))), F.lit(0))).first()
     frequent = head_words(counts)
     own = [w for w, _ in frequent[:OWN]]
@@ -546,9 +546,11 @@ def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
                     [pa.array(rep), pa.array(words[part], type=pa.binary()).cast(pa.string()), pa.array(times), pa.nulls(m, ids.type), pa.nulls(m, arrow.field("info").type)], schema=arrow
                 )
 
+        named: list = []  # (rids, ids) of the texts that are held
+        heads, rare, seqs, size = [], [], [], 0
         for batch in batches:
-            at, heads, rare, seqs, size = 0, [], [], [], 0
-            for v in batch.column(2).cast(pa.binary()):
+            at = 0
+            for i, v in enumerate(batch.column(2).cast(pa.binary()), 1):
                 text = v.as_py() or b""
                 words = tokens(text)
                 numbers, slots_, unknown = known.read(words, forms)
@@ -559,11 +561,14 @@ def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
                 rare.append(Counter(unknown))
                 heads.append((len(words) + 1, len(have) + end_known, float(known.logs[have].sum()) + end_log, float(known.share[have].sum()) - lacks))
                 size += len(text) + 64
+                if size > SWEEP_BYTES or i == batch.num_rows:
+                    named.append([batch.column(c).slice(at, i - at) for c in (0, 1)])
+                    at = i
                 if size > SWEEP_BYTES:
-                    yield from flush(batch.column(0).slice(at, len(heads)), batch.column(1).slice(at, len(heads)), heads, rare, seqs)
-                    at, heads, rare, seqs, size = at + len(heads), [], [], [], 0
-            if heads:
-                yield from flush(batch.column(0).slice(at, len(heads)), batch.column(1).slice(at, len(heads)), heads, rare, seqs)
+                    yield from flush(*map(pa.concat_arrays, zip(*named, strict=True)), heads, rare, seqs)
+                    named, heads, rare, seqs, size = [], [], [], [], 0
+        if heads:
+            yield from flush(*map(pa.concat_arrays, zip(*named, strict=True)), heads, rare, seqs)
 
     rows = docs.select(F.monotonically_increasing_id().alias("rid"), F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
     met = rows.mapInArrow(run, schema).join(counts.withColumnRenamed("word", "w"), F.col("word") == F.col("w"), "left")
