@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
 from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
@@ -45,6 +46,8 @@ def quality(spark: SparkSession, sf_dir: str, collection: str, method: str, task
     return reduce(DataFrame.unionByName, rows)
 
 
+#: Cells of a matrix that are computed at the same time.
+SIDE_BY_SIDE = 4
 #: Rows of a matrix that was computed in this application, by the folder of its tables.
 _MATRIX: dict[tuple, list] = {}
 MATRIX = "method string, collection string, role string, task string, blocks long, comparisons string, distinct_pairs long, tp long, fn long, recall double, precision double, precision_raw double, f double, rr double, h3r double, redundancy double"
@@ -53,19 +56,22 @@ MATRIX = "method string, collection string, role string, task string, blocks lon
 def matrix(spark: SparkSession, sf_dir: str, collections: tuple[str, ...] = tuple(views.COLLECTIONS), methods: tuple[str, ...] = ("token", "attribute", "uri", "uri_literal")) -> DataFrame:
     """A row per method, collection and task with all measures; redundancy: comparisons per distinct pair.
 
-    A row is one line of figures; the rows are kept, as several reports are made of the same matrix.
+    A row is one line of figures; the rows are kept, as several reports are made of the same matrix.  Cells are
+    independent chains of short jobs, so a few run side by side.
     """
-    rows = []
-    for c in collections:
-        for m in methods:
-            for task in ("clean", "dirty"):
-                if applies(m, c, task):
-                    at = (spark.sparkContext.applicationId, sf_dir, c, m, task)
-                    if at not in _MATRIX:
-                        desc, truth = views.load(spark, sf_dir, c, task)
-                        q = measures.quality(checkpoint(postings(desc, m)), desc, truth, task)
-                        redundancy = F.round(F.try_divide(F.col("comparisons").cast("double"), F.col("distinct_pairs")), 8)
-                        head = {"method": m, "collection": c, "role": views.COLLECTIONS[c].role, "task": task}
-                        _MATRIX[at] = q.select(*[F.lit(v).alias(k) for k, v in head.items()], "blocks", "comparisons", "distinct_pairs", "tp", "fn", "recall", "precision", "precision_raw", "f", "rr", "h3r", redundancy.alias("redundancy")).collect()
-                    rows += _MATRIX[at]
-    return spark.createDataFrame(rows, MATRIX)
+    application = spark.sparkContext.applicationId
+    cells = [(application, sf_dir, c, m, task) for c in collections for m in methods for task in ("clean", "dirty") if applies(m, c, task)]
+
+    def row(cell: tuple) -> list:
+        _, _, c, m, task = cell
+        desc, truth = views.load(spark, sf_dir, c, task)
+        q = measures.quality(checkpoint(postings(desc, m)), desc, truth, task)
+        redundancy = F.round(F.try_divide(F.col("comparisons").cast("double"), F.col("distinct_pairs")), 8)
+        head = {"method": m, "collection": c, "role": views.COLLECTIONS[c].role, "task": task}
+        return q.select(*[F.lit(v).alias(k) for k, v in head.items()], "blocks", "comparisons", "distinct_pairs", "tp", "fn", "recall", "precision", "precision_raw", "f", "rr", "h3r", redundancy.alias("redundancy")).collect()
+
+    todo = [x for x in cells if x not in _MATRIX]
+    views.register(spark, sf_dir)
+    with ThreadPoolExecutor(SIDE_BY_SIDE) as pool:
+        _MATRIX.update(zip(todo, pool.map(row, todo), strict=True))
+    return spark.createDataFrame([r for x in cells for r in _MATRIX[x]], MATRIX)
