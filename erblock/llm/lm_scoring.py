@@ -147,18 +147,26 @@ def initial(own_counts: np.ndarray, class_counts: np.ndarray) -> np.ndarray:
     return flat
 
 
-def _step(p: dict, gx: np.ndarray, h: np.ndarray) -> tuple:
-    """One word for all lanes, from its rows of the input weights (overwritten): new state, and z, r, n, u_n h."""
-    gh = h @ p["u"]
-    zr = gx[:, : 2 * HIDDEN]
-    zr += gh[:, : 2 * HIDDEN]
+def _gates(table: np.ndarray, at: np.ndarray) -> list[np.ndarray]:
+    """Rows of the input weights, an array for each of the three gates: what follows runs over contiguous memory."""
+    return [table[:, k : k + HIDDEN][at] for k in range(0, 3 * HIDDEN, HIDDEN)]
+
+
+def _step(p: dict, gx: list[np.ndarray], h: np.ndarray) -> tuple:
+    """One word for all lanes, from its rows of the input weights: new state, and z, r, n, u_n h."""
+    u = p["u"]
+    zr = np.empty((2, *h.shape), dtype=np.float32)
+    for k in (0, 1):
+        np.matmul(h, u[:, k * HIDDEN : (k + 1) * HIDDEN], out=zr[k])
+        zr[k] += gx[k]
     zr *= 0.5  # the logistic function by way of tanh
     np.tanh(zr, out=zr)
     zr *= 0.5
     zr += 0.5
-    z, r, ghn = zr[:, :HIDDEN], zr[:, HIDDEN:], gh[:, 2 * HIDDEN :]
+    z, r = zr
+    ghn = h @ u[:, 2 * HIDDEN :]
     n = r * ghn
-    n += gx[:, 2 * HIDDEN :]
+    n += gx[2]
     np.tanh(n, out=n)
     new = h - n
     new *= z
@@ -232,7 +240,7 @@ def log_likelihood(flat: np.ndarray, docs: list[np.ndarray]) -> np.ndarray:
             at += len(t)
 
     for t, live in enumerate(live_at.tolist()):
-        h = _step(p, p["x"][before[:live]], h[:live])[0]
+        h = _step(p, _gates(p["x"], before[:live]), h[:live])[0]
         before = stream[starts[:live] + t]
         states.append(h)
         targets.append(before)
@@ -284,14 +292,14 @@ class Trainer:
         p, g = unpack(self.flat), np.zeros(SIZE, dtype=np.float32)
         d = unpack(g)
         steps, lanes = target.shape
-        gx = p["x"][source]
+        gx = _gates(p["x"], source)
         starting = fresh.any(axis=1)
         kept, out = [], np.empty((steps, lanes, HIDDEN), dtype=np.float32)
         for t in range(steps):
             if starting[t]:
                 h = h.copy()
                 h[fresh[t]] = 0
-            new, parts = _step(p, gx[t], h)
+            new, parts = _step(p, [x[t] for x in gx], h)
             kept.append((h, parts))
             out[t] = h = new
         flat_out, slots = out.reshape(-1, HIDDEN), target.reshape(-1)
@@ -320,32 +328,34 @@ class Trainer:
             dout[rows] += logits @ p["v"][k].T
         dout = dout.reshape(steps, lanes, HIDDEN)
         carry = np.zeros((lanes, HIDDEN), dtype=np.float32)
-        gates, backs = gx, np.empty((steps, lanes, 3 * HIDDEN), dtype=np.float32)  # gx has served
-        ut = p["u"].T.copy()
+        dz, dr, dn = gx  # gx has served
+        dnr = np.empty_like(dn)
+        uz, ur, un = (p["u"][:, k : k + HIDDEN].T.copy() for k in range(0, 3 * HIDDEN, HIDDEN))
         for t in range(steps - 1, -1, -1):
             prev, (z, r, n, ghn) = kept[t]
             dh = dout[t]
             dh += carry
             carry = dh * z
-            dz = prev - n
-            dz *= carry
-            dz *= 1 - z
-            dn = dh - carry
-            dn *= 1 - n * n
-            dr = dn * ghn
-            dr *= r
-            dr *= 1 - r
-            back = backs[t]
-            back[:, :HIDDEN], back[:, HIDDEN : 2 * HIDDEN] = dz, dr
-            np.multiply(dn, r, out=back[:, 2 * HIDDEN :])
-            gates[t, :, : 2 * HIDDEN], gates[t, :, 2 * HIDDEN :] = back[:, : 2 * HIDDEN], dn
-            carry += back @ ut
+            x = np.subtract(prev, n, out=dz[t])
+            x *= carry
+            x *= 1 - z
+            x = np.subtract(dh, carry, out=dn[t])
+            x *= 1 - n * n
+            np.multiply(x, r, out=dnr[t])
+            x = np.multiply(dnr[t], ghn, out=dr[t])
+            x *= 1 - r
+            carry += dz[t] @ uz
+            carry += dr[t] @ ur
+            carry += dnr[t] @ un
             if starting[t]:
                 carry[fresh[t]] = 0
-        d["u"][:] = np.concatenate([k[0] for k in kept]).T @ backs.reshape(-1, 3 * HIDDEN)
+        before = np.concatenate([k[0] for k in kept]).T
         order = np.argsort(source.reshape(-1), kind="stable")
         ids, at = np.unique(source.reshape(-1)[order], return_index=True)
-        d["x"][ids] = np.add.reduceat(gates.reshape(-1, 3 * HIDDEN)[order], at, axis=0)
+        for k, (inner, outer) in enumerate(((dz, dz), (dr, dr), (dnr, dn))):
+            part = slice(k * HIDDEN, (k + 1) * HIDDEN)
+            d["u"][:, part] = before @ inner.reshape(-1, HIDDEN)
+            d["x"][ids, part] = np.add.reduceat(outer.reshape(-1, HIDDEN)[order], at, axis=0)
         return g, h
 
     def _window(self, target: np.ndarray, source: np.ndarray, fresh: np.ndarray, real: np.ndarray, h: np.ndarray) -> np.ndarray:

@@ -57,7 +57,7 @@ def test_gradient_of_a_window():
         p, state, total = L.unpack(flat), h.copy(), 0.0
         for t in range(5):
             state[fresh[t]] = 0
-            state = L._step(p, p["x"][source[t]], state)[0]
+            state = L._step(p, L._gates(p["x"], source[t]), state)[0]
             total -= float((L.log_outputs(p, state, target[t]) * real[t]).sum())
         return total / real.sum()
 
