@@ -7,6 +7,7 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from erblock.functions.cut import checkpoint
 from erblock.operators.blocks import summary, useful
 
 
@@ -44,16 +45,17 @@ def distinct(postings: DataFrame, task: str, method: str = "exact") -> DataFrame
     return a.join(b, "block_key").where(order & (F.array_min(F.array_intersect("lk", "rk")) == F.col("block_key"))).select("left_id", "right_id")
 
 
-#: Blocks whose pairs are counted and not expanded; the groups that this makes are at most 2 ** BITS a side.
-BITS = 10
+#: Blocks whose pairs are counted and not expanded, and groups that this may make (they are paired with each other).
+BITS, GROUPS = 24, 4000
 
 
-def count(postings: DataFrame, task: str, bits: int = BITS) -> DataFrame:
+def count(postings: DataFrame, task: str, bits: int = BITS, most: int = GROUPS) -> DataFrame:
     """distinct_pairs, exactly: pairs inside the largest blocks are counted by arithmetic, the others expanded.
 
     A description's *signature* says in which of the ``bits`` largest blocks it is.  All pairs whose signatures
     overlap are candidates: they are counted from the number of descriptions of each signature.  Only pairs that
     meet in a smaller block and in none of the largest are expanded, so tokens that most descriptions share cost no square.
+    Where there are more than ``most`` signatures, half the blocks are taken.
     """
     side = F.col("collection") if task == "clean" else F.lit("L").alias("collection")
     p = postings.select("block_key", side, "entity_id").distinct()
@@ -62,7 +64,9 @@ def count(postings: DataFrame, task: str, bits: int = BITS) -> DataFrame:
     largest = F.broadcast(largest.select("block_key", F.pow(F.lit(2), place - 1).cast("long").alias("bit")))
     signed = p.join(largest, "block_key").groupBy("collection", "entity_id").agg(F.sum("bit").alias("sig"))
     every = p.select("collection", "entity_id").distinct().join(signed, ["collection", "entity_id"], "left").withColumn("sig", F.coalesce("sig", F.lit(0)).cast("long"))
-    groups = signed.groupBy("collection", "sig").agg(F.count(F.lit(1)).cast("decimal(20,0)").alias("n"))
+    groups = checkpoint(signed.groupBy("collection", "sig").agg(F.count(F.lit(1)).cast("decimal(20,0)").alias("n")))
+    if bits > 4 and groups.count() > most:
+        return count(postings, task, bits // 2, most)
     meet = lambda x, y: F.col(x).bitwiseAND(F.col(y)) != 0
     if task == "clean":
         left = groups.where("collection = 'L'").select(F.col("sig").alias("ls"), F.col("n").alias("ln"))
