@@ -37,3 +37,21 @@ def test_unions_of_blocks_with_many_keys(spark, task):
     want = sum(not of[a].isdisjoint(of[b]) for a in of for b in of if (a[0] == "L" and b[0] == "R" if task == "clean" else a < b))
     p = spark.createDataFrame(sorted(rows), POSTINGS)
     assert [pairs.count(x, task, *more).first()[0] for x, *more in ((p,), (p, 100, 500), (blocks.bags(p), 7))] == [want] * 3
+
+
+def test_tiles_repeat_a_posting_for_the_other_side_only(spark):
+    """A frequent word on the left, two postings on the right: nothing is repeated for the left's own tiles."""
+    rows = [("word", "L", f"left-description-{e}") for e in range(4_000)] + [("word", "R", f"r{e}") for e in range(2)] + [(f"only-{e}", "L", "x") for e in range(50)]
+    p = spark.createDataFrame(rows, POSTINGS).localCheckpoint()
+    before = shuffled(spark)
+    assert pairs.tiled(p, "clean", 20).count() == 8_000
+    assert shuffled(spark) - before < 500_000
+
+
+def test_least_key_without_keys_in_the_shuffle(spark):
+    """300 descriptions of 80 keys each against 3: the keys of each aren't shuffled with each of its postings."""
+    rows = [(f"frequent-key-{k}", "L", f"l{e}") for e in range(300) for k in range(80)] + [(f"frequent-key-{k}", "R", f"r{e}") for e in range(3) for k in range(e, 80)]
+    p = spark.createDataFrame(rows, POSTINGS).localCheckpoint()
+    before = shuffled(spark)
+    assert sorted(map(tuple, pairs.distinct(p, "clean", "min_key").collect())) == sorted((f"l{a}", f"r{b}") for a in range(300) for b in range(3))
+    assert shuffled(spark) - before < 1_000_000
