@@ -4,7 +4,7 @@ import random
 
 import pytest
 
-from erblock.operators import blocks, pairs
+from erblock.operators import blocks, iterative, pairs
 
 POSTINGS = "block_key string, collection string, entity_id string"
 
@@ -55,3 +55,24 @@ def test_least_key_without_keys_in_the_shuffle(spark):
     before = shuffled(spark)
     assert sorted(map(tuple, pairs.distinct(p, "clean", "min_key").collect())) == sorted((f"l{a}", f"r{b}") for a in range(300) for b in range(3))
     assert shuffled(spark) - before < 1_000_000
+
+
+@pytest.mark.parametrize("sides", [False, True])
+def test_rounds_with_known_matches_expand_no_pairs(spark, monkeypatch, sides):
+    """A matcher that knows its matches leads to the same classes and comparisons as one that is asked for each pair."""
+    r = random.Random(5)
+    rows = {(f"k{r.randint(0, 25)}", "LR"[e % 2], f"e{e:02}") for e in range(30) for _ in range(r.randint(0, 4))}
+    p = spark.createDataFrame(sorted(rows), POSTINGS)
+    ids = sorted({e for _, _, e in rows})
+    truth = spark.createDataFrame([(*sorted(r.sample(ids, 2)), "x") for _ in range(14)], "left_id string, right_id string, link_type string").localCheckpoint()
+    matcher = iterative.oracle(truth)
+    slow = iterative.run_rounds(p, lambda candidates, entity_map: matcher(candidates, entity_map), sides=sides)
+    want = {x.entity_id: x.rep_id for x in slow.entity_map.collect()}
+    expanded = []
+    monkeypatch.setattr(iterative.pairs, "raw", lambda postings, task, old=pairs.raw: expanded.append(task) or old(postings, task))
+    fast = iterative.run_rounds(p, matcher, sides=sides)
+    assert {x.entity_id: x.rep_id for x in fast.entity_map.collect()} == want and fast.rounds == slow.rounds
+    assert sorted(map(tuple, fast.compared.collect())) == sorted(map(tuple, slow.compared.collect()))
+    assert expanded  # as plans, for whoever reads them
+    if not sides:
+        assert iterative.savings(fast, p).first() == iterative.savings(slow, p).first()
