@@ -4,7 +4,7 @@ import random
 
 import pytest
 
-from erblock.operators import blocks, iterative, pairs
+from erblock.operators import blocks, iterative, measures, pairs
 
 POSTINGS = "block_key string, collection string, entity_id string"
 
@@ -76,3 +76,24 @@ def test_rounds_with_known_matches_expand_no_pairs(spark, monkeypatch, sides):
     assert expanded  # as plans, for whoever reads them
     if not sides:
         assert iterative.savings(fast, p).first() == iterative.savings(slow, p).first()
+
+
+def test_common_tokens_by_hand_and_without_words_of_one_side_in_the_shuffle(spark, monkeypatch):
+    """Words that all of one side have aren't shuffled with each description; the vocabulary sent whole, or its most frequent part."""
+    r = random.Random(11)
+    rows = [(c, f"{c}{e}", a, " ".join(r.choices([f"Word{w}" for w in range(12)] + [f"only-{c}"], k=r.randint(0, 5))), "literal") for c in "LR" for e in range(25) for a in ("x", "y")]
+    rows += [("L", f"long-{e}", "text", " ".join(f"frequentword{w}" for w in range(250)), "literal") for e in range(300)]
+    d = spark.createDataFrame(rows, "collection string, entity_id string, attribute string, value string, kind string").localCheckpoint()
+    clusters = spark.createDataFrame([(c, "x", "k") for c in "LR"] + [("L", "y", "k"), ("R", "y", "l")], "collection string, attribute string, cluster_id string").localCheckpoint()
+    for found, of in ((None, lambda c, a: ""), (clusters, lambda c, a: {"Ly": "k", "Ry": "l"}.get(c + a, "k" if a == "x" else None))):
+        bags = {}
+        for c, e, a, v, _ in rows:
+            bags.setdefault((c, e), set()).update((of(c, a), t) for t in v.lower().replace("-", " ").split() if of(c, a) is not None)
+        both = set.intersection(*[set().union(*[b for (c, _), b in bags.items() if c == side]) for side in "LR"])
+        want = sorted(len(b & both) for b in bags.values())
+        before = shuffled(spark)
+        assert sorted(x.n for x in measures.common_tokens(d, found).collect()) == want
+        assert shuffled(spark) - before < 400_000
+        with monkeypatch.context() as m:
+            m.setattr(measures, "fits", lambda df: df.count() <= 3)
+            assert sorted(x.n for x in measures.common_tokens(d, found).collect()) == want
