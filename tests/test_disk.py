@@ -4,7 +4,7 @@ import random
 
 import pytest
 
-from erblock.operators import blocks, iterative, measures, pairs
+from erblock.operators import blocks, groundtruth, iterative, measures, missed, pairs, token_blocking
 
 POSTINGS = "block_key string, collection string, entity_id string"
 
@@ -97,3 +97,15 @@ def test_common_tokens_by_hand_and_without_words_of_one_side_in_the_shuffle(spar
         with monkeypatch.context() as m:
             m.setattr(measures, "fits", lambda df: df.count() <= 3)
             assert sorted(x.n for x in measures.common_tokens(d, found).collect()) == want
+
+
+def test_missed_report_leaves_no_shuffle_to_its_reader(spark):
+    """What is shuffled for the six measures is done, and deleted, before their few rows are read."""
+    rows = [(c, f"{c}-description-{e}", "text", " ".join(f"w{(e * 7 + w) % 3001}x{c if e % 2 else ''}" for w in range(40)), "literal") for c in "LR" for e in range(300)]
+    d = spark.createDataFrame(rows, "collection string, entity_id string, attribute string, value string, kind string").localCheckpoint()
+    t = spark.createDataFrame([(f"L-description-{e}", f"R-description-{e}", "x") for e in range(300)], "left_id string, right_id string, link_type string").localCheckpoint()
+    report = missed.report(token_blocking.build(d), t, groundtruth.edges(d))
+    before = shuffled(spark)
+    got = {x.measure: (x.numerator, x.denominator) for x in report.collect()}
+    assert got["missed_pairs"] == (150, 150) and got["descriptions_with_neighbours"] == (0, 300)
+    assert shuffled(spark) - before < 10_000
