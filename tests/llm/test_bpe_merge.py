@@ -19,3 +19,15 @@ def test_queue_is_empty_again_and_ids_are_those_of_plain_merging():
         if piece not in bpe.ranks:
             assert bpe.merge(piece) == tuple(bpe.ranks[x] for x in parts)
         assert not any(bpe.low)
+
+
+def test_a_new_chunk_is_split_once_and_letters_not_at_all():
+    """Texts have ever new words, so what a chunk costs the first time counts."""
+    bpe = byte_bpe.ByteBPE.from_file(public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
+    split, seen = bpe.split, []
+    bpe.split = lambda text: seen.append(text) or split(text)
+    text = "first qzorbletion qzorbletion, don't 12ab é1,b x"
+    ids = bpe.encode(text)
+    assert seen == ["first", " qzorbletion,", " don't", " 12ab", " é1,b"]
+    bpe.by_space = False
+    assert ids == bpe.encode(text) and bpe.decode(ids) == text.encode()
