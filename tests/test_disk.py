@@ -4,7 +4,7 @@ import random
 
 import pytest
 
-from erblock.operators import blocks, groundtruth, iterative, measures, missed, pairs, token_blocking
+from erblock.operators import attr_clustering, blocks, groundtruth, iterative, measures, missed, pairs, token_blocking
 
 POSTINGS = "block_key string, collection string, entity_id string"
 
@@ -109,3 +109,32 @@ def test_missed_report_leaves_no_shuffle_to_its_reader(spark):
     got = {x.measure: (x.numerator, x.denominator) for x in report.collect()}
     assert got["missed_pairs"] == (150, 150) and got["descriptions_with_neighbours"] == (0, 300)
     assert shuffled(spark) - before < 10_000
+
+
+@pytest.mark.parametrize("task", ["clean", "dirty"])
+def test_measures_shuffle_numbers_and_not_keys(spark, task):
+    """A true pair is looked up by the numbers of its blocks; the keys, which don't compress, stay where they are."""
+    r = random.Random(9)
+    keys = [f"{r.getrandbits(256):064x}" for _ in range(2_000)]
+    rows = [(c, f"{c}{e}", r.sample(keys, 100)) for e in range(200) for c in "LR"] + [("L", "none", [])]
+    bags = spark.createDataFrame(rows, "collection string, entity_id string, keys array<string>").localCheckpoint()
+    truth = spark.createDataFrame([(f"L{e}", f"R{e}", "x") for e in range(200)], "left_id string, right_id string, link_type string").localCheckpoint()
+    before = shuffled(spark)
+    got = measures.quality(bags, bags, truth, task).first()
+    moved = shuffled(spark) - before
+    of = {(c, e): set(k) for c, e, k in rows}
+    assert got.tp == sum(not of["L", f"L{e}"].isdisjoint(of["R", f"R{e}"]) for e in range(200)) and got.tp + got.fn == 200
+    ids = sorted(of)
+    assert got.distinct_pairs == sum(not of[a].isdisjoint(of[b]) for a in ids for b in ids if (a[0] < b[0] if task == "clean" else a < b))
+    assert got.exhaustive == str(201 * 200 if task == "clean" else 401 * 400 // 2)
+    assert moved < 3_500_000, moved
+
+
+def test_bags_of_values_are_those_of_postings(spark):
+    """Made without a row per token, with a row for a description without any."""
+    desc = spark.createDataFrame([("L", "a", "name", "Red red, box", "literal"), ("L", "a", "size", "12 red", "literal"), ("L", "b", "name", "-", "literal"), ("R", "a", "label", "red Fox", "literal"), ("R", "c", "other", "zzz", "literal")], "collection string, entity_id string, attribute string, value string, kind string")
+    for of in (token_blocking, attr_clustering):
+        want = {(x.collection, x.entity_id): set(x["keys"]) for x in blocks.bags(of.build(desc)).collect()}
+        got = of.bags(desc).collect()
+        assert sorted((x.collection, x.entity_id) for x in got) == [("L", "a"), ("L", "b"), ("R", "a"), ("R", "c")]
+        assert all(len(x["keys"]) == len(set(x["keys"])) and set(x["keys"]) == want.get((x.collection, x.entity_id), set()) for x in got)
