@@ -33,7 +33,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from erblock.llm.common import checkpoint, fits, light_batches, mix64, row_of, shingle_hashes
+from erblock.llm.common import checkpoint, fits, light_batches, mix64, row_of, settle, shingle_hashes
 from erblock.operators.components import connected
 
 BANDS, ROWS, STEP = 24, 4, 16
@@ -103,6 +103,7 @@ def sketches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     def run(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
+        settle("ngram_join")
         for batch in batches:
             for lo in range(0, batch.num_rows, 2048):
                 part = batch.slice(lo, 2048)
@@ -258,6 +259,7 @@ def _pruned(met: DataFrame, need: dict[int, int]) -> DataFrame:
     def run(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
+        settle("ngram_join")
         held: list = []  # rows of the last bucket, which the next batch may continue
         for batch in _with_end(batches):
             if batch is not None:

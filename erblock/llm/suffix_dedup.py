@@ -50,7 +50,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from erblock.llm.common import discard, fits, light_batches, mix64, powers, prefix_hash, row_of, written
+from erblock.llm.common import discard, fits, light_batches, mix64, powers, prefix_hash, row_of, settle, written
 
 LENGTH, GRAM = 200, 16
 #: Keys that occur more often than this have their contexts cut by blocks of SPLIT offsets.
@@ -498,6 +498,7 @@ def _key_rows(texts: DataFrame, length: int) -> DataFrame:
     def run(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
+        settle("suffix_dedup")
         parts: list[tuple] = []
         copies: dict[int, int] = {}
         total = 0
@@ -554,6 +555,7 @@ def _squeezed(df: DataFrame, level: int = 6, most: int | None = None) -> DataFra
         import pyarrow as pa
         import zstandard
 
+        settle("suffix_dedup")
         press = zstandard.ZstdCompressor(level=level).compress
         seen: dict[tuple[int, int], int] = {}
         for batch in batches:
@@ -601,6 +603,7 @@ def _occurrences(candidates: DataFrame, length: int, with_bytes: bool) -> DataFr
         import zstandard
         from pyspark.sql.pandas.types import to_arrow_schema
 
+        settle("suffix_dedup")
         expand = zstandard.ZstdDecompressor().decompress
         arrow = to_arrow_schema(schema)
         merged: dict[tuple[int, int, int, bytes], int] = {}
@@ -668,6 +671,7 @@ def _sort_shards(contexts: DataFrame, length: int, group_bytes: int) -> DataFram
         import pyarrow as pa
         from pyspark.sql.pandas.types import to_arrow_schema
 
+        settle("suffix_dedup")
         arrow = to_arrow_schema(schema)
 
         def rows() -> Iterator[tuple]:
@@ -723,6 +727,7 @@ def _cut(joined: DataFrame, with_text: bool) -> DataFrame:
         import zstandard
         from pyspark.sql.pandas.types import to_arrow_schema
 
+        settle("suffix_dedup")
         arrow, expand = to_arrow_schema(schema), zstandard.ZstdDecompressor().decompress
         for batch in batches:
             n, gone, runs, sha, kept = [], [], [], [], []
